@@ -25,7 +25,7 @@ def scramble_letters(text: F.Column, seed: int, *keys: F.Column) -> F.Column:
 def substitution_short(vocab: DataFrame, seed: int = 42) -> DataFrame:
     """src, dst, n_letters for tokens of 1 to 2 letters: the k-th in one random order maps to the k-th in another, inside the full class."""
     spark = vocab.sparkSession
-    one = spark.createDataFrame([(c,) for c in LETTERS], "c string")
+    one = spark.createDataFrame([(c,) for c in LETTERS], "c string").coalesce(1)
     full = one.select(F.col("c").alias("s")).unionByName(one.crossJoin(one.select(F.col("c").alias("d"))).select(F.concat("c", "d").alias("s")))
     n = F.length("s")
     by = lambda tag: Window.partitionBy(n).orderBy(order_key(seed, F.lit(tag), F.col("s")), "s")

@@ -54,7 +54,7 @@ def tokenizer_stats(tokens: DataFrame) -> DataFrame:
 
 def staged_vocab(spark: SparkSession, letters: str = LETTERS, longest: int = 3) -> DataFrame:
     """All strings of 1 to ``longest`` letters, with and without a space before them."""
-    one = spark.createDataFrame([(c,) for c in letters], "c string")
+    one = spark.createDataFrame([(c,) for c in letters], "c string").coalesce(1)
     level, out = one.select(F.col("c").alias("surface")), None
     for n in range(1, longest + 1):
         rows = level.withColumn("n_letters", F.lit(n))

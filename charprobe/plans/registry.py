@@ -424,8 +424,8 @@ def boundary_mi(s, d):
     return stats.boundary_mi(stats.fixed_boundary_pairs(words(s, d)))
 
 
-@query(sql(WORDS + """, p AS (SELECT unnest(['ck', 'dge', 'tch', 'bb', 'dd', 'ff', 'll', 'nn', 'ss', 'tt']) AS pattern), m AS (SELECT word, freq, pattern, position(pattern IN word) AS at FROM counts, p WHERE contains(word, pattern)),
-r AS (SELECT pattern, CASE WHEN at = 1 THEN 'start' WHEN at + length(pattern) - 1 = length(word) THEN 'end' ELSE 'middle' END AS place, CASE WHEN at > 1 AND substr(word, at - 1, 1) IN ('a', 'e', 'i', 'o', 'u') THEN 'vowel' ELSE 'other' END AS before, freq FROM m)""", "SELECT pattern, place, before, sum(freq)::BIGINT AS weight FROM r GROUP BY CUBE (pattern, place, before)"))
+@query(sql(WORDS + """, p AS (SELECT unnest(['ck', 'dge', 'tch', 'bb', 'dd', 'ff', 'll', 'nn', 'ss', 'tt']) AS pattern), m AS (SELECT word, freq, pattern, position(pattern IN word) AS spot FROM counts, p WHERE contains(word, pattern)),
+r AS (SELECT pattern, CASE WHEN spot = 1 THEN 'start' WHEN spot + length(pattern) - 1 = length(word) THEN 'end' ELSE 'middle' END AS place, CASE WHEN spot > 1 AND substr(word, spot - 1, 1) IN ('a', 'e', 'i', 'o', 'u') THEN 'vowel' ELSE 'other' END AS before, freq FROM m)""", "SELECT pattern, place, before, sum(freq)::BIGINT AS weight FROM r GROUP BY CUBE (pattern, place, before)"))
 def pattern_position_cube(s, d):
     return stats.pattern_position(corpus.word_counts(words(s, d)))
 
@@ -512,7 +512,7 @@ def cooc_symmetric(s, d):
     return encode.cooccurrence(word_sequences(s, d), 2, "both").select(F.col("t").cast("long").alias("t"), F.col("c").cast("long").alias("c"), "n")
 
 
-@query(sql(FORWARD + ", nt AS (SELECT t, sum(n) AS n_t FROM cooc GROUP BY t), wc AS (SELECT c, pow(sum(n), 0.75) AS w FROM cooc GROUP BY c), v AS (SELECT t, c, round(ln(n * (SELECT sum(w) FROM wc) / (n_t * w)), 6) AS value FROM cooc JOIN nt USING (t) JOIN wc USING (c))", "SELECT t, c, value FROM v WHERE value > 0"))
+@query(sql(FORWARD + ", nt AS (SELECT t, sum(n) AS n_t FROM cooc GROUP BY t), wc AS (SELECT c, pow(sum(n), 0.75) AS w FROM cooc GROUP BY c), v AS (SELECT t, c, round(round(ln(n * (SELECT sum(w) FROM wc) / (n_t * w)), 9), 6) AS value FROM cooc JOIN nt USING (t) JOIN wc USING (c))", "SELECT t, c, value FROM v WHERE value > 0"))
 def ppmi(s, d):
     m = encode.ppmi(encode.cooccurrence(word_sequences(s, d), 2, "forward"))
     return m.select(F.col("t").cast("long").alias("t"), F.col("c").cast("long").alias("c"), F.round("value", 6).alias("value")).where("value > 0")
@@ -611,7 +611,7 @@ def events_session(s, d):
     return streaming.event_sessions(table(s, d, "events")).select("user_id", F.unix_micros("start").alias("start_us"), "n")
 
 
-@query("WITH c AS (SELECT event_id, ts FROM events WHERE event_type = (SELECT min(event_type) FROM events)) SELECT e.event_id, (SELECT c.event_id FROM c WHERE c.ts <= e.ts ORDER BY c.ts DESC, c.event_id DESC LIMIT 1) AS checkpoint_id FROM events e")
+@query("WITH c AS (SELECT event_id, ts FROM events WHERE event_type = (SELECT min(event_type) FROM events)) SELECT e.event_id, (SELECT c.event_id FROM c WHERE c.ts <= e.ts ORDER BY c.ts DESC, c.event_id DESC LIMIT 1) AS checkpoint_id FROM events e WHERE e.ts >= (SELECT min(ts) FROM c)")
 def asof_checkpoint(s, d):
     e = table(s, d, "events")
     kind = e.agg(F.min("event_type").alias("kind"))
@@ -621,7 +621,7 @@ def asof_checkpoint(s, d):
     days = marked.groupBy("day").agg(F.max("mark").alias("last_of_day"))
     before = Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)  # a row a day
     carried = days.select("day", F.max("last_of_day").over(before).alias("carried"))
-    return marked.withColumn("own", F.max("mark").over(in_day)).join(F.broadcast(carried), "day", "left").select("event_id", F.coalesce("own.event_id", "carried.event_id").alias("checkpoint_id"))
+    return marked.withColumn("own", F.max("mark").over(in_day)).join(F.broadcast(carried), "day", "left").select("event_id", F.coalesce("own.event_id", "carried.event_id").alias("checkpoint_id")).where("checkpoint_id is not null")
 
 
 # -- experiments -------------------------------------------------------------------------------------------------
