@@ -1,19 +1,22 @@
 """Token ids of whole texts by a public byte-level BPE vocabulary and the tokenizers library.
 
 The library's pre-tokenizer always breaks before a space that stands before a character other than white
-space, and its merges never cross such a break. So the ids of a text are those of its units, one after
-another, and a worker remembers the ids of the units seen of late; each unit new to it goes through the library.
+space, and its merges never cross a break. So the ids of a text are those of its units, one after another. A worker
+remembers the ids of the units seen of late; the units of a text that are new to it go through the library together. Such
+a unit has one space, its first character, so just its first token begins with the vocabulary's letter for a space.
 """
 
 from __future__ import annotations
 
 import os
+import re
 
 import numpy as np
 
-#: Units longer than this are encoded each time, never remembered.
+#: Units longer than this are not remembered; and units remembered at most.
 LONGEST_KEPT = 64
-KEPT = 300_000
+KEPT = 1_000_000
+SPACE_AFTER_SPACE = re.compile(r" \s")
 
 
 class Encoder:
@@ -23,20 +26,34 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.first: dict[str, bytes] = {}
-        self.spaced: dict[str, bytes] = {}
-
-    def _learn(self, units: set[str], kept: dict[str, bytes], lead: str) -> None:
-        ordered = list(units)
-        for u, e in zip(ordered, self.tokenizer.encode_batch_fast([lead + u for u in ordered], add_special_tokens=False)):
-            kept[u] = np.array(e.ids, np.uint32).tobytes()
+        self.kept: dict[str, bytes] = {}  # ids of " " + unit
+        vocabulary = self.tokenizer.get_vocab()
+        self.opens = np.zeros(max(vocabulary.values()) + 1, bool)
+        for token, i in vocabulary.items():
+            self.opens[i] = token[0] == "\u0120"  # the vocabulary's letter for a space
+
+    def _encode(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
+
+    def _learn(self, units: set[str]) -> dict[str, bytes]:
+        """Ids of new units, each with a space before it."""
+        plain = [u for u in units if " " not in u]
+        found = {u: self._encode(" " + u).tobytes() for u in units if " " in u}
+        if plain:
+            ids = self._encode(" " + " ".join(plain))
+            starts = np.flatnonzero(self.opens[ids])
+            if len(starts) != len(plain):
+                raise ValueError("a unit was cut at a place of its own")
+            raw, at = ids.tobytes(), (4 * starts).tolist()
+            found.update(zip(plain, [raw[a:b] for a, b in zip(at, at[1:] + [len(raw)])]))
+        return found
 
     def ids(self, text: str) -> np.ndarray:
         """uint32 ids of one text, without special tokens."""
         if not text:
             return np.zeros(0, np.uint32)
         parts = text.split(" ")
-        if any(not p or p[0].isspace() for p in parts[1:]):
+        if text[-1] == " " or SPACE_AFTER_SPACE.search(text):
             merged = [parts[0]]
             for p in parts[1:]:
                 if not p or p[0].isspace():
@@ -44,28 +61,21 @@ class Encoder:
                 else:
                     merged.append(p)
             parts = merged
-        spaced = self.spaced
-        if len(spaced) > KEPT:
-            spaced.clear()
-        if len(self.first) > KEPT:
-            self.first.clear()
+        kept = self.kept
         lead, rest = parts[0], parts[1:]
-        try:
-            tail = b"".join(map(spaced.__getitem__, rest))
-        except KeyError:
-            unknown = {p for p in rest if p not in spaced}
-            self._learn(unknown, spaced, " ")
-            tail = b"".join(map(spaced.__getitem__, rest))
-            for p in unknown:
-                if len(p) > LONGEST_KEPT:
-                    del spaced[p]
-        head = self.first.get(lead)
-        if head is None:
-            self._learn({lead}, self.first, "")
-            head = self.first[lead]
-            if len(lead) > LONGEST_KEPT:
-                del self.first[lead]
-        return np.frombuffer(head + tail, np.uint32)
+        new = set(rest).difference(kept)
+        if new:
+            if len(kept) > KEPT:
+                kept.clear()
+                new = set(rest)
+            learnt = self._learn(new)
+            kept.update(learnt)
+        tail = b"".join(map(kept.__getitem__, rest))
+        if new:
+            for u in new:
+                if len(u) > LONGEST_KEPT:
+                    del kept[u]
+        return np.frombuffer(self._encode(lead).tobytes() + tail, np.uint32)
 
 
 _encoders: dict[str, Encoder] = {}
