@@ -4,7 +4,8 @@ Documents stand in the order of their ids, each as its token ids and one separat
 ``window`` ids are cut from that stream so that padding plus penalties is least: a cut between documents is
 free, one behind a sentence costs ``sentence_penalty``, one anywhere else (only offered inside a sentence
 that is longer than a window) costs ``word_penalty``. A window is padded to ``window`` ids unless its length
-is a power of two, and each window costs ``window_cost`` besides, so that short ones are not free. As padding is linear in the length, the best predecessor of a cut is the least of
+is a power of two of at least a quarter of that, and each window costs ``window_cost`` besides, so that short ones are
+not free. As padding is linear in the length, the best predecessor of a cut is the least of
 (cost - position) over the positions at most ``window`` back: a monotone queue hands it out in constant time.
 
 The stream is dealt into ranges of ids, one per task; a range ends with a document. Null texts count as empty;
@@ -31,8 +32,13 @@ SQL_SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens l
 ENDS = (".", "!", "?", "\n")
 
 
+def unpadded(window: int) -> list[int]:
+    """Lengths below the window's that are not padded."""
+    return [1 << k for k in range(window.bit_length()) if window <= 4 << k and 1 << k < window]
+
+
 def padding(length: int, window: int) -> int:
-    return 0 if length & (length - 1) == 0 else window - length
+    return 0 if length in unpadded(window) else window - length
 
 
 def choose_cuts(positions: np.ndarray, penalties: np.ndarray, window: int, window_cost: float = 0.0) -> list[int]:
@@ -42,9 +48,15 @@ def choose_cuts(positions: np.ndarray, penalties: np.ndarray, window: int, windo
     """
     pos, pen = positions.tolist(), penalties.tolist()
     n = len(pos)
-    index = {p: j for j, p in enumerate(pos)}
+    number = np.full(pos[-1] + 1, -1, np.int64)  # of the candidate at each position of the stretch
+    number[positions] = np.arange(n)
+    exact: dict[int, list[int]] = {}  # candidates that lie a power of two before
+    for length in unpadded(window):
+        behind = np.flatnonzero(positions >= length)
+        at = number[positions[behind] - length]
+        for j, i in zip(behind[at >= 0].tolist(), at[at >= 0].tolist()):
+            exact.setdefault(j, []).append(i)
     cost, back = [0.0] * n, [0] * n
-    powers = [1 << k for k in range(max(0, window.bit_length() - 1) + 1) if 1 << k < window]
     queue: deque[tuple[float, int]] = deque([(0.0, 0)])  # (cost[i] + pos[i], i), ascending: padding is window - (p - pos[i])
     for j in range(1, n):
         p = pos[j]
@@ -53,10 +65,10 @@ def choose_cuts(positions: np.ndarray, penalties: np.ndarray, window: int, windo
             queue.popleft()
         key, i = queue[0]
         best = key + window - p
-        for length in powers:
-            k = index.get(p - length)
-            if k is not None and cost[k] < best:
-                best, i = cost[k], k
+        if j in exact:
+            for k in exact[j]:
+                if cost[k] < best:
+                    best, i = cost[k], k
         best += pen[j] + window_cost
         cost[j], back[j] = best, i
         key = best + p

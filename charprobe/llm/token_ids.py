@@ -15,7 +15,7 @@ import numpy as np
 
 #: Units longer than this are not remembered; and units remembered at most.
 LONGEST_KEPT = 64
-KEPT = 1_000_000
+KEPT = 800_000
 SPACE_AFTER_SPACE = re.compile(r" \s")
 
 
@@ -35,18 +35,16 @@ class Encoder:
     def _encode(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
 
-    def _learn(self, units: set[str]) -> dict[str, bytes]:
+    def _learn(self, units: list[str]) -> list[bytes]:
         """Ids of new units, each with a space before it."""
-        plain = [u for u in units if " " not in u]
-        found = {u: self._encode(" " + u).tobytes() for u in units if " " in u}
-        if plain:
-            ids = self._encode(" " + " ".join(plain))
-            starts = np.flatnonzero(self.opens[ids])
-            if len(starts) != len(plain):
-                raise ValueError("a unit was cut at a place of its own")
-            raw, at = ids.tobytes(), (4 * starts).tolist()
-            found.update(zip(plain, [raw[a:b] for a, b in zip(at, at[1:] + [len(raw)])]))
-        return found
+        if any(" " in u for u in units):
+            return [self._encode(" " + u).tobytes() for u in units]
+        ids = self._encode(" " + " ".join(units))
+        starts = (4 * np.flatnonzero(self.opens[ids])).tolist()
+        if len(starts) != len(units):
+            raise ValueError("a unit was cut at a place of its own")
+        raw = ids.tobytes()
+        return [raw[a:b] for a, b in zip(starts, starts[1:] + [len(raw)])]
 
     def ids(self, text: str) -> np.ndarray:
         """uint32 ids of one text, without special tokens."""
@@ -63,19 +61,19 @@ class Encoder:
             parts = merged
         kept = self.kept
         lead, rest = parts[0], parts[1:]
-        new = set(rest).difference(kept)
-        if new:
+        got = list(map(kept.get, rest))
+        if None in got:
             if len(kept) > KEPT:
                 kept.clear()
-                new = set(rest)
-            learnt = self._learn(new)
+                got = [None] * len(rest)
+            new = list(dict.fromkeys([u for u, g in zip(rest, got) if g is None]))
+            learnt = dict(zip(new, self._learn(new)))
+            got = [learnt[u] if g is None else g for u, g in zip(rest, got)]
             kept.update(learnt)
-        tail = b"".join(map(kept.__getitem__, rest))
-        if new:
             for u in new:
                 if len(u) > LONGEST_KEPT:
                     del kept[u]
-        return np.frombuffer(self._encode(lead).tobytes() + tail, np.uint32)
+        return np.frombuffer(self._encode(lead).tobytes() + b"".join(got), np.uint32)
 
 
 _encoders: dict[str, Encoder] = {}

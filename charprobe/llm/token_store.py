@@ -195,28 +195,32 @@ def _times(matrix: list[int], vector: int) -> int:
     return out
 
 
-_shifts: dict[int, list[int]] = {}
+_tables: list[list[list[int]]] = []  # by k: what 2**k zero bytes make of a crc32, by its four bytes
 
 
-def _shift(n_bytes: int) -> list[int]:
-    """Matrix over GF(2) that appends n zero bytes to a crc32."""
-    if n_bytes not in _shifts:
-        one = [0xEDB88320] + [1 << k for k in range(31)]  # one zero bit
-        matrix, power, bits = [1 << k for k in range(32)], one, n_bytes * 8
-        while bits:
-            if bits & 1:
-                matrix = [_times(power, v) for v in matrix]
-            power = [_times(power, v) for v in power]
-            bits >>= 1
-        _shifts[n_bytes] = matrix
-    return _shifts[n_bytes]
+def _table(k: int) -> list[list[int]]:
+    if not _tables:
+        matrix = [0xEDB88320] + [1 << i for i in range(31)]  # one zero bit
+        for _ in range(3):
+            matrix = [_times(matrix, v) for v in matrix]
+        while len(_tables) < 40:
+            _tables.append([[_times(matrix, v << 8 * b) for v in range(256)] for b in range(4)])
+            matrix = [_times(matrix, v) for v in matrix]
+    return _tables[k]
 
 
 def joined_crc(parts: list[tuple[int, int]]) -> int:
     """crc32 of the whole from (crc32, bytes) of its parts in order."""
     total = 0
     for crc, size in parts:
-        total = _times(_shift(size), total) ^ crc
+        k = 0
+        while size and total:
+            if size & 1:
+                a, b, c, d = _table(k)
+                total = a[total & 255] ^ b[total >> 8 & 255] ^ c[total >> 16 & 255] ^ d[total >> 24]
+            size >>= 1
+            k += 1
+        total ^= crc
     return total
 
 
