@@ -1,9 +1,9 @@
 """Operator 6: mixing to target weights by iterative proportional fitting.
 
 Token counts are summed into cells of (source, language, topic) and raked: in turn, the weights of each marginal's
-categories are scaled to their targets. A cell's documents are then kept with one probability, its raked weight over
-its share of tokens, scaled so that the largest is ``budget`` times what the mix allows without repeating a document
-(1.0: the largest corpus with that mix). A document's draw is a hash of the seed and its id, so a rerun keeps the same
+categories are scaled to their targets. A cell's documents are then kept with one probability, in proportion to its raked weight over its share
+of tokens, and at most 1. The scale is calibrated so that the share ``keep`` of all tokens is expected to stay; without ``keep`` no
+probability is cut at 1, which gives the largest corpus that has the mix exactly without repeating a document. A document's draw is a hash of the seed and its id, so a rerun keeps the same
 ones and repeated rows stay or go together.
 
 The only table on the driver is the cells', which grows with the categories and not with the rows; beyond MOST_CELLS
@@ -66,7 +66,24 @@ def rake(cells: Sequence[tuple], tokens: np.ndarray, targets: Sequence[Mapping[s
     return w
 
 
-def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapping[str, Mapping[str, float]] | None = None, power: float = 0.9, budget: float = 1.0, seed: int = 42, id_col: str = "doc_id", rounds: int = ROUNDS) -> DataFrame:
+def calibrated(ratio: np.ndarray, share: np.ndarray, keep: float | None) -> np.ndarray:
+    """Probabilities in proportion to the ratios, cut at 1, under which the share ``keep`` of the tokens is expected to stay."""
+    top = ratio.max() if len(ratio) else 0.0
+    if top <= 0:
+        return np.ones(len(ratio))
+    if keep is None:
+        return ratio / top
+    low, high = 0.0, 1.0
+    reach = lambda x: float((np.minimum(1.0, x * ratio) * share).sum())
+    while reach(high) < keep - 1e-12 and high < 1e12:
+        high *= 2
+    for _ in range(100):
+        mid = (low + high) / 2
+        low, high = (mid, high) if reach(mid) < keep else (low, mid)
+    return np.minimum(1.0, high * ratio)
+
+
+def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapping[str, Mapping[str, float]] | None = None, power: float = 0.9, keep: float | None = 0.9, seed: int = 42, id_col: str = "doc_id", rounds: int = ROUNDS) -> DataFrame:
     """docs with mix_tokens, mix_weight (raked weight over share), mix_prob and mix_kept.
 
     targets: shares of each column's categories; a column without them gets its own shares tempered by ``power``.
@@ -92,7 +109,7 @@ def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapp
     w = rake(own, amount, goals, rounds)
     share = amount / amount.sum() if amount.sum() else np.ones(len(amount))
     ratio = np.where(amount > 0, w / np.where(amount > 0, share, 1), 0.0)
-    prob = np.where(amount > 0, np.minimum(1.0, budget * ratio / (ratio.max() if len(ratio) and ratio.max() > 0 else 1.0)), 1.0)
+    prob = np.where(amount > 0, calibrated(ratio, share, keep), 1.0)
     spark = docs.sparkSession
     fields = ", ".join(f"cell_{k} string" for k in range(len(columns)))
     table = spark.createDataFrame([(*c, float(r), float(p)) for c, r, p in zip(own, ratio, prob)], f"{fields}, mix_weight double, mix_prob double")
@@ -102,8 +119,8 @@ def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapp
     return met.withColumn("mix_kept", draw < F.col("mix_prob")).drop(*names, *[f"cell_{k}" for k in range(len(columns))])
 
 
-def mix_documents(docs: DataFrame, power: float = 0.9, budget: float = 1.0, seed: int = 42) -> DataFrame:
+def mix_documents(docs: DataFrame, power: float = 0.9, keep: float | None = 0.9, seed: int = 42) -> DataFrame:
     """The documents table mixed over source, language and form topic: one row per document with its decision."""
     rows = docs.select(F.col("doc_id"), F.col("source"), F.col("lang"), form_topic(F.col("text")).alias("topic"), word_count(F.col("text")).alias("words"))
-    out = mix(rows, ["source", "lang", "topic"], F.col("words"), power=power, budget=budget, seed=seed)
+    out = mix(rows, ["source", "lang", "topic"], F.col("words"), power=power, keep=keep, seed=seed)
     return out.select("doc_id", "source", "lang", "topic", F.col("mix_tokens").alias("n_tokens"), F.round("mix_weight", 9).alias("weight"), F.round("mix_prob", 9).alias("prob"), F.col("mix_kept").alias("kept"))
