@@ -326,6 +326,8 @@ def link_group(sizes: np.ndarray, tokens: list[np.ndarray], percent: int, side:
         found = found[np.argsort(-times, kind="stable")]  # the set that shares most of the prefix comes first
         if side is not None:
             found = found[side[found] != side[x]]
+        if not len(found):
+            continue
         mark[own] = True
         looked, step = [], 1
         while len(found):
