@@ -47,8 +47,13 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
 
 
 def buckets_for(df: DataFrame, mb: int = 8, least: int = 48, most: int = 1 << 16) -> int:
-    """How many partitions give about mb MB of input each, from the optimizer's own estimate of the size."""
+    """How many partitions give about mb MB of input each, from the optimizer's own estimate of the size.
+
+    Where it has none (rows that do not come from files count as endless) the input's own partitions are the measure.
+    """
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if size >= 1 << 62:
+        return max(least, min(most, df.rdd.getNumPartitions()))
     return max(least, min(most, size // (mb << 20) + 1))
 
 
