@@ -2,56 +2,108 @@
 
 The library's pre-tokenizer always breaks before a space that stands before a character other than white
 space, and its merges never cross a break. So the ids of a text are those of its units, one after another. A worker
-remembers the ids of the units seen of late; the units of a text that are new to it go through the library together. Such
-a unit has one space, its first character, so just its first token begins with the vocabulary's letter for a space.
+remembers the ids of the units seen of late. A new unit of ASCII and Latin letters breaks further, between letters, digits,
+marks and line breaks, and the library's model gets its pieces directly; any other new unit goes through the whole library.
+A text that holds a special token goes through the library in one piece, as the library finds those before it breaks.
 """
 
 from __future__ import annotations
 
+import json
 import os
 import re
 
 import numpy as np
 
-#: Units longer than this are not remembered; and units remembered at most.
+#: Units longer than this are not remembered; and units and bare pieces remembered at most.
 LONGEST_KEPT = 64
 KEPT = 800_000
+KEPT_BARE = 100_000
 SPACE_AFTER_SPACE = re.compile(r" \s")
+#: ASCII and Latin letters (U+00C0 to U+024F but for two signs), digits, and marks but for the apostrophe, which opens
+#: endings that are pieces of their own.
+LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f"
+MARKS = "!-&(-/:-@\\[-`{-~"
+PLAIN = re.compile(f"[{LETTERS}0-9{MARKS}][{LETTERS}0-9{MARKS}\n]*")
+PIECE = re.compile(rf"[{LETTERS}]+|[0-9]+|[{MARKS}]+|\n+(?!\S)|\n")
+#: The vocabulary's letter for a space; it has one for each byte of a text, and printable ASCII stands for itself.
+SPACE = "\u0120"
 
 
-class Encoder:
+def byte_letters() -> dict[int, str]:
+    """What the vocabulary writes for the line break and for each Latin letter: the letters of its UTF-8 bytes.
+
+    A printable byte of Latin-1 is its own letter; the others take the letters from U+0100 on, in ascending order.
+    """
+    own = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    letter = {b: chr(b) for b in own}
+    letter |= {b: chr(0x100 + k) for k, b in enumerate(b for b in range(0x100) if b not in letter)}
+    return {c: "".join(letter[b] for b in chr(c).encode()) for c in (0x0A, *range(0xC0, 0x250))}
+
+
+LETTER_OF = byte_letters()
+
+
+class Units(dict):
+    """Ids of " " + unit for the units seen of late, computed when first asked for."""
+
     def __init__(self, path: str) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
+        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
-        self.kept: dict[str, bytes] = {}  # ids of " " + unit
-        vocabulary = self.tokenizer.get_vocab()
-        self.opens = np.zeros(max(vocabulary.values()) + 1, bool)
-        for token, i in vocabulary.items():
-            self.opens[i] = token[0] == "\u0120"  # the vocabulary's letter for a space
-
-    def _encode(self, text: str) -> np.ndarray:
-        return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
-
-    def _learn(self, units: list[str]) -> list[bytes]:
-        """Ids of new units, each with a space before it."""
-        if any(" " in u for u in units):
-            return [self._encode(" " + u).tobytes() for u in units]
-        ids = self._encode(" " + " ".join(units))
-        starts = (4 * np.flatnonzero(self.opens[ids])).tolist()
-        if len(starts) != len(units):
-            raise ValueError("a unit was cut at a place of its own")
-        raw = ids.tobytes()
-        return [raw[a:b] for a, b in zip(starts, starts[1:] + [len(raw)])]
+        self.model = self.tokenizer.model
+        self.bare: dict[str, bytes] = {}  # ids of pieces without a space
+        with open(path, encoding="utf-8") as f:
+            told = json.load(f)
+        breaks = told.get("pre_tokenizer") or {}
+        #: Pieces go to the model directly only where the breaks are those that PIECE knows.
+        self.direct = told.get("normalizer") is None and breaks.get("type") == "ByteLevel" and breaks.get("use_regex", True) and not breaks.get("add_prefix_space")
+
+    def whole(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4").tobytes()
+
+    def _piece(self, piece: str) -> bytes:
+        return b"".join([t.id.to_bytes(4, "little") for t in self.model.tokenize(piece)])
+
+    def _bare(self, piece: str) -> bytes:
+        ids = self.bare.get(piece)
+        if ids is None:
+            ids = self._piece(piece.translate(LETTER_OF))
+            if len(self.bare) > KEPT_BARE:
+                self.bare.clear()
+            if len(piece) <= LONGEST_KEPT:
+                self.bare[piece] = ids
+        return ids
+
+    def __missing__(self, unit: str) -> bytes:
+        if self.direct and PLAIN.fullmatch(unit):
+            head, *rest = PIECE.findall(unit)
+            if rest:
+                ids = self[head] + b"".join(map(self._bare, rest))
+            else:
+                ids = self._piece(SPACE + head.translate(LETTER_OF))
+        else:
+            ids = self.whole(" " + unit)
+        if len(unit) <= LONGEST_KEPT:
+            self[unit] = ids
+        return ids
+
+
+class Encoder:
+    def __init__(self, path: str) -> None:
+        self.units = Units(path)
+        self.tokenizer = self.units.tokenizer
+        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
 
     def ids(self, text: str) -> np.ndarray:
-        """uint32 ids of one text, without special tokens."""
-        if not text:
-            return np.zeros(0, np.uint32)
+        """uint32 ids of one text as the library gives them, without special tokens added."""
+        units = self.units
+        if any(t in text for t in self.special):
+            return np.frombuffer(units.whole(text), np.uint32)
         parts = text.split(" ")
-        if text[-1] == " " or SPACE_AFTER_SPACE.search(text):
+        if text[-1:] == " " or SPACE_AFTER_SPACE.search(text):
             merged = [parts[0]]
             for p in parts[1:]:
                 if not p or p[0].isspace():
@@ -59,21 +111,9 @@ class Encoder:
                 else:
                     merged.append(p)
             parts = merged
-        kept = self.kept
-        lead, rest = parts[0], parts[1:]
-        got = list(map(kept.get, rest))
-        if None in got:
-            if len(kept) > KEPT:
-                kept.clear()
-                got = [None] * len(rest)
-            new = list(dict.fromkeys([u for u, g in zip(rest, got) if g is None]))
-            learnt = dict(zip(new, self._learn(new)))
-            got = [learnt[u] if g is None else g for u, g in zip(rest, got)]
-            kept.update(learnt)
-            for u in new:
-                if len(u) > LONGEST_KEPT:
-                    del kept[u]
-        return np.frombuffer(self._encode(lead).tobytes() + b"".join(got), np.uint32)
+        if len(units) > KEPT:
+            units.clear()
+        return np.frombuffer(units.whole(parts[0]) + b"".join(map(units.__getitem__, parts[1:])), np.uint32)
 
 
 _encoders: dict[str, Encoder] = {}
