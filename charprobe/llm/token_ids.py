@@ -15,9 +15,10 @@ import re
 
 import numpy as np
 
-#: Units longer than this are not remembered; and units and bare pieces remembered at most.
+#: Units longer than this are not remembered; and about as many units are in each of two generations, and as many bare
+#: pieces in all. Larger stores of units are slower, as the processor's caches do not hold them.
 LONGEST_KEPT = 64
-KEPT = 800_000
+KEPT = 250_000
 KEPT_BARE = 100_000
 SPACE_AFTER_SPACE = re.compile(r" \s")
 #: ASCII and Latin letters (U+00C0 to U+024F but for two signs), digits, and marks but for the apostrophe, which opens
@@ -54,6 +55,8 @@ class Units(dict):
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
+        self.raw = [i.to_bytes(4, "little") for i in range(max(self.tokenizer.get_vocab().values()) + 1)]
+        self.old: dict[str, bytes] = {}  # the generation before
         self.bare: dict[str, bytes] = {}  # ids of pieces without a space
         with open(path, encoding="utf-8") as f:
             told = json.load(f)
@@ -65,7 +68,7 @@ class Units(dict):
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4").tobytes()
 
     def _piece(self, piece: str) -> bytes:
-        return b"".join([t.id.to_bytes(4, "little") for t in self.model.tokenize(piece)])
+        return b"".join([self.raw[t.id] for t in self.model.tokenize(piece)])
 
     def _bare(self, piece: str) -> bytes:
         ids = self.bare.get(piece)
@@ -77,13 +80,24 @@ class Units(dict):
                 self.bare[piece] = ids
         return ids
 
+    def turn(self) -> None:
+        """Begins a new generation; the units of the one before move over when asked for."""
+        self.old = dict(self)
+        self.clear()
+
     def __missing__(self, unit: str) -> bytes:
-        if self.direct and PLAIN.fullmatch(unit):
+        ids = self.old.get(unit)
+        if ids is not None:
+            pass
+        elif not self.direct:
+            ids = self.whole(" " + unit)
+        elif unit.isascii() and unit.isalpha():
+            ids = self._piece(SPACE + unit)
+        elif PLAIN.fullmatch(unit):
             head, *rest = PIECE.findall(unit)
-            if rest:
-                ids = self[head] + b"".join(map(self._bare, rest))
-            else:
-                ids = self._piece(SPACE + head.translate(LETTER_OF))
+            if len(rest) > 1:  # such units hardly come again
+                return self[head] + b"".join(map(self._bare, rest))
+            ids = self[head] + self._bare(rest[0]) if rest else self._piece(SPACE + head.translate(LETTER_OF))
         else:
             ids = self.whole(" " + unit)
         if len(unit) <= LONGEST_KEPT:
@@ -112,7 +126,7 @@ class Encoder:
                     merged.append(p)
             parts = merged
         if len(units) > KEPT:
-            units.clear()
+            units.turn()
         return np.frombuffer(units.whole(parts[0]) + b"".join(map(units.__getitem__, parts[1:])), np.uint32)
 
 
