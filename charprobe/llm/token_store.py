@@ -27,7 +27,7 @@ from .common import as_input, batches, buckets_for, staging_path
 from .token_ids import encoder
 
 U64 = np.uint64
-#: Ids under the rolling hash, its low bits that end a chunk, and a chunk's least and greatest number of ids.
+#: Ids under the rolling hash (a power of two), its low bits that end a chunk, and a chunk's least and greatest number of ids.
 ROLL, MASK_BITS, LEAST, MOST = 8, 9, 64, 4096
 #: Documents whose roots make one block of the manifest's tree.
 BLOCK = 1024
@@ -40,12 +40,12 @@ def cut_points(ids: np.ndarray) -> list[int]:
     n = len(ids)
     if n <= LEAST:
         return [n] if n else []
-    x = (ids.astype(U64) + U64(1)) * U64(0x9E3779B97F4A7C15)
-    h = np.zeros(n, U64)
-    power = U64(1)
-    for k in range(min(ROLL, n)):
-        h[k:] += x[: n - k] * power
-        power = U64(int(power) * 0x5851F42D4C957F2D & (1 << 64) - 1)
+    h = (ids.astype(U64) + U64(1)) * U64(0x9E3779B97F4A7C15)
+    width, power = 1, 0x5851F42D4C957F2D
+    while width < ROLL:  # a hash over twice as many ids from two of the last width
+        wider = h.copy()
+        wider[width:] += h[:-width] * U64(power)
+        h, width, power = wider, 2 * width, power * power & (1 << 64) - 1
     found = np.flatnonzero((h >> U64(64 - MASK_BITS)) == 0) + 1
     ends, last = [], 0
     for e in found.tolist():
