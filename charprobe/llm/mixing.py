@@ -2,8 +2,10 @@
 
 Token counts are summed into cells of (source, language, topic) and raked: in turn, the weights of each marginal's
 categories are scaled to their targets. A cell's documents are then kept with one probability, in proportion to its raked weight over its share
-of tokens, and at most 1. The scale is calibrated so that the share ``keep`` of all tokens is expected to stay; without ``keep`` no
-probability is cut at 1, which gives the largest corpus that has the mix exactly without repeating a document. A document's draw is a hash of the seed and its id, so a rerun keeps the same
+of tokens, and at most 1. Without ``keep`` (the registered query and the pipeline) the targets are reached in expectation: cells
+of probability 1 are held and the others raked anew, for the greatest share of tokens at which that works without repeating a
+document. With ``keep`` the scale is calibrated so that this share of all tokens is expected to stay; probabilities cut at 1 are
+then not made up for, and categories that the targets raise fall short of them. A document's draw is a hash of the seed and its id, so a rerun keeps the same
 ones and repeated rows stay or go together.
 
 The only table on the driver is the cells', which grows with the categories and not with the rows; beyond MOST_CELLS
@@ -21,7 +23,9 @@ from pyspark.sql import functions as F
 
 WORD = r"[^\x20\x09-\x0D]+"
 MOST_CELLS = 2_000_000
-ROUNDS = 20
+#: Most passes over the marginals; they end where every goal is met to TOLERANCE (relative).
+ROUNDS = 1000
+TOLERANCE, BOUNDED_TOLERANCE = 1e-9, 1e-5
 NULL = "(null)"
 
 
@@ -45,8 +49,8 @@ def tempered(shares: Mapping[str, float], power: float) -> dict[str, float]:
     return {k: v / total for k, v in raised.items()}
 
 
-def rake(cells: Sequence[tuple], tokens: np.ndarray, targets: Sequence[Mapping[str, float]], rounds: int = ROUNDS) -> np.ndarray:
-    """Cell weights, summing to 1, after ``rounds`` passes over all marginals."""
+def marginal_goals(cells: Sequence[tuple], tokens: np.ndarray, targets: Sequence[Mapping[str, float]]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:
+    """Shares of the cells; for each marginal the category of every cell and the categories' goals, which sum to 1."""
     total = tokens.sum()
     w = tokens / total if total else np.full(len(tokens), 1.0 / max(1, len(tokens)))
     groups = []
@@ -59,13 +63,77 @@ def rake(cells: Sequence[tuple], tokens: np.ndarray, targets: Sequence[Mapping[s
         goal = np.where(np.isnan(goal), now, goal)
         goal = np.where(now > 0, goal, 0.0)
         groups.append((index, goal / goal.sum() if goal.sum() else goal))
+    return w, groups
+
+
+def farthest(w: np.ndarray, groups: Sequence[tuple[np.ndarray, np.ndarray]]) -> float:
+    """The greatest relative miss of a goal by the weights."""
+    misses = [np.abs(np.bincount(index, weights=w, minlength=len(goal)) / np.where(goal > 0, goal, 1) - 1)[goal > 0] for index, goal in groups]
+    return max((float(m.max()) for m in misses if len(m)), default=0.0)
+
+
+def rake(cells: Sequence[tuple], tokens: np.ndarray, targets: Sequence[Mapping[str, float]], rounds: int = ROUNDS) -> np.ndarray:
+    """Cell weights, summing to 1: passes over all marginals until each goal is met to TOLERANCE, ``rounds`` at most."""
+    w, groups = marginal_goals(cells, tokens, targets)
     for _ in range(rounds):
         for index, goal in groups:
             now = np.bincount(index, weights=w, minlength=len(goal))
             w = w * np.where(now > 0, goal / np.where(now > 0, now, 1), 0)[index]
+        if farthest(w, groups) < TOLERANCE:
+            break
     return w
 
 
+def bounded_rake(start: np.ndarray, share: np.ndarray, groups: Sequence[tuple[np.ndarray, np.ndarray]], keep: float, rounds: int = 300) -> np.ndarray | None:
+    """Kept masses of the cells, none above its share, whose marginals are ``keep`` times the goals; None where no such masses are found.
+
+    Each category's factor is the one under which its cells, cut at their shares, add up to its goal.
+    """
+    y = keep * start
+    for _ in range(rounds):
+        for index, goal in groups:
+            for _ in range(8):  # the cut cells give what they have, the others share the rest
+                cut = y >= share
+                fixed = np.bincount(index[cut], weights=share[cut], minlength=len(goal))
+                free = np.bincount(index[~cut], weights=y[~cut], minlength=len(goal))
+                factor = np.where(free > 0, np.maximum(keep * goal - fixed, 0.0) / np.where(free > 0, free, 1), 1.0)
+                over = (np.bincount(index, weights=np.minimum(y, share), minlength=len(goal)) > keep * goal * (1 + 1e-15)) & (fixed > 0)
+                whole = np.bincount(index, weights=y, minlength=len(goal))
+                factor = np.where(over, keep * goal / np.where(whole > 0, whole, 1), factor)
+                y = y * factor[index]
+                if np.abs(factor[goal > 0] - 1).max(initial=0.0) < 1e-13:
+                    break
+        x = np.minimum(y, share)
+        if farthest(x / keep, groups) < BOUNDED_TOLERANCE:
+            return x
+    return None
+
+
+def largest_mix(w: np.ndarray, share: np.ndarray, groups: Sequence[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
+    """Probabilities of the cells, at most 1, that reach the goals with the greatest share of tokens found by halving.
+
+    The raked weights scaled until the first probability is 1 always reach them; beyond that, cells whose
+    probability is 1 are held and the others make up for them.
+    """
+    held = share > 0
+    ratio = np.where(held, w / np.where(held, share, 1), 0.0)
+    if ratio.max(initial=0.0) <= 0:
+        return np.ones(len(w))
+    low, best = 1.0 / ratio.max(), w / ratio.max()
+    room = [(np.bincount(index, weights=share, minlength=len(goal))[goal > 0] / goal[goal > 0]).min(initial=1.0) for index, goal in groups]
+    high = min(1.0, *room)
+    for _ in range(12):
+        if high - low < 1e-3:
+            break
+        mid = (low + high) / 2
+        x = bounded_rake(w, share, groups, mid)
+        if x is None:
+            high = mid
+        else:
+            low, best = mid, x
+    return np.where(held, np.minimum(1.0, best / np.where(held, share, 1)), 1.0)
+
+
 def calibrated(ratio: np.ndarray, share: np.ndarray, keep: float | None) -> np.ndarray:
     """Probabilities in proportion to the ratios, cut at 1, under which the share ``keep`` of the tokens is expected to stay."""
     top = ratio.max() if len(ratio) else 0.0
@@ -107,9 +175,9 @@ def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapp
             given = tempered({k: v / total for k, v in seen.items()}, power) if total else {}
         goals.append(given)
     w = rake(own, amount, goals, rounds)
-    share = amount / amount.sum() if amount.sum() else np.ones(len(amount))
+    share, groups = marginal_goals(own, amount, goals)
     ratio = np.where(amount > 0, w / np.where(amount > 0, share, 1), 0.0)
-    prob = np.where(amount > 0, calibrated(ratio, share, keep), 1.0)
+    prob = np.where(amount > 0, largest_mix(w, share, groups) if keep is None else calibrated(ratio, share, keep), 1.0)
     spark = docs.sparkSession
     fields = ", ".join(f"cell_{k} string" for k in range(len(columns)))
     table = spark.createDataFrame([(*c, float(r), float(p)) for c, r, p in zip(own, ratio, prob)], f"{fields}, mix_weight double, mix_prob double")

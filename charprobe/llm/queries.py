@@ -37,7 +37,7 @@ def op5_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_rake_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix_documents(table(spark, sf_dir, "documents"))
+    return mixing.mix_documents(table(spark, sf_dir, "documents"), keep=None)
 
 
 def op7_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

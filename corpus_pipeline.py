@@ -42,7 +42,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    mixed = mixing.mix(docs.withColumn("form_topic", mixing.form_topic(F.col("text"))), ["source", "lang", "form_topic"], mixing.word_count(F.col("text")))
+    mixed = mixing.mix(docs.withColumn("form_topic", mixing.form_topic(F.col("text"))), ["source", "lang", "form_topic"], mixing.word_count(F.col("text")), keep=None)
     return mixed.where("mix_kept").select(*docs.columns)
 
 

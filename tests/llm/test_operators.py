@@ -196,6 +196,23 @@ def test_raking_meets_the_marginals(spark, odd):
     assert abs(out["share"] - 0.9) < 0.03
 
 
+def test_registered_mix_reaches_its_targets(spark):
+    """Expected kept shares against the tempered targets, by source, language and topic."""
+    from charprobe.llm import queries
+
+    rows = queries.QUERIES["op6_rake_mix"](spark, "/root/testdata/sf0.1").select("source", "lang", "topic", "n_tokens", "prob", "kept").collect()
+    everything = sum(r["n_tokens"] for r in rows)
+    kept, drawn = sum(r["n_tokens"] * r["prob"] for r in rows), sum(r["n_tokens"] for r in rows if r["kept"])
+    assert max(r["prob"] for r in rows) <= 1 and kept > 0.65 * everything and abs(drawn - kept) < 0.03 * everything
+    for column in ("source", "lang", "topic"):
+        own, got = collections.Counter(), collections.Counter()
+        for r in rows:
+            own[r[column]] += r["n_tokens"] / everything
+            got[r[column]] += r["n_tokens"] * r["prob"] / kept
+        for name, target in mixing.tempered(own, 0.9).items():
+            assert abs(got[name] / target - 1) < 1e-4, (column, name)
+
+
 def test_store_round_trip(spark, odd, tmp_path):
     path = str(tmp_path / "store")
     token_store.write_store(odd, path, default_vocabulary())
