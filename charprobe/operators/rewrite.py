@@ -35,6 +35,30 @@ def substitution_short(vocab: DataFrame, seed: int = 42) -> DataFrame:
     return vocab.select(F.col("surface").alias("src")).distinct().join(table, "src").select("src", "dst", "n_letters")
 
 
+def substitution_all(units: DataFrame, seed: int = 42, short: int = 3) -> DataFrame:
+    """src, dst for units of every length: a permutation of the full class up to ``short`` letters, random strings beyond.
+
+    Units of up to ``short`` characters that are not all of a to z are no part of a full class; they change places among themselves.
+    """
+    spark = units.sparkSession
+    names = units.select(F.col("surface").alias("src")).distinct()
+    level = one = spark.createDataFrame([(c,) for c in LETTERS], "c string").coalesce(1)
+    full = one.select(F.col("c").alias("s"))
+    for _ in range(short - 1):
+        level = level.crossJoin(one.select(F.col("c").alias("d"))).select(F.concat("c", "d").alias("c"))
+        full = full.unionByName(level.select(F.col("c").alias("s")))
+    plain = F.col("src").rlike("^[a-z]+$")
+    odd = names.where((F.length("src") <= short) & ~plain).select(F.col("src").alias("s"))
+    out = substitution_dict(names.where(F.length("src") > short).select(F.col("src").alias("surface")), seed)
+    for units_of, wanted in ((full, names.where((F.length("src") <= short) & plain)), (odd, None)):
+        by = lambda tag: Window.partitionBy(F.length("s")).orderBy(order_key(seed, F.lit(tag), F.col("s")), "s")
+        a = units_of.select(F.col("s").alias("src"), F.length("s").alias("n"), F.row_number().over(by("src")).alias("k"))
+        b = units_of.select(F.col("s").alias("dst"), F.length("s").alias("n2"), F.row_number().over(by("dst")).alias("k2"))
+        table = a.join(b, (F.col("n") == F.col("n2")) & (F.col("k") == F.col("k2"))).select("src", "dst")
+        out = out.unionByName(table if wanted is None else table.join(wanted, "src"))
+    return out
+
+
 def substitution_dict(units: DataFrame, seed: int = 42, keep_length: bool = True, rounds: int = 12) -> DataFrame:
     """src, dst: a random string of letters for each unit, no two alike. Collisions are drawn again; what a short class
     leaves over is dealt the strings not taken, in hash order."""

@@ -74,8 +74,7 @@ def table4_interventions(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = english(spark, sf_dir)
     words = corpus.words(docs)
     scrambled = corpus.words(docs.select("doc_id", rewrite.scramble_letters(F.col("text"), SEED, F.col("doc_id")).alias("text")))
-    long = words.where(F.length("word") >= 4)
-    swapped = rewrite.substitute_words(long, rewrite.substitution_dict(long.select(F.col("word").alias("surface")), SEED))
+    swapped = rewrite.substitute_words(words, rewrite.substitution_all(words.select(F.col("word").alias("surface")), SEED))
     out = []
     for name, w, p_bpe, p_word in (("original", words, 66.7, 61.2), ("substituted", swapped, 53.8, 50.0), ("scrambled", scrambled, 58.2, 50.0)):
         out += [cell(scored(_bpe(w), "t4"), "bpe", name, p_bpe), cell(scored(word_tokens(w), "t4"), "word", name, p_word)]

@@ -455,8 +455,8 @@ def substitution_dict_short(s, d):
 
 @query()
 def substitute_words(s, d):
-    w = words(s, d).where(F.length("word") >= 4)
-    return rewrite.substitute_words(w, rewrite.substitution_dict(w.select(F.col("word").alias("surface")), SEED))
+    w = words(s, d)
+    return rewrite.substitute_words(w, rewrite.substitution_all(w.select(F.col("word").alias("surface")), SEED))
 
 
 @query(sql(CHUNKS + f""", entries AS (SELECT DISTINCT surface AS s2, has_space AS g, n_letters AS n FROM tokens), numbered AS (SELECT s2, g, n, row_number() OVER (PARTITION BY g, n ORDER BY s2) - 1 AS k, count(*) OVER (PARTITION BY g, n) AS size FROM entries),

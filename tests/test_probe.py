@@ -88,3 +88,23 @@ def test_vocab_share_and_budget(spark):
     assert vocab.max_letters(v, 3).where("n_letters > 3").count() == 0
     b = measure.token_budget(spark).first()
     assert (b["tokens"], b["repeated"]) == (13_107_200_000, 3_107_200_000)
+
+
+def test_substitution_keeps_every_word(spark):
+    import __spark_entry__ as entry
+    from charprobe.plans import registry
+
+    small = "/root/testdata/sf0.001"
+    before = {(r["doc_id"], r["pos"]): r["word"] for r in registry.words(spark, small).collect()}
+    after = {(r["doc_id"], r["pos"]): r["word"] for r in entry.queries()["substitute_words"](spark, small).collect()}
+    assert before.keys() == after.keys() and min(map(len, before.values())) < 4
+    table = {(w, after[k]) for k, w in before.items()}
+    assert len(table) == len({a for a, _ in table}) == len({b for _, b in table}) and all(len(a) == len(b) for a, b in table)
+
+
+def test_substitution_of_short_units_with_other_letters(spark):
+    from charprobe.operators import rewrite
+
+    units = spark.createDataFrame([(x,) for x in ("a", "ab", "abc", "\u00e9", "\u00e8", "\u00e9a", "word", "w\u00e9rd")], "surface string")
+    got = {r["src"]: r["dst"] for r in rewrite.substitution_all(units).collect()}
+    assert len(got) == len(set(got.values())) == 8 and all(len(a) == len(b) for a, b in got.items())
