@@ -72,6 +72,11 @@ def as_input(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
+def text_key(text: F.Column) -> F.Column:
+    """A hash that, with the id, names a row where ids are null or repeated; null and empty texts differ."""
+    return F.xxhash64(text.cast("string"))
+
+
 class WordHasher:
     """64-bit hashes of words, remembered for the words seen of late."""
 

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U64, WordHasher, as_input, batches, buckets_for, connected_components, staged, texts_of, window_hashes
+from .common import U64, WordHasher, as_input, batches, buckets_for, connected_components, staged, text_key, texts_of, window_hashes
 
 #: N-grams that a task holds before it writes its blobs, and sets (their numbers take 16 bits; the last is a mark).
 HELD, SETS, MARK = 3_000_000, 65_000, 65_535
@@ -380,23 +380,27 @@ def link_sets(sets: DataFrame, percent: int) -> DataFrame:
 
 
 def jaccard_components(docs: DataFrame, n: int = 3, percent: int = 90, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles and component_id (the smallest id reachable by links, its own included) of each row."""
-    rows = as_input(docs, id_col, text_col)
+    """doc_id, n_shingles and component_id (the smallest id reachable by links, its own included) of each row.
+
+    Besides, as ids can be null or repeated: text_key, which with the id names the row, and component_key, the
+    component's smallest set (null without n-grams).
+    """
+    rows = as_input(docs, id_col, text_col).withColumn("text_key", text_key(F.col("text")))
     buckets = buckets_for(docs, mb=10)
-    own = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("id", pa.int64())])
+    own = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("id", pa.int64()), ("text_key", pa.int64())])
 
     def sized(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = WordHasher()
 
         def out() -> Iterator[tuple]:
             for batch in source:
-                for doc_id, text in zip(batch.column(0).to_pylist(), texts_of(batch)):
+                for doc_id, text, key in zip(batch.column(0).to_pylist(), texts_of(batch), batch.column(2).to_pylist()):
                     s = ngram_set(text, n, hasher)
-                    yield doc_id, len(s), set_id(s) if len(s) else None
+                    yield doc_id, len(s), set_id(s) if len(s) else None, key
 
         yield from batches(out(), own)
 
-    ids = staged(rows.mapInArrow(sized, "doc_id long, n_shingles long, id long"), "sets")
+    ids = staged(rows.mapInArrow(sized, "doc_id long, n_shingles long, id long, text_key long"), "sets")
     listed = rows.select("text").mapInArrow(lambda s: batches(build_index(s, n, buckets), LISTED, size=64), LISTED_SQL)
     shared = listed.repartition(buckets, "bucket").mapInArrow(lambda s: batches(share_lists(s, buckets), SHARED, size=64), SHARED_SQL)
     sets = staged(shared.repartition(buckets, "bucket").mapInArrow(lambda s: batches(involved(s, percent), INVOLVED, size=256), INVOLVED_SQL), "involved")
@@ -404,11 +408,18 @@ def jaccard_components(docs: DataFrame, n: int = 3, percent: int = 90, id_col: s
     least = ids.where("id is not null").groupBy("id").agg(F.min("doc_id").alias("least"))
     joined = least.join(linked, least["id"] == linked["node"], "left")
     of_root = joined.where("root is not null").groupBy("root").agg(F.min("least").alias("least_linked")).withColumnRenamed("root", "of")
-    named = joined.join(of_root, joined["root"] == of_root["of"], "left").select(F.col("id").alias("of_set"), F.coalesce("least_linked", "least").alias("least_id"))
-    return ids.join(named, ids["id"] == named["of_set"], "left").select("doc_id", "n_shingles", F.coalesce("least_id", "doc_id").alias("component_id"))
+    named = joined.join(of_root, joined["root"] == of_root["of"], "left").select(F.col("id").alias("of_set"), F.coalesce("least_linked", "least").alias("least_id"), F.coalesce("root", "id").alias("component_key"))
+    return ids.join(named, ids["id"] == named["of_set"], "left").select("doc_id", "n_shingles", F.coalesce("least_id", "doc_id").alias("component_id"), "text_key", "component_key")
 
 
-def representatives(docs: DataFrame, components: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """Rows of docs that stand for their component: the row whose id is the component's, once for repeated rows."""
-    own = components.where("doc_id = component_id or doc_id is null").select(F.col("doc_id").alias("kept_id")).distinct()
-    return docs.join(own, F.col(id_col).eqNullSafe(F.col("kept_id"))).drop("kept_id").dropDuplicates([id_col])
+def representatives(docs: DataFrame, components: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of docs for each component: that of the smallest id (null ids last), ties by the text's hash.
+
+    Rows without n-grams are components of their own. Rows alike in id and text count once.
+    """
+    order = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_key")
+    chosen = components.where("component_key is not null").groupBy("component_key").agg(F.min(order).alias("row")).select("row.doc_id", "row.text_key")
+    own = chosen.unionByName(components.where("component_key is null").select("doc_id", "text_key")).distinct()
+    own = own.select(F.col("doc_id").alias("kept_id"), F.col("text_key").alias("kept_key"))
+    met = docs.join(own, F.col(id_col).cast("long").eqNullSafe(F.col("kept_id")) & (text_key(F.col(text_col)) == F.col("kept_key")))
+    return met.dropDuplicates(["kept_id", "kept_key"]).drop("kept_id", "kept_key")

@@ -12,13 +12,14 @@ all scores are the prior's default. Repeated rows are scored alike.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHasher, as_input, batches, crc_remainder, texts_of
+from .common import WordHasher, as_input, batches, crc_remainder, text_key, texts_of
 from .text_features import SIZE, Adam, Examples, feature_rows, margin, sigmoid
 
 FOLDS = 5
@@ -98,8 +99,8 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = 1500, unlabelled:
     return fit(Examples(p), Examples(u), prior), prior
 
 
-def score_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, positives: int = 1500, unlabelled: int = 3000) -> DataFrame:
-    """doc_id, held_out, score (0 to 1, higher: label 1 likelier) and predicted of every document."""
+def score_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, positives: int = 1500, unlabelled: int = 3000, keyed: bool = False) -> DataFrame:
+    """doc_id, held_out, score (0 to 1, higher: label 1 likelier) and predicted of every document; ``keyed``: text_key too."""
     trained = train(docs, labels, positives, unlabelled)
     weights, intercept = (trained[0][:-1].astype(np.float32), float(trained[0][-1])) if trained else (None, 0.0)
 
@@ -108,11 +109,13 @@ def score_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, po
 
         def rows() -> Iterator[tuple]:
             for batch in source:
-                for doc_id, text, held in zip(batch.column(0).to_pylist(), texts_of(batch), batch.column(2).to_pylist()):
+                for doc_id, text, held, key in zip(batch.column(0).to_pylist(), texts_of(batch), batch.column(2).to_pylist(), batch.column(3).to_pylist() if keyed else repeat(None)):
                     score = DEFAULT_PRIOR if weights is None else float(sigmoid(np.array(margin(text, weights, hasher) + intercept)))
-                    yield doc_id, held, score, int(score >= threshold)
+                    yield doc_id, held, score, int(score >= threshold), *([key] if keyed else [])
 
-        yield from batches(rows(), SCHEMA)
+        yield from batches(rows(), SCHEMA.append(pa.field("text_key", pa.int64())) if keyed else SCHEMA)
 
     rows = as_input(docs).withColumn("held_out", crc_remainder("doc_id", FOLDS) == 0)
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    if keyed:
+        rows = rows.withColumn("text_key", text_key(F.col("text")))
+    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int" + (", text_key long" if keyed else ""))

@@ -10,13 +10,14 @@ is none; without labelled rows of both kinds every text has probability 1. Repea
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHasher, as_input, batches, texts_of, window_hashes
+from .common import WordHasher, as_input, batches, text_key, texts_of, window_hashes
 from .text_features import SIZE, SPACE, START, SYMBOL, Adam, Examples, feature_rows, margin, sigmoid
 
 SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("word_chars", pa.int64()), ("n_symbols", pa.int64()), ("n_dup_lines", pa.int64()), ("n_repeat_words", pa.int64()), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("probability", pa.float64())])
@@ -115,8 +116,8 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 3000) -> Model | Non
     return Model(w[:-1], float(w[-1]), a, b)
 
 
-def judge_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, least_words: int = 20, sample: int = 3000) -> DataFrame:
-    """One row per document with the base counts, base_failed, the calibrated probability and kept."""
+def judge_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, least_words: int = 20, sample: int = 3000, keyed: bool = False) -> DataFrame:
+    """One row per document with the base counts, base_failed, the calibrated probability and kept; ``keyed``: text_key too."""
     model = train(docs, labels, sample)
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -124,14 +125,17 @@ def judge_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, le
 
         def rows() -> Iterator[tuple]:
             for batch in source:
-                for doc_id, text in zip(batch.column(0).to_pylist(), texts_of(batch)):
+                for doc_id, text, key in zip(batch.column(0).to_pylist(), texts_of(batch), batch.column(2).to_pylist() if keyed else repeat(None)):
                     words = text.split()
                     h = hasher(words)
                     counts = base_counts(text, words, h)
                     failed = counts[0] < least_words or 100 * counts[4] > 30 * counts[0]
                     p = 1.0 if model is None else model.probability(margin(text, model.weights, hasher, h=h))
-                    yield doc_id, *counts, failed, not failed and p >= threshold, p
+                    yield doc_id, *counts, failed, not failed and p >= threshold, p, *([key] if keyed else [])
 
-        yield from batches(rows(), SCHEMA)
+        yield from batches(rows(), SCHEMA.append(pa.field("text_key", pa.int64())) if keyed else SCHEMA)
 
-    return as_input(docs).mapInArrow(run, SQL_SCHEMA)
+    rows = as_input(docs)
+    if keyed:
+        rows = rows.withColumn("text_key", text_key(F.col("text")))
+    return rows.mapInArrow(run, SQL_SCHEMA + (", text_key long" if keyed else ""))

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from charprobe.llm import jaccard, mixing, packing, pu_quality, quality_rules
-from charprobe.llm.common import staged
+from charprobe.llm.common import staged, text_key
 from charprobe.llm.token_ids import default_vocabulary
 
 #: A learnt stage has no SQL, so the rows of run() have none.
@@ -21,19 +21,19 @@ def _labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/labels.parquet")
 
 
-def _rejected(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """docs without those whose id is in ids; null ids compare as equal."""
-    bad = ids.select(F.col("doc_id").alias("bad_id")).distinct()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(F.col("bad_id")), "left_anti")
+def _rejected(docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """docs without those whose id and text are in rows; null ids compare as equal."""
+    bad = rows.select(F.col("doc_id").alias("bad_id"), F.col("text_key").alias("bad_key")).distinct()
+    return docs.join(bad, docs["doc_id"].eqNullSafe(F.col("bad_id")) & (text_key(docs["text"]) == F.col("bad_key")), "left_anti")
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    scored = pu_quality.score_quality(docs, _labels(spark, sf_dir))
+    scored = pu_quality.score_quality(docs, _labels(spark, sf_dir), keyed=True)
     return _rejected(docs, scored.where("predicted = 0"))
 
 
 def quality_rule_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    judged = quality_rules.judge_quality(docs, _labels(spark, sf_dir))
+    judged = quality_rules.judge_quality(docs, _labels(spark, sf_dir), keyed=True)
     return _rejected(docs, judged.where("not kept"))
 
 
@@ -42,7 +42,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    mixed = mixing.mix(docs.withColumn("form_topic", mixing.form_topic(F.col("text"))), ["source", "lang", "form_topic"], mixing.word_count(F.col("text")), keep=None)
+    # A draw for each id and text: rows without an id would all stay or go by one draw.
+    row = F.concat_ws("|", F.col("doc_id").cast("string"), text_key(F.col("text")).cast("string"))
+    keyed = docs.withColumn("form_topic", mixing.form_topic(F.col("text"))).withColumn("mix_row", row)
+    mixed = mixing.mix(keyed, ["source", "lang", "form_topic"], mixing.word_count(F.col("text")), keep=None, id_col="mix_row")
     return mixed.where("mix_kept").select(*docs.columns)
 
 

@@ -5,8 +5,10 @@ import zlib
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from charprobe.llm import bm25, hpy_lm, jaccard, mixing, packing, pu_quality, quality_rules, sharding, token_store, url_filter
+from charprobe.llm.common import text_key
 from charprobe.llm.token_ids import default_vocabulary, encoder
 
 SMALL = "/root/testdata/sf0.001"
@@ -318,6 +320,23 @@ def test_search_equals_sql(spark, odd):
     assert {r["query_id"] for r in rows} == {20, 40} and bm25.search_top_k(odd.limit(0)).count() == 0
 
 
+def test_pipeline_keeps_clean_rows_without_or_with_repeated_ids(spark, monkeypatch):
+    import corpus_pipeline
+
+    say = lambda tag: " ".join(f"{tag}{k} and" for k in range(60)) + "."
+    texts = [(None, say("red")), (None, say("blue")), (7, say("green")), (7, say("black")), (7, say("black")), (9, say("red") + " more"), (None, "bad"), (7, "bad"), (None, None), (11, "")]
+    docs = spark.createDataFrame([(i, t, "en", "s") for i, t in texts], "doc_id long, text string, lang string, source string")
+    kept = lambda df: sorted(((r["doc_id"], r["text"]) for r in df.collect()), key=str)
+    want = sorted(set(texts) - {(None, say("red")), (None, "bad")}, key=str)  # both have a like row with an id
+    assert kept(jaccard.representatives(docs, jaccard.jaccard_components(docs, 5, 80))) == want
+    labels = spark.createDataFrame([], "doc_id long, quality int")
+    monkeypatch.setattr(corpus_pipeline, "_labels", lambda *_: labels)
+    ruled = kept(corpus_pipeline.quality_rule_filter(spark, docs, ""))
+    assert ruled == sorted(texts[:6], key=str)
+    judged = pu_quality.score_quality(docs, labels, keyed=True).withColumn("predicted", F.when(F.col("text_key") == text_key(F.lit("bad")), 0).otherwise(1))
+    assert kept(corpus_pipeline._rejected(docs, judged.where("predicted = 0"))) == sorted([x for x in texts if x[1] != "bad"], key=str)
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
