@@ -375,8 +375,15 @@ def top_words(words: DataFrame, most: int) -> list[tuple[str, bool, int]]:
 
 
 def bpe_merges(words: DataFrame, n_merges: int, most_words: int = 200_000) -> DataFrame:
-    """rank, left, right, merged, learnt from the counts of at most ``most_words`` distinct words."""
-    rules = train_bpe([(spelled_symbols(w, g), n) for w, g, n in top_words(words, most_words)], n_merges)
+    """rank, left, right, merged, learnt from the counts of all distinct words: up to ``most_words`` of them on the driver, more by distributed rounds."""
+    held = top_words(words, most_words + 1)
+    if len(held) <= most_words:
+        rules = train_bpe([(spelled_symbols(w, g), n) for w, g, n in held], n_merges)
+    else:
+        spelled = F.split(F.concat(F.when(F.col("has_space"), SPACE).otherwise(""), "word"), "")
+        counts = words.groupBy("word", "has_space").agg(F.count("*").alias("freq")).select(spelled.alias("symbols"), "freq").persist()
+        rules = [(a, b) for a, b, _ in bpe_train_distributed(counts, n_merges)]
+        counts.unpersist()
     return words.sparkSession.createDataFrame([(k, a, b, a + b) for k, (a, b) in enumerate(rules)], "rank int, left string, right string, merged string")
 
 
@@ -412,6 +419,6 @@ def bpe_train_distributed(counts: DataFrame, n_merges: int, every: int = 10) ->
             break
         rules.append((best["left"], best["right"], best["n"]))
         held = fuse_symbols(held, best["left"], best["right"])
-        if (k + 1) % every == 0 and held.sparkSession.sparkContext.getCheckpointDir():
-            held = held.checkpoint()
+        if (k + 1) % every == 0:
+            held = held.checkpoint() if held.sparkSession.sparkContext.getCheckpointDir() else held.localCheckpoint()
     return rules

@@ -66,7 +66,7 @@ def table2_lengths(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _bpe(words: DataFrame, merges: int = 400) -> DataFrame:
-    return tokenize.bpe_encode(words, tokenize.bpe_merges(words, merges, 20_000))
+    return tokenize.bpe_encode(words, tokenize.bpe_merges(words, merges))
 
 
 def table4_interventions(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -81,3 +81,12 @@ def test_distributed_rounds_equal_local(spark):
     words = [("abab", 4), ("abc", 3), ("bcab", 2)]
     counts = spark.createDataFrame([(list(w), n) for w, n in words], "symbols array<string>, freq long")
     assert [(a, b) for a, b, _ in T.bpe_train_distributed(counts, 4)] == T.train_bpe([(list(w), n) for w, n in words], 4)
+
+
+def test_merges_learn_from_all_words_beyond_the_driver_s_share(spark):
+    from charprobe.operators import corpus
+
+    w = corpus.words(spark.createDataFrame([(1, "ab ab ab ab cd ce cdx cdy cdz cdq ab")], "doc_id long, text string"))
+    rules = lambda most: [(r["left"], r["right"]) for r in T.bpe_merges(w, 3, most).orderBy("rank").collect()]
+    whole = T.train_bpe([(T.spelled_symbols(a, g), n) for a, g, n in T.top_words(w, 1000)], 3)
+    assert rules(1000) == rules(2) == whole != T.train_bpe([(T.spelled_symbols(a, g), n) for a, g, n in T.top_words(w, 2)], 3)
