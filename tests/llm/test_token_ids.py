@@ -5,6 +5,7 @@ from __future__ import annotations
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from tokenizers import Tokenizer
 
@@ -22,12 +23,25 @@ def library():
 @pytest.mark.parametrize("kept", [3, 250_000])
 def test_ids_are_the_librarys(library, monkeypatch, kept):
     monkeypatch.setattr(token_ids, "KEPT", kept)
-    monkeypatch.setattr(token_ids, "KEPT_BARE", kept)
     own, draw = token_ids.Encoder(token_ids.default_vocabulary()), random.Random(7)
     texts = ["", " ", "\n", "  a", "a  ", "word " * 5000, "x" * 3000, "é" * 500 + " b"]
     texts += ["".join(draw.choice(PIECES) for _ in range(draw.randrange(14))) for _ in range(6000)]
-    for text in texts:
-        assert own.ids(text).tolist() == library.encode(text, add_special_tokens=False).ids, text[:60]
+    for lo in range(0, len(texts), 50):
+        part = [None, *texts[lo : lo + 50], ""]
+        ids, at = own.column(pa.array(part))
+        for k, text in enumerate(part):
+            assert ids[at[k] : at[k + 1]].tolist() == library.encode(text or "", add_special_tokens=False).ids, text[:60]
+    broken = pa.Array.from_buffers(pa.string(), 2, [None, pa.py_buffer(np.array([0, 3, 5], np.int32).tobytes()), pa.py_buffer(b"a\xffb c")])
+    ids, at = own.column(broken)
+    assert ids[: at[1]].tolist() == library.encode("a\ufffdb", add_special_tokens=False).ids and ids[at[1] :].tolist() == library.encode(" c", add_special_tokens=False).ids
+
+
+def test_equal_hashes_are_told_apart(library, monkeypatch):
+    """Every piece shares its hash with many others: the bytes decide."""
+    monkeypatch.setattr(token_ids, "span_hashes", lambda values, a, b: (b - a).astype(np.uint64))
+    own = token_ids.Encoder(token_ids.default_vocabulary())
+    for text in ("some words of one size, even more words than sizes", "the and the one two six"):
+        assert own.ids(text).tolist() == library.encode(text, add_special_tokens=False).ids
 
 
 def test_every_latin_letter(library):
