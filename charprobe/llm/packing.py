@@ -4,18 +4,17 @@ Documents stand in the order of their ids, each as its token ids and one separat
 ``window`` ids are cut from that stream so that padding plus penalties is least: a cut between documents is
 free, one behind a sentence costs ``sentence_penalty``, one anywhere else (only offered inside a sentence
 that is longer than a window) costs ``word_penalty``. A window is padded to ``window`` ids unless its length
-is a power of two of at least a quarter of that, and each window costs ``window_cost`` besides, so that short ones are
-not free. As padding is linear in the length, the best predecessor of a cut is the least of
-(cost - position) over the positions at most ``window`` back: a monotone queue hands it out in constant time.
+is a power of two; each window can be made to cost ``window_cost`` besides. As padding is linear in the length, the
+best predecessor of a cut is the least of (cost - position) over the positions at most ``window`` back: a monotone
+queue hands it out in constant time; the few positions a power of two back are looked up beside it.
 
-The stream is dealt into ranges of ids, one per task; a range ends with a document. Null texts count as empty;
-null ids come first; rows with equal ids follow their checksums.
+The stream is dealt into ranges of (id, checksum), one per task; a range ends with a document. Null texts count as
+empty; null ids come first; rows with equal ids follow their checksums.
 """
 
 from __future__ import annotations
 
 import zlib
-from collections import deque
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,8 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_input, batches, buckets_for
-from .token_ids import encoder
+from .common import as_input, buckets_for
+from .token_ids import ended, encoder
 
 SCHEMA = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())])
 SQL_SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -33,12 +32,12 @@ ENDS = (".", "!", "?", "\n")
 
 
 def unpadded(window: int) -> list[int]:
-    """Lengths below the window's that are not padded."""
-    return [1 << k for k in range(window.bit_length()) if window <= 4 << k and 1 << k < window]
+    """Lengths below the window's that are not padded: the powers of two."""
+    return [1 << k for k in range(window.bit_length()) if 1 << k < window]
 
 
 def padding(length: int, window: int) -> int:
-    return 0 if length in unpadded(window) else window - length
+    return 0 if length & (length - 1) == 0 else window - length  # a full window has none either
 
 
 def choose_cuts(positions: np.ndarray, penalties: np.ndarray, window: int, window_cost: float = 0.0) -> list[int]:
@@ -46,35 +45,41 @@ def choose_cuts(positions: np.ndarray, penalties: np.ndarray, window: int, windo
 
     penalties[j] is what a cut at positions[j] costs. Ties go to the longer window.
     """
-    pos, pen = positions.tolist(), penalties.tolist()
-    n = len(pos)
-    number = np.full(pos[-1] + 1, -1, np.int64)  # of the candidate at each position of the stretch
+    n = len(positions)
+    number = np.full(int(positions[-1]) + 1, -1, np.int64)  # of the candidate at each position of the stretch
     number[positions] = np.arange(n)
-    exact: dict[int, list[int]] = {}  # candidates that lie a power of two before
-    for length in unpadded(window):
+    late, early = [], []  # pairs of candidates that lie a power of two apart
+    for length in [window, *unpadded(window)[::-1]]:
         behind = np.flatnonzero(positions >= length)
         at = number[positions[behind] - length]
-        for j, i in zip(behind[at >= 0].tolist(), at[at >= 0].tolist()):
-            exact.setdefault(j, []).append(i)
+        late.append(behind[at >= 0])
+        early.append(at[at >= 0])
+    late, early = np.concatenate(late), np.concatenate(early)
+    order = np.argsort(late, kind="stable")
+    late, early, e = [*late[order].tolist(), n], early[order].tolist(), 0
+    pos, pen = positions.tolist(), (penalties + window_cost).tolist()
     cost, back = [0.0] * n, [0] * n
-    queue: deque[tuple[float, int]] = deque([(0.0, 0)])  # (cost[i] + pos[i], i), ascending: padding is window - (p - pos[i])
+    # The queue: candidates of ascending cost + position from ``head`` to before ``tail``; padding is window - (p - position).
+    key_of, queue, head, tail, due = [0.0] * n, [0] * n, 0, 1, late[0]
     for j in range(1, n):
         p = pos[j]
         low = p - window
-        while pos[queue[0][1]] < low:
-            queue.popleft()
-        key, i = queue[0]
-        best = key + window - p
-        if j in exact:
-            for k in exact[j]:
-                if cost[k] < best:
-                    best, i = cost[k], k
-        best += pen[j] + window_cost
+        while pos[queue[head]] < low:
+            head += 1
+        i, best = queue[head], key_of[head] - low
+        while due == j:
+            k = early[e]
+            if cost[k] < best:
+                best, i = cost[k], k
+            e += 1
+            due = late[e]
+        best += pen[j]
         cost[j], back[j] = best, i
-        key = best + p
-        while queue and queue[-1][0] > key:
-            queue.pop()
-        queue.append((key, j))
+        best += p
+        while tail > head and key_of[tail - 1] > best:
+            tail -= 1
+        key_of[tail], queue[tail] = best, j
+        tail += 1
     cuts, j = [], n - 1
     while j > 0:
         cuts.append(pos[j])
@@ -100,85 +105,79 @@ def cost_of(cuts: list[int], positions: np.ndarray, penalties: np.ndarray, windo
     return total
 
 
-def sentence_ends(ids: np.ndarray, closing: np.ndarray) -> np.ndarray:
-    """Numbers of ids up to and with each id that closes a sentence, without the document's own end."""
-    return np.flatnonzero(closing[ids[:-1]]) + 1
-
-
 def closing_ids(path: str) -> np.ndarray:
     """Which ids' text ends with a sentence end; by the vocabulary itself."""
     t = encoder(path).tokenizer
     marks = {x if x != "\n" else "Ċ" for x in ENDS}  # the vocabulary writes a line break as that letter
-    out = np.zeros(t.get_vocab_size() + 1, bool)
+    out = np.zeros(max(t.get_vocab().values()) + 1, bool)
     for token, i in t.get_vocab().items():
         out[i] = token[-1:] in marks
     return out
 
 
-def pack_stream(docs: Iterator[tuple[int, np.ndarray]], window: int, closing: np.ndarray, sentence_penalty: float, word_penalty: float, window_cost: float, first_sequence: int, flush: int) -> Iterator[tuple]:
-    """Pieces of the documents in their order. Whenever ``flush`` ids are held they are packed and let go, so memory
-    is bounded; the cut forced there stands at a document's end and costs less than one window of padding."""
-    held: list[tuple[int, np.ndarray]] = []
-    weight, sequence = 0, first_sequence
-
-    def pack(rows: list[tuple[int, np.ndarray]]) -> Iterator[tuple]:
-        nonlocal sequence
-        spots, costs, at = [np.zeros(1, np.int64)], [np.zeros(1)], 0
-        for _, ids in rows:
-            inner = sentence_ends(ids, closing) if len(ids) > 1 else np.zeros(0, np.int64)
-            edges = np.concatenate(([0], inner, [len(ids)]))
-            kinds = np.concatenate((np.full(len(inner), sentence_penalty), [0.0]))
-            wide = np.flatnonzero(np.diff(edges) > window)
-            if len(wide):
-                extra = np.concatenate([np.arange(edges[w] + 1, edges[w + 1]) for w in wide])
-                edges, kinds = np.concatenate((edges[1:], extra)), np.concatenate((kinds, np.full(len(extra), word_penalty)))
-                order = np.argsort(edges, kind="stable")
-                edges, kinds = edges[order], kinds[order]
-            else:
-                edges = edges[1:]
-            spots.append(edges + at)
-            costs.append(kinds)
-            at += len(ids)
-        cuts = choose_cuts(np.concatenate(spots), np.concatenate(costs), window, window_cost)
-        k, last, at = 0, 0, 0
-        for doc_id, ids in rows:
-            start, n = 0, len(ids)
-            while start < n:
-                while cuts[k] <= at + start:
-                    last, k, sequence = cuts[k], k + 1, sequence + 1
-                stop = min(n, cuts[k] - at)
-                yield doc_id, start, stop - start, zlib.crc32(ids[start:stop].astype("<u4").tobytes()), n, sequence, at + start - last
-                start = stop
-            at += n
-        sequence += 1
-
-    for row in docs:
-        held.append(row)
-        weight += len(row[1])
-        if weight >= flush:
-            yield from pack(held)
-            held, weight = [], 0
-    if held:
-        yield from pack(held)
-
-
-def pack_documents(docs: DataFrame, vocabulary: str, window: int = 1024, separator: int = 0, sentence_penalty: float = 4.0, word_penalty: float = 48.0, window_cost: float = 64.0, id_col: str = "doc_id", text_col: str = "text", flush: int = 1 << 20) -> DataFrame:
-    """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
+def candidates(ids: np.ndarray, ends: np.ndarray, window: int, closing: np.ndarray, sentence_penalty: float, word_penalty: float) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of a stretch where a window may end, with 0, and what a cut there costs; ``ends``: where documents end."""
+    kind = np.zeros(len(ids) + 1, np.int8)  # 1: behind a sentence, 2: behind a document
+    kind[1:][closing[ids]] = 1
+    kind[ends] = 2
+    spots = np.concatenate(([0], np.flatnonzero(kind)))
+    wide = np.flatnonzero(np.diff(spots) > window)
+    if len(wide):
+        spots = np.sort(np.concatenate([spots, *[np.arange(spots[w] + 1, spots[w + 1]) for w in wide]]))
+    return spots, np.array([word_penalty, sentence_penalty, 0.0])[kind[spots]]
+
+
+def pack_stretch(doc_ids: list, ids: np.ndarray, ends: np.ndarray, first_sequence: int, window: int, closing: np.ndarray, sentence_penalty: float, word_penalty: float, window_cost: float) -> tuple[pa.RecordBatch, int]:
+    """The pieces of a run of documents, and how many sequences they make."""
+    cuts = np.array(choose_cuts(*candidates(ids, ends, window, closing, sentence_penalty, word_penalty), window, window_cost))
+    stops = np.union1d(cuts, ends)
+    starts = np.concatenate(([0], stops[:-1]))
+    doc, sequence = np.searchsorted(ends, starts, "right"), np.searchsorted(cuts, starts, "right")
+    doc_start, opened = np.concatenate(([0], ends)), np.concatenate(([0], cuts))
+    raw = memoryview(np.ascontiguousarray(ids, "<u4")).cast("B")
+    crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(starts.tolist(), stops.tolist())]
+    columns = (pa.array(doc_ids, pa.int64()).take(pa.array(doc)), starts - doc_start[doc], stops - starts, crc, (ends - doc_start[:-1])[doc], sequence + first_sequence, starts - opened[sequence])
+    return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) if not isinstance(c, pa.Array) else c for c, f in zip(columns, SCHEMA)], schema=SCHEMA), len(cuts)
+
+
+def pack_documents(docs: DataFrame, vocabulary: str, window: int = 1024, separator: int = 0, sentence_penalty: float = 4.0, word_penalty: float = 48.0, window_cost: float = 0.0, id_col: str = "doc_id", text_col: str = "text", flush: int = 1 << 20) -> DataFrame:
+    """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset.
+
+    Whenever ``flush`` ids are held they are packed and let go, so memory is bounded by that and the longest document; the
+    cut forced there stands at a document's end and costs less than one window of padding.
+    """
+    if window & (window - 1):
+        raise ValueError("the window is a power of two")
     rows = as_input(docs, id_col, text_col)
     parts = buckets_for(docs, mb=8, least=16)
 
     def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        enc, closing = encoder(vocabulary), closing_ids(vocabulary)
-        base = TaskContext.get().partitionId() << 40
-
-        def stream() -> Iterator[tuple[int, np.ndarray]]:
-            for batch in source:
-                for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                    yield doc_id, np.append(enc.ids(text or ""), np.uint32(separator))
-
-        yield from batches(pack_stream(stream(), window, closing, sentence_penalty, word_penalty, window_cost, base, flush), SCHEMA)
-
-    ranged = rows.repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id", F.crc32(F.coalesce("text", F.lit("")).cast("binary")))
+        closing, sequence = closing_ids(vocabulary), TaskContext.get().partitionId() << 40
+        names, ids, ends, held = [], [], [], 0
+
+        def packed() -> pa.RecordBatch:
+            nonlocal sequence
+            out, made = pack_stretch(names, np.concatenate(ids), np.concatenate(ends), sequence, window, closing, sentence_penalty, word_penalty, window_cost)
+            sequence += made
+            return out
+
+        for batch, flat, at in ended(source, vocabulary, separator):
+            lo = 0
+            while lo < batch.num_rows:  # up to the document with which ``flush`` ids are held
+                hi = min(batch.num_rows, int(np.searchsorted(at, at[lo] + flush - held)))
+                names += batch.column(0)[lo:hi].to_pylist()
+                ids.append(flat[at[lo] : at[hi]])
+                ends.append(at[lo + 1 : hi + 1] - at[lo] + held)
+                held += int(at[hi] - at[lo])
+                lo = hi
+                if held >= flush:
+                    yield packed()
+                    names, ids, ends, held = [], [], [], 0
+        if names:
+            yield packed()
+
+    crc = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
+    ranged = rows.repartitionByRange(parts, F.col("doc_id"), crc).sortWithinPartitions("doc_id", crc)
     return ranged.mapInArrow(run, SQL_SCHEMA)
