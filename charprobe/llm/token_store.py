@@ -17,51 +17,62 @@ from __future__ import annotations
 import hashlib
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import as_input, batches, buckets_for, staging_path
-from .token_ids import encoder
+from .token_ids import ended
 
 U64 = np.uint64
 #: Ids under the rolling hash (a power of two), its low bits that end a chunk, and a chunk's least and greatest number of ids.
 ROLL, MASK_BITS, LEAST, MOST = 8, 9, 64, 4096
 #: Documents whose roots make one block of the manifest's tree.
 BLOCK = 1024
+#: Digests that a task remembers while it encodes.
+SEEN = 500_000
 MIXED = pa.schema([("key", pa.int64()), ("kind", pa.string()), ("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("root", pa.binary()), ("digests", pa.list_(pa.binary())), ("lengths", pa.list_(pa.int32())), ("digest", pa.binary()), ("n_ids", pa.int32()), ("wide", pa.bool_()), ("payload", pa.binary())])
 MIXED_SQL = "key long, kind string, doc_id long, n_tokens long, root binary, digests array<binary>, lengths array<int>, digest binary, n_ids int, wide boolean, payload binary"
 
 
-def cut_points(ids: np.ndarray) -> list[int]:
-    """Ends of the chunks of one id stream; they depend on the content alone, so shared passages cut alike."""
-    n = len(ids)
-    if n <= LEAST:
-        return [n] if n else []
+def rolling_ends(ids: np.ndarray) -> np.ndarray:
+    """Numbers of ids up to and with each at which the rolling hash over the last ROLL ids has its low bits zero."""
     h = (ids.astype(U64) + U64(1)) * U64(0x9E3779B97F4A7C15)
     width, power = 1, 0x5851F42D4C957F2D
     while width < ROLL:  # a hash over twice as many ids from two of the last width
         wider = h.copy()
         wider[width:] += h[:-width] * U64(power)
         h, width, power = wider, 2 * width, power * power & (1 << 64) - 1
-    found = np.flatnonzero((h >> U64(64 - MASK_BITS)) == 0) + 1
-    ends, last = [], 0
-    for e in found.tolist():
+    return np.flatnonzero((h >> U64(64 - MASK_BITS)) == 0) + 1
+
+
+def chunk_ends(found: list[int], start: int, end: int) -> list[int]:
+    """Ends of the chunks of the document from start to end, of which ``found`` are the rolling hash's ends."""
+    ends, last = [], start
+    for e in found:
         while e - last > MOST:
             last += MOST
             ends.append(last)
-        if e - last >= LEAST and e < n:
+        if e - last >= LEAST and e < end:
             ends.append(e)
             last = e
-    while n - last > MOST:
+    while end - last > MOST:
         last += MOST
         ends.append(last)
-    ends.append(n)
+    if end > last:
+        ends.append(end)
     return ends
 
 
+def cut_points(ids: np.ndarray) -> list[int]:
+    """Ends of the chunks of one id stream; they depend on the content alone, so shared passages cut alike."""
+    return chunk_ends(rolling_ends(ids).tolist() if len(ids) >= LEAST else [], 0, len(ids))
+
+
 def merkle(leaves: list[bytes]) -> bytes:
     """Root of a binary hash tree; an odd node moves up as it is; no leaves: the digest of nothing."""
     level = [hashlib.blake2b(b"\0" + x, digest_size=16).digest() for x in leaves]
@@ -77,27 +88,36 @@ def digest_of(payload: bytes, wide: bool) -> bytes:
     return hashlib.blake2b(payload, digest_size=16, person=b"w4" if wide else b"w2").digest()
 
 
-def encode_rows(docs: Iterator[tuple[int | None, np.ndarray]]) -> Iterator[tuple]:
-    """A recipe row for each document, and a chunk row for each chunk that is new to this task."""
-    seen: set[bytes] = set()
-    for doc_id, ids in docs:
-        digests, lengths, last = [], [], 0
-        for end in cut_points(ids):
-            part = ids[last:end]
-            wide = bool(len(part)) and int(part.max()) > 0xFFFF
-            payload = part.astype("<u4" if wide else "<u2").tobytes()
+def encode_rows(doc_ids: list[int | None], ids: np.ndarray, at: np.ndarray, seen: set[bytes]) -> Iterator[tuple]:
+    """A recipe row for each document, and a chunk row for each chunk that is new to this task.
+
+    The documents' ids stand one after another; a chunk has at least LEAST ids before its end is looked for, more than
+    the rolling hash spans, so no end depends on the document before. ``seen`` only saves rows: it starts anew when full.
+    """
+    found = rolling_ends(ids)
+    near = np.searchsorted(found, at, "right").tolist()
+    narrow = ids.astype("<u2") if not len(ids) or int(ids.max()) <= 0xFFFF else None
+    at = at.tolist()
+    for k, doc_id in enumerate(doc_ids):
+        digests, lengths, last = [], [], at[k]
+        for end in chunk_ends(found[near[k] : near[k + 1]].tolist(), at[k], at[k + 1]):
+            wide = narrow is None and int(ids[last:end].max()) > 0xFFFF
+            payload = (ids[last:end].astype("<u4" if wide else "<u2") if narrow is None else narrow[last:end]).tobytes()
             d = digest_of(payload, wide)
             digests.append(d)
             lengths.append(end - last)
             if d not in seen:
+                if len(seen) >= SEEN:
+                    seen.clear()
                 seen.add(d)
                 yield int.from_bytes(d[:8], "little", signed=True), "chunk", None, None, None, None, None, d, end - last, wide, payload
             last = end
-        yield int.from_bytes(digests[0][8:], "little", signed=True) if digests else 0, "recipe", doc_id, len(ids), merkle(digests), digests, lengths, None, None, None, None
+        root = merkle(digests)
+        yield xxhash.xxh3_64_intdigest(root + repr(doc_id).encode()) - (1 << 63), "recipe", doc_id, at[k + 1] - at[k], root, digests, lengths, None, None, None, None
 
 
 def unique_chunks(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Drops repeated chunk rows; all rows of a digest are in this task."""
+    """Drops repeated chunk rows; all rows of a digest are in this task, which holds the digests of its share alone."""
     seen: set[bytes] = set()
     for batch in source:
         keep = []
@@ -105,7 +125,7 @@ def unique_chunks(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             keep.append(kind == "recipe" or d not in seen)
             if kind == "chunk":
                 seen.add(d)
-        yield batch.filter(pa.array(keep))
+        yield batch.filter(pa.array(keep, pa.bool_()))
 
 
 def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> None:
@@ -113,14 +133,9 @@ def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = 2, id
     spark = docs.sparkSession
 
     def encode(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(vocabulary)
-
-        def rows() -> Iterator[tuple[int | None, np.ndarray]]:
-            for batch in source:
-                for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                    yield doc_id, np.append(enc.ids(text or ""), np.uint32(end_id))
-
-        yield from batches(encode_rows(rows()), MIXED)
+        seen: set[bytes] = set()
+        parts = (encode_rows(batch.column(0).to_pylist(), ids, at, seen) for batch, ids, at in ended(source, vocabulary, end_id))
+        yield from batches(chain.from_iterable(parts), MIXED)
 
     mixed = as_input(docs, id_col, text_col).mapInArrow(encode, MIXED_SQL)
     parts = buckets_for(docs, mb=8, least=16)
