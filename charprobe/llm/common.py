@@ -38,11 +38,11 @@ def staging_path(spark: SparkSession, tag: str) -> str:
     return path
 
 
-def staged(df: DataFrame, tag: str) -> DataFrame:
-    """df written as Parquet to the shared folder and read again: cuts lineage and survives lost executors."""
+def staged(df: DataFrame, tag: str, by: str | None = None) -> DataFrame:
+    """df written as Parquet to the shared folder (in folders by a column) and read again: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = staging_path(spark, tag)
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -116,21 +116,41 @@ def window_hashes(h: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
-def record_batches(schema: pa.Schema, columns: dict[str, list | np.ndarray]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(columns[f.name], type=f.type) for f in schema], schema=schema)
+def packed(tokens: np.ndarray) -> tuple[bool, bytes]:
+    """Ascending 64-bit numbers as 6-byte differences where they fit, else whole."""
+    steps = np.diff(tokens, prepend=U64(0))
+    if len(steps) > 1 and steps[1:].max() < U64(1 << 48):
+        return True, tokens[:1].tobytes() + steps[1:].view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
+    return False, tokens.tobytes()
 
 
-def in_arrow(df: DataFrame, function, schema: str) -> DataFrame:
-    """mapInArrow, named here so that all operators call it alike."""
-    return df.mapInArrow(function, schema)
+def unpacked(short: bool, data: bytes) -> np.ndarray:
+    if not short:
+        return np.frombuffer(data, U64)
+    n = (len(data) - 8) // 6
+    wide = np.zeros((n + 1, 8), np.uint8)
+    wide[1:, :6] = np.frombuffer(data, np.uint8, offset=8).reshape(-1, 6)
+    steps = wide.reshape(-1).view(U64).copy()
+    steps[0] = np.frombuffer(data[:8], U64)[0]
+    return np.cumsum(steps, dtype=U64)
+
+
+def ranges(starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """All places of the given ranges, one after another."""
+    n = ends - starts
+    stop = np.cumsum(n)
+    return np.arange(stop[-1] if len(stop) else 0) + np.repeat(starts - stop + n, n)
 
 
 def batches(rows: Iterator[tuple], schema: pa.Schema, size: int = 4096, limit: int = 8 << 20) -> Iterator[pa.RecordBatch]:
     """Tuples into record batches of at most ``size`` rows or about ``limit`` bytes of binary values."""
+    heavy = [k for k, f in enumerate(schema) if pa.types.is_binary(f.type) or pa.types.is_list(f.type)]
     held, weight = [], 0
     for row in rows:
         held.append(row)
-        weight += sum(len(x) for x in row if isinstance(x, (bytes, np.ndarray)))
+        for k in heavy:
+            if row[k] is not None:
+                weight += len(row[k])
         if len(held) >= size or weight >= limit:
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*held), schema)], schema=schema)
             held, weight = [], 0

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U64, WordHasher, as_input, batches, buckets_for, connected_components, staged, text_key, texts_of, window_hashes
+from .common import U64, WordHasher, as_input, batches, buckets_for, connected_components, packed, staged, text_key, texts_of, unpacked, window_hashes
 
 #: N-grams that a task holds before it writes its blobs, and sets (their numbers take 16 bits; the last is a mark).
 HELD, SETS, MARK = 3_000_000, 65_000, 65_535
@@ -72,25 +72,6 @@ def prefix_length(size: int | np.ndarray, percent: int):
 # -- step 1 ------------------------------------------------------------------------------------------------------
 
 
-def packed(tokens: np.ndarray) -> tuple[bool, bytes]:
-    """Ascending 64-bit numbers as 6-byte differences where they fit, else whole."""
-    steps = np.diff(tokens, prepend=U64(0))
-    if len(steps) > 1 and steps[1:].max() < U64(1 << 48):
-        return True, tokens[:1].tobytes() + steps[1:].view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
-    return False, tokens.tobytes()
-
-
-def unpacked(short: bool, data: bytes) -> np.ndarray:
-    if not short:
-        return np.frombuffer(data, U64)
-    n = (len(data) - 8) // 6
-    wide = np.zeros((n + 1, 8), np.uint8)
-    wide[1:, :6] = np.frombuffer(data, np.uint8, offset=8).reshape(-1, 6)
-    steps = wide.reshape(-1).view(U64).copy()
-    steps[0] = np.frombuffer(data[:8], U64)[0]
-    return np.cumsum(steps, dtype=U64)
-
-
 LISTED = pa.schema([("bucket", pa.int32()), ("short", pa.bool_()), ("tokens", pa.binary()), ("numbers", pa.binary()), ("ids", pa.binary()), ("sizes", pa.binary())])
 LISTED_SQL = "bucket int, short boolean, tokens binary, numbers binary, ids binary, sizes binary"
 SHARED = pa.schema([("bucket", pa.int32()), ("ids", pa.binary()), ("sizes", pa.binary()), ("lengths", pa.binary()), ("tokens", pa.binary()), ("counts", pa.binary())])

@@ -53,7 +53,7 @@ def op9_hpy_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_bm25_search(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bm25.search_top_k(table(spark, sf_dir, "documents")).drop("query_crc32")
+    return bm25.search_top_k(table(spark, sf_dir, "documents")).drop("query_key")
 
 
 QUERIES = {f.__name__: f for f in (op1_jump_shards, op2_ngram_jaccard, op3_quality_rules, op4_packing, op5_url_rules, op6_rake_mix, op7_pu_quality, op8_token_store, op9_hpy_lm, op10_bm25_search)}

@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from charprobe.llm import bm25, hpy_lm, jaccard, mixing, packing, pu_quality, quality_rules, sharding, token_store, url_filter
+from charprobe.llm import bm25, common, hpy_lm, jaccard, mixing, packing, pu_quality, quality_rules, sharding, token_store, url_filter
 from charprobe.llm.common import text_key
 from charprobe.llm.token_ids import default_vocabulary, encoder
 
@@ -101,7 +101,7 @@ def test_packed_tokens_round_trip():
     rng = np.random.default_rng(0)
     for n in (1, 2, 50, 100_000):
         t = np.unique(rng.integers(0, 1 << 63, n, dtype=np.int64).astype(np.uint64))
-        assert (jaccard.unpacked(*jaccard.packed(t)) == t).all()
+        assert (common.unpacked(*common.packed(t)) == t).all()
 
 
 def test_quality_base_counts():
@@ -318,6 +318,35 @@ def test_search_equals_sql(spark, odd):
         assert sorted(map(str, (tuple(r[c] for c in cols) for r in got.collect()))) == sorted(map(str, want.astype(object).itertuples(index=False, name=None))), name
     rows = bm25.search_top_k(odd, 3).collect()
     assert {r["query_id"] for r in rows} == {20, 40} and bm25.search_top_k(odd.limit(0)).count() == 0
+    again = bm25.search_top_k(odd.unionByName(odd.where("doc_id = 20")), 4, least_shards=1).where("query_id = 20").orderBy("rank").collect()
+    assert [r["rank"] for r in again] == [1, 2, 3, 4] and sum(r["doc_id"] == 20 for r in again) == 2
+
+
+def test_pruned_search_equals_scoring_all():
+    """One shard of 3,000 documents: most blocks are left unread, and the best ten are those of scoring every document."""
+    rng = np.random.default_rng(2)
+    texts = []
+    for _ in range(3000):
+        topic, size = rng.integers(0, 40), int(rng.integers(5, 120))
+        word = np.where(rng.random(size) < 0.2, rng.zipf(1.3, size) % 300, 1000 + 60 * topic + rng.integers(0, 60, size))
+        texts.append(word.astype(np.uint64))
+    texts[7] = np.concatenate([texts[8], np.full(70_000, texts[8][0])])  # one word more often than 16 bits count
+    docs = [(i, len(t), *np.unique(t, return_counts=True)) for i, t in enumerate(texts)]
+    held = bm25.lists(bm25.inverted(docs))
+    df = np.bincount(np.searchsorted(held[2], np.concatenate([d[2] for d in docs])))
+    mean = sum(len(t) for t in texts) / 3000
+    shard = bm25.Shard(*held, df, 3000, mean)
+    for q in range(0, 3000, 30):
+        t = docs[q][2]
+        score = np.zeros(3000)
+        for x, (_, n, terms, counts) in enumerate(docs):
+            both, _, at = np.intersect1d(t, terms, return_indices=True)
+            f = df[np.searchsorted(held[2], both)]
+            score[x] = np.round((np.log(1 + (3000 - f + 0.5) / (f + 0.5)) * counts[at] * 2.2 / (counts[at] + 1.2 * (0.25 + 0.75 * n / mean))).sum(), 6)
+        want = np.lexsort((np.arange(3000), -score))[:10]
+        got, scores = shard.top(shard.find_terms(t), 10)
+        assert shard.ids[got].tolist() == want[score[want] > 0].tolist() and np.allclose(scores, score[want][score[want] > 0], atol=2e-6)
+    assert shard.visited < 0.7 * shard.asked
 
 
 def test_pipeline_keeps_clean_rows_without_or_with_repeated_ids(spark, monkeypatch):
