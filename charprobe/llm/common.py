@@ -38,14 +38,39 @@ def staging_path(spark: SparkSession, tag: str) -> str:
     return path
 
 
+#: Set while a table is written: Spark then removes the shuffle files of that write when it has ended.
+FREED = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def staged(df: DataFrame, tag: str, by: str | None = None) -> DataFrame:
     """df written as Parquet to the shared folder (in folders by a column) and read again: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = staging_path(spark, tag)
-    (df.write.partitionBy(by) if by else df.write).parquet(path)
+    before = spark.conf.get(FREED, None)
+    spark.conf.set(FREED, "true")
+    try:
+        (df.write.partitionBy(by) if by else df.write).parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(FREED)
+        else:
+            spark.conf.set(FREED, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def dropped(df: DataFrame, part: str = "") -> None:
+    """Removes the files of a staged table that is no longer read, or one of its folders."""
+    jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
+    root = df.inputFiles()
+    if root:
+        path = jvm.org.apache.hadoop.fs.Path(root[0]).getParent()
+        while "charprobe-" not in path.getName():
+            path = path.getParent()
+        if part:
+            path = jvm.org.apache.hadoop.fs.Path(path, part)
+        path.getFileSystem(conf).delete(path, True)
+
+
 def buckets_for(df: DataFrame, mb: int = 8, least: int = 48, most: int = 1 << 16) -> int:
     """How many partitions give about mb MB of input each, from the optimizer's own estimate of the size.
 
@@ -135,11 +160,28 @@ def unpacked(short: bool, data: bytes) -> np.ndarray:
     return np.cumsum(steps, dtype=U64)
 
 
+def in_bytes(counts: np.ndarray) -> tuple[bytes, bytes]:
+    """Counts as a byte each; those of 255 or more stand in a list of their own."""
+    return np.minimum(counts, 255).astype(np.uint8).tobytes(), counts[counts >= 255].astype(np.uint32).tobytes()
+
+
+def from_bytes(counts: bytes, large: bytes) -> np.ndarray:
+    out = np.frombuffer(counts, np.uint8).astype(np.uint32)
+    out[out == 255] = np.frombuffer(large, np.uint32)
+    return out
+
+
+def rows_of(batch: pa.RecordBatch) -> Iterator[dict]:
+    """One row at a time; binary values are views of the batch's own memory."""
+    for r in range(batch.num_rows):
+        yield {name: batch.column(c)[r].as_buffer() if pa.types.is_binary(f.type) else batch.column(c)[r].as_py() for c, (name, f) in enumerate(zip(batch.schema.names, batch.schema))}
+
+
 def ranges(starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """All places of the given ranges, one after another."""
     n = ends - starts
-    stop = np.cumsum(n)
-    return np.arange(stop[-1] if len(stop) else 0) + np.repeat(starts - stop + n, n)
+    stop = np.cumsum(n, dtype=starts.dtype)
+    return np.arange(stop[-1] if len(stop) else 0, dtype=starts.dtype) + np.repeat(starts - stop + n, n)
 
 
 def batches(rows: Iterator[tuple], schema: pa.Schema, size: int = 4096, limit: int = 8 << 20) -> Iterator[pa.RecordBatch]:
