@@ -1,23 +1,26 @@
-"""Operator 9: a hierarchical Pitman-Yor language model.
-
-Each context (the word before) is a restaurant whose dishes are the next words; all share one parent restaurant.
-Contexts and dishes are the ``head`` most frequent training words, one dish for all rarer words, and the end of a
-text; a rarer word is then served by a restaurant of its own kind, where each known word has one table and the rest of the
-mass is the unknown word's. Seating is sampled by Gibbs: a state is the number of tables of each dish in each
-restaurant, and a step adds or removes one table with its exact conditional odds (generalised Stirling numbers). Every
-dish of every restaurant steps at once, against the counts of the step before. Predictive probabilities are averaged over
-the kept sweeps. Discounts come from the counts of counts.
-
-Counts are over all training documents: of words (a table that grows with the corpus), and of pairs of head symbols
-((head + 2) squared at most, whatever the corpus). The base score's counts are exact: frequent words' from a
-list of at most ``listed`` words that every task has, all others' by a join. Null texts count as empty; an empty text is its end
-alone. Repeated rows get rows of their own. With no training document every probability is that of the unknown word.
+"""Operator 9: a hierarchical Pitman-Yor language model over all words.
+
+Each word (and the start of a text) is a context with a restaurant of its own, whose dishes are the words and ends that
+follow it; all these share one parent restaurant, and that one's base spells a word byte by byte (letter_logs). No word is
+left out: contexts, dishes and their counts are tables that grow with the corpus, dealt by context.
+
+Seating is sampled by Gibbs (see pitman_yor): given the parent's probabilities the restaurants draw their tables apart
+from each other, each in the task that has its context; their tables are then the parent's customers, dealt by word,
+which draws its own tables in turn. Discounts and concentrations are drawn between the sweeps. Predictive probabilities
+are averaged over the last sweeps:
+
+    P(w | u) = (c_uw - d t_uw + (a + d T_u) P(w)) / (a + c_u),   P(w) = (c_w - d' t_w + (a' + d' T) base(w)) / (a' + C)
+
+with c_w the tables of all contexts that serve w. Summed over all words of all lengths and the end, each is 1, for contexts
+never seen too (these have P(w)). Scores go the other way: each task asks, for the pairs of its documents, the task of
+the context, which knows the restaurant and adds up what it has for each document.
+
+Null texts count as empty; an empty text is its end alone. Repeated rows, and rows with null ids, get rows of their
+own. With no training document every word has its base probability. Words are held as 64-bit hashes.
 """
 
 from __future__ import annotations
 
-import zlib
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,247 +28,413 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_input, batches, crc_remainder, staged, texts_of
+from .common import U64, as_input, batches, buckets_for, crc_remainder, dropped, from_bytes, in_bytes, packed, rows_of, staged, unpacked
+from .pitman_yor import draw_parameters, draw_tables, histogram, stirling_table, sweep
+from .scan import SPACE, Words
 
 FOLDS, HELD_OUT = 7, 2
-CONCENTRATION = 1.0
-#: Greatest count with Stirling numbers of its own; larger ones are scaled down to it.
-STIRLING = 800
-
-
-def stirling_ratios(d: float, most: int = STIRLING) -> np.ndarray:
-    """log S(c, t+1) - log S(c, t) for 1 <= t < c <= most, by the recursion over customers; -inf where t + 1 > c."""
-    row = np.full(most + 2, -np.inf)
-    row[1] = 0.0
-    out = np.full((most + 1, most + 1), -np.inf)
-    t = np.arange(most + 2)
-    with np.errstate(invalid="ignore", divide="ignore"):
-        for c in range(1, most + 1):
-            out[c, 1:] = np.where(np.isfinite(row[2:]), row[2:] - row[1:-1], -np.inf)
-            stay = np.log(np.maximum(c - d * t, 1e-300)) + row
-            row = np.logaddexp(np.concatenate(([-np.inf], row[:-1])), stay)
-            row[0] = -np.inf
-    return out
-
-
-class Seating:
-    """Tables of every (context, dish) and of the parent, and their Gibbs steps."""
-
-    def __init__(self, context: np.ndarray, dish: np.ndarray, count: np.ndarray, symbols: int, seed: int) -> None:
-        self.u, self.w, self.c, self.n = context, dish, count.astype(np.int64), symbols
-        once, twice = int((count == 1).sum()), int((count == 2).sum())
-        self.d = float(np.clip(once / (once + 2 * twice), 0.1, 0.95)) if once else 0.5
-        self.d0 = 0.5
-        self.theta = CONCENTRATION
-        self.rng = np.random.default_rng(seed)
-        self.ratio, self.ratio0 = stirling_ratios(self.d), stirling_ratios(self.d0)
-        self.customers = np.bincount(self.u, weights=self.c, minlength=symbols)
-        self.t = np.maximum(1, np.minimum(self.c, np.round(self.c**self.d).astype(np.int64)))
-        self.parent_c = np.bincount(self.w, weights=self.t, minlength=symbols).astype(np.int64)
-        self.parent_t = np.minimum(self.parent_c, np.maximum(1, np.round(self.parent_c**self.d0).astype(np.int64)))
-
-    def _odds(self, table: np.ndarray, d: float, c: np.ndarray, t: np.ndarray) -> np.ndarray:
-        """log S(c, t+1) - log S(c, t); beyond STIRLING at the same t / c**d, where it goes as 1 / t."""
-        small = c <= STIRLING
-        scale = np.where(small, 1.0, (STIRLING / np.maximum(c, 1.0)) ** d)
-        near = np.clip(np.where(small, t, np.round(t * scale)), 1, STIRLING).astype(np.int64)
-        got = table[np.minimum(c, STIRLING), near]
-        return np.where(t < 1, np.inf, got + np.where(small, 0.0, np.log(near / np.maximum(t, 1))))
+#: The start of a text as a context, and its end as a dish.
+START, END = U64(1), U64(2)
+#: The base's parameters: an end's share, a letter's share among bytes, and that a byte is a word's last (fixed values).
+ENDS, LETTERS, LAST = 0.02, 0.9, 0.15
+#: Bytes that a lower-cased word can have besides a to z: no white space, no capitals.
+OTHERS = 256 - int(SPACE.sum()) - 52
+#: Pairs that a task holds before it writes them out.
+HELD = 3_000_000
+NO_ID = -(1 << 63)
+
+LETTER = np.zeros(256, bool)
+LETTER[[*range(65, 91), *range(97, 123)]] = True
+ASK, TELL, STATE, TABLES, STATS, DOCS, PAIRS, PART, HISTOGRAM = "ask", "1 tell", "0 state", "1 tables", "stats", "0 docs", "2 pairs", "1 part", "histogram"
+ROW = pa.schema([("kind", pa.string()), ("bucket", pa.int32()), ("part", pa.int64()), ("numbers", pa.list_(pa.float64())), ("short", pa.bool_()), ("contexts", pa.binary()), ("runs", pa.binary()), ("words_short", pa.bool_()), ("words", pa.binary()), ("places", pa.binary()), ("counts", pa.binary()), ("large", pa.binary()), ("extra", pa.binary()), ("more", pa.binary())])
+ROW_SQL = "kind string, bucket int, part long, numbers array<double>, short boolean, contexts binary, runs binary, words_short boolean, words binary, places binary, counts binary, large binary, extra binary, more binary"
+EMPTY = dict.fromkeys(ROW.names)
+OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
+
+
+def row(**values) -> tuple:
+    return tuple((EMPTY | values).values())
+
+
+def letter_logs(letters: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Natural log of the base probability of words with so many letters among so many bytes: (1 - ENDS) times the
+    chance of the length times that of each byte. A size of 0 is the end."""
+    word = np.log(1 - ENDS) + np.log(LAST) + (size - 1) * np.log1p(-LAST) + letters * np.log(LETTERS / 26) + (size - letters) * np.log((1 - LETTERS) / OTHERS)
+    return np.where(size == 0, np.log(ENDS), word)
+
+
+class Spelled:
+    """Dishes of a column of texts: of each text its words and the end; the contexts before them; and their spelling's base."""
+
+    def __init__(self, column: pa.Array) -> None:
+        w = Words(column, True)
+        letters = np.zeros(len(w.data) + 1, np.int64)
+        np.cumsum(LETTER[w.data], out=letters[1:])
+        base = letter_logs(letters[w.end] - letters[w.start], w.end - w.start)
+        self.dish = np.insert(w.hash, w.first[1:], END)
+        self.base = np.insert(base, w.first[1:], np.log(ENDS)).astype(np.float32)
+        self.context = np.insert(w.hash, w.first[:-1], START)
+        self.n_tokens = np.diff(w.first) + 1
+
+
+def bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
+    """Ends of the buckets' runs in ascending hashes: a bucket is a range of hashes."""
+    return np.append(np.searchsorted(h, np.array([(k << 64) // buckets for k in range(buckets)], dtype=U64)), len(h))
+
+
+def as_places(x: np.ndarray, most: int) -> bytes:
+    return x.astype(np.uint16 if most <= 1 << 16 else np.uint32).tobytes()
+
+
+def places_of(data, most: int) -> np.ndarray:
+    return np.frombuffer(data, np.uint16 if most <= 1 << 16 else np.uint32).astype(np.int64)
+
+
+def pair_blobs(held: list[tuple], buckets: int, scoring: bool) -> Iterator[dict]:
+    """Distinct (context, dish) pairs for each bucket. In training with their counts, and the base of each dish; in
+    scoring with the documents (numbers within the run) that have them, one entry for each time."""
+    context, dish, base, doc = (np.concatenate(x) for x in zip(*held))
+    names, first, place = np.unique(np.append(dish, START), return_index=True, return_inverse=True)
+    place = place.astype(U64)
+    before = np.concatenate((place[-1:], place[:-2]))  # a context is the dish before, or the start
+    before[context == START] = place[-1]
+    key = before << U64(32) | place[:-1]
+    order = np.argsort(key, kind="stable")
+    key, doc = key[order], doc[order]  # in training doc is 1 for a training row and 0 for others
+    start = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+    pair, size = key[start], np.diff(np.append(start, len(key)))
+    ends = np.searchsorted(pair, bucket_of(names, buckets).astype(U64) << U64(32))
+    known_base = np.append(base, np.float32(0))[np.minimum(first, len(base))]
+    counts = size if scoring else np.add.reduceat(doc.astype(np.int64), start)
+    edge = np.append(start, len(key))
+    for b in range(buckets):
+        lo, hi = int(ends[b]), int(ends[b + 1])
+        if hi > lo:
+            u, runs = np.unique(pair[lo:hi] >> U64(32), return_counts=True)
+            w, at = np.unique(pair[lo:hi] & U64(0xFFFFFFFF), return_inverse=True)
+            short, contexts = packed(names[u.astype(np.int64)])
+            words_short, words = packed(names[w.astype(np.int64)])
+            small, large = in_bytes(counts[lo:hi])
+            out = {"bucket": b, "short": short, "contexts": contexts, "runs": runs.astype(np.uint32).tobytes(), "words_short": words_short, "words": words, "places": as_places(at, len(w)), "counts": small, "large": large}
+            if scoring:
+                out["extra"] = as_places(doc[edge[lo] : edge[hi]], int(doc.max()) + 1)
+            else:
+                out["extra"] = known_base[w.astype(np.int64)].astype(np.float32).tobytes()
+            yield out
+
+
+def read_pairs(r: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct contexts and words of a blob, and of each pair the places in these and its count."""
+    contexts, words = unpacked(r["short"], r["contexts"]), unpacked(r["words_short"], r["words"])
+    return contexts, words, np.repeat(np.arange(len(contexts)), np.frombuffer(r["runs"], np.uint32)), places_of(r["places"], len(words)), from_bytes(r["counts"], r["large"])
+
+
+def training_pairs(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
+    """Pairs of all documents with their counts in the training ones, so that each bucket knows all words it is asked for."""
+    held, amount = [], 0
+    for batch in source:
+        s = Spelled(batch.column(1))
+        train = np.repeat(~np.array(batch.column(2).to_pylist(), bool), s.n_tokens).astype(np.uint8) if len(s.n_tokens) else np.zeros(0, np.uint8)
+        held.append((s.context, s.dish, s.base, train))
+        amount += len(s.dish)
+        if amount >= HELD:
+            for blob in pair_blobs(held, buckets, False):
+                yield row(kind=PAIRS, **blob)
+            held, amount = [], 0
+    if amount:
+        for blob in pair_blobs(held, buckets, False):
+            yield row(kind=PAIRS, **blob)
+
+
+def by_word(words: np.ndarray, parts: int, bucket: int, kind: str, **columns: np.ndarray) -> Iterator[tuple]:
+    """Columns of a bucket's words, dealt by word; ``words`` ascend, so they need not be told again afterwards."""
+    ends = bucket_of(words, parts)
+    for p in range(parts):
+        lo, hi = ends[p], ends[p + 1]
+        if hi > lo:
+            short, data = packed(words[lo:hi]) if kind == ASK else (None, None)
+            yield row(kind=kind, bucket=bucket, part=p, words_short=short, words=data, **{k: v[lo:hi].tobytes() for k, v in columns.items()})
+
+
+def gathered(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
+    """Of each bucket (its rows come one after another): its restaurants, and what it asks of the parent."""
+    bucket, held = None, []
+
+    def told() -> Iterator[tuple]:
+        if not held:
+            return
+        contexts, words = np.unique(np.concatenate([h[0] for h in held])), np.unique(np.concatenate([h[1] for h in held]))
+        base = np.zeros(len(words), np.float32)
+        keys, counts = [], []
+        for u, w, cu, cw, n, b in held:
+            at = np.searchsorted(words, w)
+            base[at] = b
+            keys.append(np.searchsorted(contexts, u)[cu] << 32 | at[cw])
+            counts.append(n)
+        keys, counts = np.concatenate(keys), np.concatenate(counts).astype(np.int64)
+        order = np.argsort(keys, kind="stable")
+        keys, counts = keys[order], counts[order]
+        start = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+        keys, counts = keys[start], np.add.reduceat(counts, start)
+        seen = counts > 0  # pairs of documents that are held out only told their words
+        keys, counts = keys[seen], counts[seen]
+        cu, cw = keys >> 32, keys & 0xFFFFFFFF
+        runs = np.bincount(cu, minlength=len(contexts))
+        short, data = packed(contexts)
+        words_short, names = packed(words)
+        small, large = in_bytes(counts)
+        yield row(kind=STATE, bucket=bucket, short=short, contexts=data, runs=runs.astype(np.uint32).tobytes(), words_short=words_short, words=names, places=as_places(cw, len(words)), counts=small, large=large, extra=base.tobytes())
+        yield row(kind=STATS, bucket=bucket, numbers=[float((counts == 1).sum()), float((counts == 2).sum())])
+        n = np.bincount(cw, weights=counts, minlength=len(words)).astype(np.int64)
+        yield from by_word(words, buckets, bucket, ASK, counts=n, runs=np.bincount(cw, minlength=len(words)).astype(np.uint32), extra=base)
+
+    for batch in source:
+        for r in rows_of(batch):
+            if r["bucket"] != bucket:
+                yield from told()
+                bucket, held = r["bucket"], []
+            held.append((*read_pairs(r), np.frombuffer(r["extra"], np.float32)))
+    yield from told()
+
+
+def parent_rows(source: Iterator[pa.RecordBatch], d: float, a: float, tables: float, draw: bool, last: bool, seed: int) -> Iterator[tuple]:
+    """For each bucket, of its words: the parent's weight of them (a draw, or ``last`` its mean: customers less discounted tables), and counts in the corpus.
+
+    The rows of a part come one after another: first what all buckets ask, then, from the second sweep on, their tables.
+    """
+    part, asked, later = None, [], {}
+
+    def told() -> Iterator[tuple]:
+        if not asked:
+            return
+        words, place = np.unique(np.concatenate([x[1] for x in asked]), return_inverse=True)
+        n = np.bincount(place, weights=np.concatenate([x[2] for x in asked]), minlength=len(words)).astype(np.int64)
+        own = np.concatenate([later.get(x[0], x[3]) for x in asked])
+        c = np.bincount(place, weights=own, minlength=len(words)).astype(np.int64)
+        base = np.zeros(len(words), np.float32)
+        base[place] = np.concatenate([x[4] for x in asked])
+        t = (c > 0).astype(np.int64)
+        rng = np.random.default_rng([seed, part])
+        if draw and c.any():
+            # The parent's own step: one restaurant whose parent is the base.
+            x = np.log(d) + np.log(rng.gamma(a / d + tables))
+            held = np.flatnonzero(c)
+            t[held] = draw_tables(c[held], x + base[held].astype(np.float64), d, stirling_table(d), rng, t[held])
+        mass = c - d * t
+        if not last:  # the contexts' step is exact given a draw of the parent's probabilities; scores take their mean
+            mass = rng.gamma(mass)
+        lo = 0
+        for bucket, w, *_ in asked:
+            at = place[lo : lo + len(w)]
+            lo += len(w)
+            yield row(kind=TELL, bucket=bucket, part=part, runs=mass[at].astype(np.float64).tobytes(), counts=n[at].astype(np.int64).tobytes())
+        yield row(kind=STATS, part=part, numbers=[float(n.sum()), float((n > 0).sum()), float(c.sum()), float(t.sum()), float(mass.sum())])
+        for kind, x, y, m in histogram(c[c > 0], t[c > 0], np.zeros(0), np.zeros(0)):
+            yield row(kind=HISTOGRAM, part=part, numbers=[kind, x, y, m])
+
+    for batch in source:
+        for r in rows_of(batch):
+            if r["part"] != part:
+                yield from told()
+                part, asked, later = r["part"], [], {}
+            if r["kind"] == ASK:
+                asked.append((r["bucket"], unpacked(r["words_short"], r["words"]), np.frombuffer(r["counts"], np.int64), np.frombuffer(r["runs"], np.uint32).astype(np.int64), np.frombuffer(r["extra"], np.float32)))
+            else:
+                later[r["bucket"]] = np.frombuffer(r["runs"], np.uint32).astype(np.int64)
+    yield from told()
+
+
+class Room:
+    """The restaurants of one bucket, and their Gibbs steps; ``p`` holds the parameters of both levels and the parent's totals."""
+
+    def __init__(self, state: dict, p: dict) -> None:
+        self.contexts, self.words, self.u, self.w, c = read_pairs(state)
+        self.c, self.p = c.astype(np.int64), p
+        self.base = np.exp(np.frombuffer(state["extra"], np.float32).astype(np.float64))
+        self.customers = np.bincount(self.u, weights=self.c, minlength=len(self.contexts))
+        self.tables = np.bincount(self.u, minlength=len(self.contexts)).astype(np.float64)
+        self.t = np.ones(len(self.c), np.int64)
+        self.mass, self.n, self.many = [], [], None
+
+    def hear(self, r: dict) -> None:
+        self.mass.append(np.frombuffer(r["runs"], np.float64))
+        self.n.append(np.frombuffer(r["counts"], np.int64))
 
     def parent(self) -> np.ndarray:
-        c, t = self.parent_c.astype(float), self.parent_t.astype(float)
-        return (c - self.d0 * t + (self.theta + self.d0 * t.sum()) / self.n) / (self.theta + c.sum())
-
-    def _walk(self, table: np.ndarray, d: float, c: np.ndarray, t: np.ndarray, weight: np.ndarray) -> np.ndarray:
-        """One step for each entry; weight: log of what one more table brings besides the Stirling numbers."""
-        up = self.rng.random(len(c)) < 0.5
-        at = np.where(up, t, t - 1)
-        odds = self._odds(table, d, c, at) + weight
-        accept = np.log(self.rng.random(len(c))) < np.where(up, odds, -odds)
-        moved = t + np.where(up, 1, -1) * accept
-        return np.where((moved >= 1) & (moved <= c), moved, t)
-
-    def sweep(self, steps: int = 4) -> None:
-        for _ in range(steps):
-            tables = np.bincount(self.u, weights=self.t, minlength=self.n)
-            weight = np.log(self.theta + self.d * tables)[self.u] + np.log(self.parent())[self.w]
-            self.t = self._walk(self.ratio, self.d, self.c, self.t, weight)
-            self.parent_c = np.bincount(self.w, weights=self.t, minlength=self.n).astype(np.int64)
-            self.parent_t = np.minimum(np.maximum(self.parent_t, (self.parent_c > 0).astype(np.int64)), self.parent_c)
-            held = np.flatnonzero(self.parent_c)
-            weight = np.log(self.theta + self.d0 * self.parent_t.sum()) - np.log(self.n) + np.zeros(len(held))
-            self.parent_t[held] = self._walk(self.ratio0, self.d0, self.parent_c[held], self.parent_t[held], weight)
-
-    def predictive(self) -> np.ndarray:
-        """P(dish | context) for all, of this seating: each row sums to 1."""
-        tables = np.bincount(self.u, weights=self.t, minlength=self.n)
-        full = ((self.theta + self.d * tables) / (self.theta + self.customers))[:, None] * self.parent()[None, :]
-        full[self.u, self.w] += (self.c - self.d * self.t) / (self.theta + self.customers)[self.u]
-        return full
-
-
-def averaged(context: np.ndarray, dish: np.ndarray, count: np.ndarray, symbols: int, burn: int = 6, keep: int = 6, seed: int = 42) -> np.ndarray:
-    """Mean predictive probabilities over ``keep`` sweeps after ``burn`` others: symbols x symbols, rows sum to 1."""
-    s = Seating(context, dish, count, symbols, seed)
-    out = np.zeros((symbols, symbols), np.float32)
-    for k in range(burn + keep):
-        s.sweep()
-        if k >= burn:
-            out += (s.predictive() / keep).astype(np.float32)
-    return out
-
-
-def words_of(text: bytes) -> list[bytes]:
-    return text.lower().split()
-
-
-def training_words(source: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
-    """Counts of words, each word at least once for a run of documents, and of ends (the empty word)."""
-    held: Counter = Counter()
-    ends = 0
+        """P(w) of all words of the bucket."""
+        p = self.p
+        mass = np.concatenate(self.mass) if self.mass else np.zeros(len(self.words))
+        return (mass + p["rest"] * self.base) / (p["weight"] + p["rest"])
+
+    def sweeps(self, steps: int, keep: int, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray]:
+        """Over the last ``keep`` of the steps, the mean of what a pair's own customers and what its parent weigh."""
+        d, a = self.p["d"], self.p["a"]
+        log_parent, table = np.log(self.parent())[self.w], stirling_table(d)
+        own, rest = np.zeros(len(self.c)), np.zeros(len(self.contexts))
+        some = np.flatnonzero(self.c > 1)  # a lone customer has a table of its own
+        for k in range(steps):
+            self.t[some] = sweep(self.u[some], self.c[some], self.t[some], self.tables, log_parent[some], d, a, table, rng)
+            self.tables = np.bincount(self.u, weights=self.t, minlength=len(self.contexts))
+            if k >= steps - keep:
+                own += (self.c - d * self.t) / (a + self.customers)[self.u] / keep
+                rest += (a + d * self.tables) / (a + self.customers) / keep
+        return own, rest
+
+
+def seated(source: Iterator[pa.RecordBatch], buckets: int, p: dict, steps: int, seed: int) -> Iterator[tuple]:
+    """A few Gibbs steps of each bucket: its words' tables for the parent, and the histograms that the parameters' draw needs."""
+    room, bucket = None, None
+
+    def told() -> Iterator[tuple]:
+        if room is None:
+            return
+        room.sweeps(steps, 1, np.random.default_rng([seed, 1, bucket]))
+        yield from by_word(room.words, buckets, bucket, TABLES, runs=np.bincount(room.w, weights=room.t, minlength=len(room.words)).astype(np.uint32))
+        full = room.customers > 0
+        for kind, x, y, m in histogram(room.c, room.t, room.customers[full], room.tables[full]):
+            yield row(kind=HISTOGRAM, bucket=bucket, numbers=[kind, x, y, m])
+
     for batch in source:
-        for text in texts_of(batch, 0):
-            held.update(words_of(text))
-            ends += 1
-            if len(held) > 300_000:
-                yield from held.items()
-                held = Counter()
-    yield from held.items()
-    if ends:
-        yield b"", ends
-
-
-def symbol_pairs(source: Iterator[pa.RecordBatch], head: list[bytes]) -> Iterator[tuple]:
-    rare, end = len(head), len(head) + 1
-    n = len(head) + 2
-    number = {w: k for k, w in enumerate(head)}
-    table = np.zeros(n * n, np.int64)
-    waiting, amount = [], 0
+        for r in rows_of(batch):
+            if r["kind"] == STATE:
+                yield from told()
+                room, bucket = Room(r, p), r["bucket"]
+            else:
+                room.hear(r)
+    yield from told()
+
+
+def asked_scores(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
+    """Runs of documents, and for each bucket the pairs that they have there. A run's number is its task's and its own."""
+    from pyspark import TaskContext
+
+    run = TaskContext.get().partitionId() << 24
+    held, docs, amount = [], [], 0
+
+    def out() -> Iterator[tuple]:
+        ids, out_of, sizes = (np.concatenate(x) for x in zip(*docs))
+        yield row(kind=DOCS, bucket=run % buckets, part=run, contexts=ids.tobytes(), counts=out_of.tobytes(), runs=sizes.tobytes())
+        for blob in pair_blobs(held, buckets, True):
+            yield row(kind=PAIRS, part=run, **blob)
+
     for batch in source:
-        for text in texts_of(batch, 0):
-            words = words_of(text)
-            s = np.fromiter((number.get(w, rare) for w in words), np.int64, len(words))
-            waiting.append(np.concatenate(([end], s)) * n + np.concatenate((s, [end])))
-            amount += len(words) + 1
-            if amount > 2_000_000:
-                table += np.bincount(np.concatenate(waiting), minlength=n * n)
-                waiting, amount = [], 0
-    if waiting:
-        table += np.bincount(np.concatenate(waiting), minlength=n * n)
-    for k in np.flatnonzero(table).tolist():
-        yield k, int(table[k])
-
-
-class Model:
-    """What a task needs to score: listed words with counts, the head's size, log10 P(dish | context), and the rare words' part."""
-
-    def __init__(self, listed: list[bytes], counts: np.ndarray, head: int, logs: np.ndarray, n: int, v: int, rare_n: int, rare_v: int, discount: float) -> None:
-        self.listed, self.counts, self.head, self.logs = listed, counts, head, logs
-        self.n, self.v, self.rare_n, self.rare_v, self.discount = n, v, rare_n, rare_v, discount
-
-    def rare_log(self, count: np.ndarray) -> np.ndarray:
-        """log10 P(word | rare) for a training count; 0: the unknown word."""
-        if not self.rare_n:
-            return np.zeros(len(count))
-        known = np.log10(np.maximum(count - self.discount, 1e-9) / self.rare_n)
-        return np.where(count > 0, known, np.log10(max(self.discount * self.rare_v, 1e-9) / self.rare_n))
-
-    def base_log(self, count: np.ndarray) -> np.ndarray:
-        return np.log10((count + 1.0) / (self.n + self.v + 1.0))
-
-
-SCORED = pa.schema([("word", pa.binary()), ("doc_id", pa.int64()), ("text_crc", pa.int64()), ("held_out", pa.bool_()), ("times", pa.int32()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base", pa.float64()), ("score", pa.float64())])
-SCORED_SQL = "word binary, doc_id long, text_crc long, held_out boolean, times int, n_tokens long, n_known long, base double, score double"
-
-
-def score_texts(source: Iterator[pa.RecordBatch], model: Model) -> Iterator[tuple]:
-    """A row for each document with what this task knows of it, and one for each of its words that is not listed."""
-    number = {w: k for k, w in enumerate(model.listed)}
-    rare, end = model.head, model.head + 1
-    base_of, rare_of = model.base_log(model.counts), model.rare_log(model.counts)
-    ends = model.counts_end
-    end_base = float(model.base_log(np.array([ends]))[0])
+        if not batch.num_rows:
+            continue
+        s = Spelled(batch.column(1))
+        before = sum(len(d[0]) for d in docs)
+        held.append((s.context, s.dish, s.base, np.repeat(np.arange(before, before + batch.num_rows, dtype=np.uint32), s.n_tokens)))
+        ids = np.array([NO_ID if x is None else x for x in batch.column(0).to_pylist()], np.int64)
+        docs.append((ids, np.array(batch.column(2).to_pylist(), np.uint8), s.n_tokens.astype(np.int64)))
+        amount += len(s.dish)
+        if amount >= HELD:
+            yield from out()
+            held, docs, amount, run = [], [], 0, run + 1
+    if docs:
+        yield from out()
+
+
+def partial_scores(source: Iterator[pa.RecordBatch], p: dict, steps: int, keep: int, seed: int) -> Iterator[tuple]:
+    """For each run of documents, what this bucket's pairs add to their scores."""
+    room, bucket, own, rest, parent, n, key = None, None, None, None, None, None, None
+    for batch in source:
+        for r in rows_of(batch):
+            if r["kind"] == STATE:
+                room, bucket, own = Room(r, p), r["bucket"], None
+            elif r["kind"] == TELL:
+                room.hear(r)
+            elif r["kind"] == DOCS:
+                yield row(**{k: (v.to_pybytes() if isinstance(v, pa.Buffer) else v) for k, v in r.items()})
+            else:
+                if own is None:
+                    own, rest = room.sweeps(steps, keep, np.random.default_rng([seed, 2, bucket]))
+                    parent, n, key = room.parent(), np.concatenate(room.n) if room.n else np.zeros(len(room.words), np.int64), room.u << 32 | room.w
+                contexts, words, cu, cw, times = read_pairs(r)
+                u = np.minimum(np.searchsorted(room.contexts, contexts), len(room.contexts) - 1)  # every context and word asked for is told
+                w = np.searchsorted(room.words, words)
+                pair = u[cu] << 32 | w[cw]
+                at = np.minimum(np.searchsorted(key, pair), max(0, len(key) - 1))
+                seen = key[at] == pair if len(key) else np.zeros(len(pair), bool)
+                back = np.where(room.customers[u] > 0, rest[u], 1.0)
+                prob = np.where(seen, own[at] if len(key) else 0.0, 0.0) + back[cu] * parent[w][cw]
+                count = n[w][cw]
+                base = np.log10((count + 1) / (p["tokens"] + p["types"] + 1))
+                raw = r["extra"]
+                doc = np.frombuffer(raw, np.uint16 if len(raw) == 2 * int(times.sum()) else np.uint32)
+                docs, place = np.unique(doc, return_inverse=True)
+                total = lambda x: np.bincount(place, weights=np.repeat(x, times), minlength=len(docs))
+                yield row(kind=PART, bucket=bucket, part=r["part"], contexts=docs.tobytes(), short=docs.dtype == np.uint16, runs=total(np.log10(prob)).tobytes(), counts=total(base).tobytes(), extra=total(count > 0).astype(np.uint32).tobytes())
+
+
+def summed(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows of each run of documents, from its list and all parts (which come one after another, the list first)."""
+    ids = None
+
+    def whole() -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64(), mask=ids == NO_ID), pa.array(out_of, pa.bool_()), pa.array(sizes, pa.int64()), pa.array(known, pa.int64()), pa.array(base), pa.array(score)], schema=OUT)
+
     for batch in source:
-        for doc_id, text, held in zip(batch.column(0).to_pylist(), texts_of(batch), batch.column(2).to_pylist()):
-            words = words_of(text)
-            at = np.fromiter((number.get(w, -1) for w in words), np.int64, len(words))
-            known = at >= 0
-            inside = at[known]
-            s = np.where(known & (at < model.head), at, rare)
-            logs = model.logs[np.concatenate(([end], s)), np.concatenate((s, [end]))]
-            score = float(logs.sum(dtype=np.float64)) + float(rare_of[inside[inside >= model.head]].sum())
-            crc = zlib.crc32(text)
-            # No word holds a line break, so this key meets no word of the table; one for each row keeps the join even.
-            yield b"\n%d" % (doc_id or 0), doc_id, crc, held, None, len(words) + 1, len(inside) + (ends > 0), float(base_of[inside].sum()) + end_base, score
-            if not known.all():
-                for w, m in Counter([words[k] for k in np.flatnonzero(~known).tolist()]).items():
-                    yield w, doc_id, crc, held, m, None, None, None, None
-
-
-def train(docs: DataFrame, head: int = 2000, listed: int = 200_000, seed: int = 42) -> tuple[Model, DataFrame]:
-    """The model, and the table (word, count) of all training words."""
-    rows = as_input(docs).where(crc_remainder("doc_id", FOLDS) != HELD_OUT).select("text")
-    schema = pa.schema([("word", pa.binary()), ("n", pa.int64())])
-    counted = rows.mapInArrow(lambda s: batches(training_words(s), schema, size=20_000), "word binary, n long")
-    words = staged(counted.groupBy("word").agg(F.sum("n").alias("n")), "words")
-    is_word = F.length("word") > 0
-    totals = words.agg(F.sum("n").alias("n"), F.count("*").alias("v"), F.sum(F.when(~is_word, F.col("n"))).alias("ends")).first()
-    top = words.where(is_word).orderBy(F.desc("n"), "word").limit(listed).toArrow()
-    names, counts = top.column("word").to_pylist(), top.column("n").to_numpy().astype(np.int64)
-    order = sorted(range(len(names)), key=lambda k: (-counts[k], names[k]))
-    names, counts = [names[k] for k in order], counts[order]
-    k = min(head, len(names))
-    edge = (int(counts[k - 1]), names[k - 1]) if k else (1 << 62, b"")
-    tail = words.where(is_word).where((F.col("n") < edge[0]) | ((F.col("n") == edge[0]) & (F.col("word") > F.lit(bytearray(edge[1])))))
-    rare = tail.agg(F.sum("n").alias("n"), F.count("*").alias("v"), F.sum((F.col("n") == 1).cast("long")).alias("once"), F.sum((F.col("n") == 2).cast("long")).alias("twice")).first()
-    head_words, n = names[:k], k + 2
-    pair_schema = pa.schema([("pair", pa.int64()), ("n", pa.int64())])
-    pairs = rows.mapInArrow(lambda s: batches(symbol_pairs(s, head_words), pair_schema, size=50_000), "pair long, n long")
-    table = pairs.groupBy("pair").agg(F.sum("n").alias("n")).toArrow()  # (head + 2) squared rows at most
-    pair, c = table.column("pair").to_numpy(), table.column("n").to_numpy()
-    o = np.argsort(pair)
-    pair, c = pair[o], c[o]
-    probs = averaged(pair // n, pair % n, c, n, seed=seed) if len(pair) else np.full((n, n), 1.0 / n, np.float32)
-    once, twice = rare["once"] or 0, rare["twice"] or 0
-    discount = float(np.clip(once / (once + 2 * twice), 0.05, 0.95)) if once else 0.5
-    model = Model(names, counts, k, np.log10(np.maximum(probs, 1e-30)).astype(np.float32), totals["n"] or 0, totals["v"] or 0, rare["n"] or 0, rare["v"] or 0, discount)
-    model.counts_end = totals["ends"] or 0
-    return model, words
-
-
-def score_documents(docs: DataFrame, head: int = 2000, listed: int = 200_000, seed: int = 42) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row."""
-    model, words = train(docs, head, listed, seed)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+        for r in rows_of(batch):
+            if r["kind"] == DOCS:
+                if ids is not None:
+                    yield whole()
+                ids, out_of, sizes = np.frombuffer(r["contexts"], np.int64), np.frombuffer(r["counts"], np.uint8).astype(bool), np.frombuffer(r["runs"], np.int64)
+                known, base, score = np.zeros(len(ids), np.int64), np.zeros(len(ids)), np.zeros(len(ids))
+            else:
+                at = np.frombuffer(r["contexts"], np.uint16 if r["short"] else np.uint32)
+                score[at] += np.frombuffer(r["runs"], np.float64)
+                base[at] += np.frombuffer(r["counts"], np.float64)
+                known[at] += np.frombuffer(r["extra"], np.uint32)
+    if ids is not None:
+        yield whole()
+
+
+def score_documents(docs: DataFrame, sweeps: int = 2, steps: int = 2, keep: int = 3, seed: int = 42, megabytes: int = 24) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row.
+
+    ``sweeps`` times the contexts make ``steps`` Gibbs steps each and the parent one; then the contexts make two more and
+    ``keep`` over which probabilities are averaged. A bucket has the contexts of about so many megabytes of input.
+    """
     rows = as_input(docs).withColumn("held_out", crc_remainder("doc_id", FOLDS) == HELD_OUT)
-    parts = rows.mapInArrow(lambda s: batches(score_texts(s, shared.value), SCORED, size=20_000), SCORED_SQL)
-    count = words.where(F.length("word") > 0).select(F.col("word").alias("known_word"), F.col("n").alias("count"))
-    met = parts.join(count, parts["word"] == count["known_word"], "left")
-    c, m = F.coalesce("count", F.lit(0)), F.col("times")
-    unlisted = m.isNotNull()
-    rare_n = float(model.rare_n or 1)
-    rare = F.when(c > 0, F.log10(F.greatest(c - model.discount, F.lit(1e-9)) / rare_n)).otherwise(float(model.rare_log(np.zeros(1))[0]))
-    if not model.rare_n:
-        rare = F.lit(0.0)
-    summed = met.groupBy("doc_id", "text_crc", "held_out").agg(
-        F.sum((~unlisted).cast("long")).alias("copies"),
-        F.max("n_tokens").alias("n_tokens"),
-        F.max("n_known").alias("known_listed"),
-        F.max("base").alias("base_listed"),
-        F.max("score").alias("score_listed"),
-        F.sum(F.when(unlisted & (c > 0), m)).alias("known_rest"),
-        F.sum(F.when(unlisted, m * F.log10((c + 1.0) / float(model.n + model.v + 1)))).alias("base_rest"),
-        F.sum(F.when(unlisted, m * rare)).alias("score_rest"),
-    )
-    each = lambda x: F.coalesce(F.col(x), F.lit(0)) / F.col("copies")  # noqa: E731  the rest is summed over the copies of a row
-    return summed.select(
-        "doc_id", "held_out", "n_tokens",
-        (F.col("known_listed") + F.round(each("known_rest"))).cast("long").alias("n_known"),
-        F.lit(int(model.n)).cast("long").alias("train_tokens"),
-        (F.col("base_listed") + each("base_rest")).alias("base_score"),
-        (F.col("score_listed") + each("score_rest")).alias("score"),
-        F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("copy"),
-    ).drop("copy")
+    buckets, rng = buckets_for(docs, mb=megabytes, least=6), np.random.default_rng(seed)
+    run = lambda df, f, *args: df.mapInArrow(lambda s: batches(f(s, *args), ROW, size=64), ROW_SQL)
+    dealt = lambda df, key, *order: df.repartitionById(buckets, F.col(key).cast("int")).sortWithinPartitions(key, *order)
+    kind = lambda df, *names: df.where(F.col("kind").isin(*names)).select(*ROW.names)
+    numbers = lambda df, name: [r["numbers"] for r in kind(df, name).select("numbers").collect()]  # noqa: E731  one row a task, or a bounded histogram
+
+    held = staged(run(dealt(run(rows, training_pairs, buckets), "bucket"), gathered, buckets), "restaurants", "kind")
+    found = numbers(held, STATS)
+    once, twice = (sum(x) for x in zip(*found)) if found else (0, 0)
+    d = float(np.clip(once / (once + 2 * twice), 0.05, 0.95)) if once else 0.5
+    p = {"d": d, "a": 1.0, "d0": 0.5, "a0": 1.0, "tables": 0.0}
+    told, tables = None, None
+    for k in range(sweeps + 1):
+        asked = kind(held, ASK) if tables is None else kind(held, ASK).unionByName(kind(tables, TABLES))
+        if tables is not None:  # the parent's tables of the sweep before are where its draw sets out from
+            p["d0"], p["a0"] = draw_parameters([tuple(x) for x in numbers(told, HISTOGRAM)] + [(1, p["customers"], p["tables"], 1)], rng)
+            p["d"], p["a"] = draw_parameters(merged_histogram(kind(tables, HISTOGRAM)), rng)
+        before, told = told, staged(run(dealt(asked, "part", F.col("kind") != ASK), parent_rows, p["d0"], p["a0"], p["tables"], k > 0, k == sweeps, seed + k), "parent", "kind")
+        sums = numbers(told, STATS)
+        p["tokens"], p["types"], p["customers"], p["tables"], p["weight"] = (sum(x) for x in zip(*sums)) if sums else (0.0,) * 5
+        p["rest"] = p["a0"] + p["d0"] * p["tables"]  # of what the base keeps
+        if k < sweeps:
+            p["rest"] = float(rng.gamma(p["rest"]))
+        for old in (before, tables):
+            if old is not None:
+                dropped(old)
+        if k < sweeps:
+            both = kind(held, STATE).unionByName(kind(told, TELL))
+            tables = staged(run(dealt(both, "bucket", "kind", "part"), seated, buckets, dict(p), steps, seed + k), "tables", "kind")
+    dropped(held, f"kind={ASK}")
+    parts = kind(held, STATE).unionByName(kind(told, TELL)).unionByName(run(rows, asked_scores, buckets))
+    scored = run(dealt(parts, "bucket", "kind", "part"), partial_scores, dict(p), 2 + keep, keep, seed)
+    summed_up = scored.repartition(buckets, "part").sortWithinPartitions("part", "kind").mapInArrow(summed, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+    return summed_up.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(p["tokens"])).cast("long").alias("train_tokens"), "base_score", "score")
+
+
+def merged_histogram(rows: DataFrame) -> list[tuple]:
+    """The tasks' histograms summed: as many rows as there are steps of 2 % in customers and tables."""
+    x = [F.col("numbers")[k].alias(f"x{k}") for k in range(4)]
+    return [tuple(r) for r in rows.select(*x).groupBy("x0", "x1", "x2").agg(F.sum("x3").alias("n")).collect()]
 
 
 def perplexity(scored: DataFrame) -> DataFrame:

@@ -253,42 +253,9 @@ def test_shared_passages_cut_alike():
     assert len(parts(a) & parts(b)) >= 4
 
 
-def test_seating_is_a_distribution():
-    rng = np.random.default_rng(0)
-    pairs = np.unique(rng.integers(0, 400, 300))
-    p = hpy_lm.averaged(pairs // 20, pairs % 20, rng.integers(1, 3000, len(pairs)), 20)
-    assert np.allclose(p.sum(1), 1, atol=1e-4) and (p > 0).all()
-    r = hpy_lm.stirling_ratios(0.5, 6)
-    exact = {1: [1.0]}
-    for c in range(1, 6):  # the recursion in plain numbers
-        row = exact[c]
-        exact[c + 1] = [(c - 0.5 * (t + 1)) * (row[t] if t < len(row) else 0) + (row[t - 1] if t else 0) for t in range(c + 1)]
-    for c in range(2, 7):
-        for t in range(1, c):
-            assert abs(r[c, t] - np.log(exact[c][t] / exact[c][t - 1])) < 1e-9
-
-
-def test_table_counts_follow_the_exact_posterior():
-    """One restaurant, one dish: the sampled number of tables against its distribution."""
-    c, d, base = 6, 0.5, 0.2
-    s = hpy_lm.Seating(np.array([0]), np.array([0]), np.array([c]), 5, 1)
-    s.d, s.ratio = d, hpy_lm.stirling_ratios(d)
-    s.parent = lambda: np.full(5, base)
-    seen = collections.Counter()
-    for _ in range(20000):
-        s.sweep(1)
-        seen[int(s.t[0])] += 1
-    weight = [1.0]
-    for t in range(1, c):
-        weight.append(weight[-1] * np.exp(s.ratio[c, t]) * (1.0 + d * t) * base)
-    want = np.array(weight) / sum(weight)
-    got = np.array([seen[t + 1] for t in range(c)]) / 20000
-    assert np.abs(want - got).max() < 0.03
-
-
 def test_language_model_base_is_exact_and_model_is_better(spark, odd):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet")
-    rows = hpy_lm.score_documents(docs, head=200, listed=500).collect()
+    rows = hpy_lm.score_documents(docs).collect()
     texts = {r["doc_id"]: r["text"] for r in docs.collect()}
     count = collections.Counter()
     for i, t in texts.items():
@@ -299,10 +266,15 @@ def test_language_model_base_is_exact_and_model_is_better(spark, odd):
         w = [*words(texts[r["doc_id"]]), None]
         assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(w), sum(count[x] > 0 for x in w), n)
         assert abs(r["base_score"] - sum(np.log10((count[x] + 1) / (n + v + 1)) for x in w)) < 1e-6
-    held = [r for r in rows if r["held_out"]]
-    assert sum(r["score"] for r in held) > sum(r["base_score"] for r in held)
-    assert len(hpy_lm.score_documents(odd, head=3, listed=5).collect()) == odd.count()
+    ten = {x: 10 ** (-sum(r["score"] for r in rows if r["held_out"] == x) / sum(r["n_tokens"] for r in rows if r["held_out"] == x)) for x in (True, False)}
+    assert ten[False] < ten[True]  # texts that the model has learnt from are likelier, word for word
+    known = [r for r in rows if r["held_out"] and r["n_known"] == r["n_tokens"]]
+    assert known and sum(r["score"] for r in known) > sum(r["base_score"] for r in known)
+    got = hpy_lm.score_documents(odd).collect()
+    assert sorted((str(r["doc_id"]), r["n_tokens"]) for r in got) == sorted((str(r["doc_id"]), len(words(r["text"])) + 1) for r in odd.collect())
     assert hpy_lm.score_documents(odd.limit(0)).count() == 0
+    nothing = hpy_lm.score_documents(odd.where("doc_id = -1").unionByName(odd.where("doc_id = 6").selectExpr("cast(0 as bigint) doc_id", "text", "lang", "source", "n_chars", "size", "id", "place"))).collect()
+    assert len(nothing) == 1
 
 
 def test_search_equals_sql(spark, odd):
