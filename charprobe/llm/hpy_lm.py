@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import U64, as_input, batches, buckets_for, crc_remainder, dropped, from_bytes, in_bytes, packed, rows_of, staged, unpacked
 from .pitman_yor import draw_parameters, draw_tables, histogram, stirling_table, sweep
-from .scan import SPACE, Words
+from .scan import SPACE, Words, slices
 
 FOLDS, HELD_OUT = 7, 2
 #: The start of a text as a context, and its end as a dish.
@@ -40,7 +40,7 @@ ENDS, LETTERS, LAST = 0.02, 0.9, 0.15
 #: Bytes that a lower-cased word can have besides a to z: no white space, no capitals.
 OTHERS = 256 - int(SPACE.sum()) - 52
 #: Pairs that a task holds before it writes them out.
-HELD = 3_000_000
+HELD = 2_000_000
 NO_ID = -(1 << 63)
 
 LETTER = np.zeros(256, bool)
@@ -132,7 +132,7 @@ def read_pairs(r: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray,
 def training_pairs(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
     """Pairs of all documents with their counts in the training ones, so that each bucket knows all words it is asked for."""
     held, amount = [], 0
-    for batch in source:
+    for batch in slices(source):
         s = Spelled(batch.column(1))
         train = np.repeat(~np.array(batch.column(2).to_pylist(), bool), s.n_tokens).astype(np.uint8) if len(s.n_tokens) else np.zeros(0, np.uint8)
         held.append((s.context, s.dish, s.base, train))
@@ -317,9 +317,7 @@ def asked_scores(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tup
         for blob in pair_blobs(held, buckets, True):
             yield row(kind=PAIRS, part=run, **blob)
 
-    for batch in source:
-        if not batch.num_rows:
-            continue
+    for batch in slices(source):
         s = Spelled(batch.column(1))
         before = sum(len(d[0]) for d in docs)
         held.append((s.context, s.dish, s.base, np.repeat(np.arange(before, before + batch.num_rows, dtype=np.uint32), s.n_tokens)))

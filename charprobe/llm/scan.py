@@ -66,6 +66,17 @@ def text_buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return (np.frombuffer(data, np.uint8)[lo:hi] if data is not None else np.zeros(0, np.uint8)), at - lo
 
 
+def slices(source: Iterator[pa.RecordBatch], column: int = 1, size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The batches in parts of about ``size`` bytes of text (a longer text alone), without a copy: a batch's rows are
+    bounded by their number, not by their length."""
+    for batch in source:
+        at, lo = text_buffer(batch.column(column))[1], 0
+        while lo < batch.num_rows:
+            hi = max(lo + 1, int(np.searchsorted(at, at[lo] + size, "right")) - 1)
+            yield batch.slice(lo, hi - lo)
+            lo = hi
+
+
 def windows(data: np.ndarray, at: np.ndarray, size: int = WINDOW) -> Iterator[tuple[int, int]]:
     """Runs of the buffer of about ``size`` bytes; each ends where a text ends or before white space."""
     lo, n = 0, len(data)

@@ -19,7 +19,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-from .scan import AS_IS, U64, WINDOW, span_hashes, text_buffer
+from .scan import AS_IS, U64, WINDOW, slices, span_hashes, text_buffer
 
 #: Longer pieces are not remembered; and so many pieces are, before the memory starts anew.
 LONGEST_KEPT, KEPT = 64, 1_500_000
@@ -337,7 +337,7 @@ def encoder(path: str) -> Encoder:
 def ended(source: Iterator[pa.RecordBatch], vocabulary: str, end: int, column: int = 1) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
     """Each batch with the ids of its texts, ``end`` behind every text, and where each text's ids begin."""
     enc = encoder(vocabulary)
-    for batch in source:
+    for batch in slices(source, column):
         ids, at = enc.column(batch.column(column))
         yield batch, np.insert(ids, at[1:], np.uint32(end)), at + np.arange(len(at))
 
