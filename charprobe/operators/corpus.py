@@ -17,7 +17,10 @@ def word_array(text: F.Column) -> F.Column:
 
 def words(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, pos, word, has_space of every word; null and empty texts have none."""
-    return docs.select(F.col(id_col).alias("doc_id"), F.posexplode(word_array(F.col(text_col))).alias("pos", "w")).select("doc_id", "pos", "w.word", "w.has_space")
+    found = F.regexp_extract_all(F.coalesce(F.col(text_col), F.lit("")), F.lit(SPACED_WORD), F.lit(0))
+    first = F.ascii("m")
+    spaced = (first == 32) | first.between(9, 13)
+    return docs.select(F.col(id_col).alias("doc_id"), F.posexplode(found).alias("pos", "m")).select("doc_id", "pos", F.lower(F.when(spaced, F.expr("substr(m, 2)")).otherwise(F.col("m"))).alias("word"), spaced.alias("has_space"))
 
 
 def word_counts(word_rows: DataFrame) -> DataFrame:
@@ -34,11 +37,22 @@ def exact_copies_dropped(docs: DataFrame) -> DataFrame:
     return docs.join(least.select("doc_id"), "doc_id", "left_semi")
 
 
-def without_benchmark(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """Documents that have no line equal to a benchmark item (white space at the ends ignored)."""
-    lines = docs.select("doc_id", F.explode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("line")).select("doc_id", F.md5(F.trim("line").cast("binary")).alias("h"))
-    bad = lines.join(benchmark.select(F.md5(F.trim("text").cast("binary")).alias("h")).distinct(), "h", "left_semi").select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti")
+def ngram_keys(text: F.Column, n: int) -> F.Column:
+    """Hashes of a text's runs of n words (split at ASCII white space, A-Z lowered); shorter texts have none."""
+    plain = F.translate(F.coalesce(text, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    w = F.regexp_extract_all(plain, F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))
+    return F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.xxhash64(F.slice(w, i, F.lit(n))))).otherwise(F.array().cast("array<bigint>"))
+
+
+def without_benchmark(docs: DataFrame, benchmark: DataFrame, n: int = 13, most: int = 2_000_000) -> DataFrame:
+    """Documents that share no run of n words with a benchmark item.
+
+    The benchmark's runs are broadcast when there are at most ``most``; else both sides meet by hash.
+    """
+    runs = benchmark.select(F.explode(F.array_distinct(ngram_keys(F.col("text"), n))).alias("h")).distinct()
+    small = runs.limit(most + 1).count() <= most
+    found = docs.select("doc_id", F.explode(F.array_distinct(ngram_keys(F.col("text"), n))).alias("h")).join(F.broadcast(runs) if small else runs, "h", "left_semi")
+    return docs.join(found.select("doc_id").distinct(), "doc_id", "left_anti")
 
 
 def html_text(html: F.Column) -> F.Column:

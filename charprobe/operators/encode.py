@@ -10,12 +10,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import LETTERS, draw
+from .vocab import bounded
 
 
 def sequences(tokens: DataFrame, vocab: DataFrame) -> DataFrame:
     """doc_id, ids: the token ids of a document in order; tokens outside the vocabulary leave no gap."""
     known = vocab.select("surface", "has_space", "token_id")
-    met = tokens.join(F.broadcast(known), ["surface", "has_space"])  # a vocabulary is bounded by its size
+    met = tokens.join(bounded(known), ["surface", "has_space"])
     row = F.array_sort(F.collect_list(F.struct("word_pos", "sub_pos", "token_id")))
     return met.groupBy("doc_id").agg(F.transform(row, lambda x: x["token_id"]).alias("ids"))
 
@@ -43,7 +44,11 @@ def ppmi(counts: DataFrame, smoothing: float = 0.75, shift: float = 1.0) -> Data
     return rows.select("t", "c", F.round(value, 9).alias("value")).where("value > 0")
 
 
-def svd_vectors(matrix: DataFrame, dim: int = 64, rounds: int = 6, extra: int = 8, seed: int = 42) -> DataFrame:
+#: Rows of the dense block that are summed together.
+RUN = 4096
+
+
+def svd_vectors(matrix: DataFrame, dim: int = 64, rounds: int = 4, extra: int = 12, seed: int = 42) -> DataFrame:
     """token_id, vector: left factors times the root of the singular values, by randomized subspace iteration.
 
     Rows of the sparse matrix stay on the executors as blocks; what goes around is a dense block of
@@ -59,26 +64,49 @@ def svd_vectors(matrix: DataFrame, dim: int = 64, rounds: int = 6, extra: int =
         q = np.linalg.qr(np.random.default_rng(seed).normal(size=(n_c, width)))[0] if n_c >= width else np.eye(n_c)
 
         def times(block: np.ndarray, back: bool) -> np.ndarray | dict[int, np.ndarray]:
-            """A @ block by rows; or, with back, A.T @ (A @ block), summed over tasks."""
+            """A @ block by rows; or, with back, A.T @ (A @ block): tasks' parts are summed on the executors in runs of rows."""
             held = spark.sparkContext.broadcast(block)
 
             def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 total = np.zeros_like(held.value) if back else None
                 for batch in source:
-                    for t, c, v in zip(*(batch.column(k).to_pylist() for k in range(3))):
-                        y = np.array(v) @ held.value[c]
-                        if back:
-                            np.add.at(total, c, np.outer(v, y))
-                        else:
-                            yield pa.RecordBatch.from_arrays([pa.array([t], pa.int64()), pa.array([y.tobytes()], pa.binary())], names=["t", "y"])
+                    if not batch.num_rows:
+                        continue
+                    ids, lists, values = batch.column(0).to_numpy(), batch.column(1), batch.column(2)
+                    start = lists.offsets.to_numpy().astype(np.int64)
+                    c, v = lists.values.to_numpy()[start[0] : start[-1]], values.values.to_numpy()[start[0] : start[-1]]
+                    start -= start[0]
+                    y = np.add.reduceat(v[:, None] * held.value[c], start[:-1])  # no row is empty
+                    if back:
+                        order = np.argsort(c, kind="stable")
+                        c, of = c[order], np.repeat(np.arange(len(ids)), np.diff(start))[order]
+                        first = np.flatnonzero(np.concatenate(([True], c[1:] != c[:-1])))
+                        total[c[first]] += np.add.reduceat(v[order][:, None] * y[of], first)
+                    else:
+                        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([x.tobytes() for x in y], pa.binary())], names=["t", "y"])
                 if back:
-                    yield pa.RecordBatch.from_arrays([pa.array([0], pa.int64()), pa.array([total.tobytes()], pa.binary())], names=["t", "y"])
+                    for lo in range(0, len(total), RUN):
+                        yield pa.RecordBatch.from_arrays([pa.array([lo], pa.int64()), pa.array([total[lo : lo + RUN].tobytes()], pa.binary())], names=["t", "y"])
 
-            got = rows.mapInArrow(run, "t long, y binary").collect()
+            def added(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+                sums: dict[int, np.ndarray] = {}
+                for batch in source:
+                    for lo, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                        sums[lo] = sums[lo] + np.frombuffer(y) if lo in sums else np.frombuffer(y)
+                if sums:
+                    yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array([y.tobytes() for y in sums.values()], pa.binary())], names=["t", "y"])
+
+            got = rows.mapInArrow(run, "t long, y binary")
+            if back and len(block) > RUN:
+                got = got.repartition(-(-len(block) // RUN), "t").mapInArrow(added, "t long, y binary")
+            got = got.collect()  # with back one sum of each run of rows (of each task where one run is all), else a row of each token
             held.unpersist()
-            if back:
-                return sum((np.frombuffer(r["y"]).reshape(block.shape) for r in got), np.zeros_like(block))
-            return {r["t"]: np.frombuffer(r["y"]) for r in got}
+            if not back:
+                return {r["t"]: np.frombuffer(r["y"]) for r in got}
+            out = np.zeros_like(block)
+            for r in got:
+                out[r["t"] : r["t"] + RUN] += np.frombuffer(r["y"]).reshape(-1, block.shape[1])
+            return out
 
         for _ in range(rounds):
             q = np.linalg.qr(times(q, True))[0]
@@ -97,8 +125,12 @@ def distributional(seqs: DataFrame, window: int = 4, dim: int = 64, direction: s
     """Vectors from PPMI and SVD: forward (as a causal model sees), both sides (as a masked one), or forward and backward side by side."""
     if direction != "concat":
         return svd_vectors(ppmi(cooccurrence(seqs, window, direction)), dim, seed=seed)
-    f = svd_vectors(ppmi(cooccurrence(seqs, window, "forward")), dim // 2, seed=seed)
-    b = svd_vectors(ppmi(cooccurrence(seqs, window, "backward")), dim // 2, seed=seed)
+    counted = cooccurrence(seqs, window, "forward").persist()  # counted once, turned for the other side
+    try:
+        f = svd_vectors(ppmi(counted), dim // 2, seed=seed)
+        b = svd_vectors(ppmi(counted.select(F.col("c").alias("t"), F.col("t").alias("c"), "n")), dim // 2, seed=seed)
+    finally:
+        counted.unpersist()
     return f.join(b.withColumnRenamed("vector", "second"), "token_id").select("token_id", F.concat("vector", "second").alias("vector"))
 
 

@@ -50,13 +50,20 @@ def length_only_accuracy(sample: DataFrame) -> DataFrame:
 
 
 def contribution(results: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Accuracy of a control minus that of its treatment, in points.
+    """Accuracy of a control minus that of its treatment, in points, with the 95 % half-width of the difference.
 
-    results: experiment, accuracy; pairs: factor, control, treatment (names of experiments).
+    results: experiment, tokenizer, corpus, restriction, n, accuracy; pairs: factor, varies, control, treatment (names of
+    experiments). The two sides must agree on tokenizer, corpus and restriction but for the one named in ``varies``: else
+    the row is refused, and has no points.
     """
-    c = results.select(F.col("experiment").alias("control"), F.col("accuracy").alias("control_accuracy"))
-    t = results.select(F.col("experiment").alias("treatment"), F.col("accuracy").alias("treatment_accuracy"))
-    return pairs.join(c, "control").join(t, "treatment").select("factor", "control", "treatment", F.round(F.col("control_accuracy") - F.col("treatment_accuracy"), 6).alias("points"))
+    side = lambda tag: results.select(*[F.col(c).alias(f"{tag}_{c}") for c in ("experiment", "tokenizer", "corpus", "restriction", "n", "accuracy")])
+    met = pairs.join(side("c"), F.col("control") == F.col("c_experiment")).join(side("t"), F.col("treatment") == F.col("t_experiment"))
+    fair = F.lit(True)
+    for c in ("tokenizer", "corpus", "restriction"):
+        fair = fair & ((F.col("varies") == c) | (F.col(f"c_{c}") == F.col(f"t_{c}")))
+    spread = lambda t: F.col(f"{t}_accuracy") * (100 - F.col(f"{t}_accuracy")) / F.col(f"{t}_n")
+    points, half = F.col("c_accuracy") - F.col("t_accuracy"), 1.96 * F.sqrt(spread("c") + spread("t"))
+    return met.select("factor", "control", "treatment", (~fair).cast("int").alias("refused"), F.when(fair, F.round(points, 6)).alias("points"), F.when(fair, F.round(half, 6)).alias("half_width"))
 
 
 def token_budget(spark: SparkSession, batch: int = 32, accumulation: int = 40, length: int = 1024, steps: int = 10_000, sample: int = 10_000_000_000) -> DataFrame:

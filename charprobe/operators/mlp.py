@@ -88,29 +88,41 @@ def train_and_score(x: np.ndarray, y: np.ndarray, test: np.ndarray, cfg: ProbeCo
 PREDICTED = "experiment string, letter string, fold int, token_id long, n_letters int, y int, p double, correct int"
 
 
-def fit_predict(sample: DataFrame, vectors: DataFrame, cfg: ProbeConfig = ProbeConfig(), experiment: str = "probe") -> DataFrame:
+def fit_predict(sample: DataFrame, vectors: DataFrame, cfg: ProbeConfig = ProbeConfig(), experiment: str = "probe", model: str = "network") -> DataFrame:
     """One fit per letter (and fold, where the sample has folds: each is the test side once); rows of all test sides.
 
-    sample: letter, token_id, n_letters, y and is_test or fold. Tokens without a vector drop out.
+    sample: letter, token_id, n_letters, y and is_test or fold; with a column ``cell`` every cell is an experiment of its
+    own, named by it. Tokens without a vector drop out. Each fit is a task's; with folds a row goes to every fold's fit.
     """
     folds = "fold" in sample.columns
+    cell = F.col("cell") if "cell" in sample.columns else F.lit(experiment)
     side = F.col("fold") if folds else F.col("is_test")
-    rows = sample.select("letter", F.col("token_id").cast("long").alias("token_id"), F.col("n_letters").cast("int").alias("n_letters"), "y", side.cast("int").alias("side")).join(vectors.select(F.col("token_id").cast("long").alias("token_id"), "vector"), "token_id")
+    rows = sample.select(cell.alias("cell"), "letter", F.col("token_id").cast("long").alias("token_id"), F.col("n_letters").cast("int").alias("n_letters"), "y", side.cast("int").alias("side"))
+    if folds:
+        turns = rows.select("cell", "letter", F.col("side").alias("turn")).distinct()
+        rows = rows.join(turns, ["cell", "letter"])
+    else:
+        rows = rows.withColumn("turn", F.lit(1))
+    rows = rows.join(vectors.select(F.col("token_id").cast("long").alias("token_id"), "vector"), "token_id")
 
     def fit(key, table):
         order = np.argsort(table.column("token_id").to_numpy(), kind="stable")
+        name, letter, turn = (k.as_py() for k in key)
         x = np.array(table.column("vector").to_pylist(), np.float64)[order]
         y, side, ids, n = (table.column(c).to_numpy()[order] for c in ("y", "side", "token_id", "n_letters"))
-        out = []
-        for f in sorted(set(side.tolist())) if folds else [1]:
-            test = side == f
+        test = side == turn
+        if model == "linear":
+            p = 1 / (1 + np.exp(-4 * linear_probe(x, y.astype(float), test))) if test.any() and not test.all() else np.full(int(test.sum()), 0.5)
+        else:
             p = train_and_score(x, y.astype(float), test, cfg)
-            out += [(experiment, key[0].as_py(), int(f), int(i), int(k), int(t), float(q), int((q >= 0.5) == bool(t))) for i, k, t, q in zip(ids[test], n[test], y[test], p)]
-        kinds = (pa.string(), pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.float64(), pa.int32())
-        names = ["experiment", "letter", "fold", "token_id", "n_letters", "y", "p", "correct"]
-        return pa.table({c: pa.array([r[k] for r in out], t) for k, (c, t) in enumerate(zip(names, kinds))})
+        m = int(test.sum())
+        right = ((p >= 0.5) == (y[test] == 1)).astype(np.int32)
+        return pa.table({"experiment": [name] * m, "letter": [letter] * m, "fold": pa.array([turn] * m, pa.int32()), "token_id": pa.array(ids[test], pa.int64()), "n_letters": pa.array(n[test], pa.int32()), "y": pa.array(y[test], pa.int32()), "p": pa.array(p, pa.float64()), "correct": pa.array(right, pa.int32())}).cast(SCHEMA)
 
-    return rows.groupBy("letter").applyInArrow(fit, PREDICTED)
+    return rows.groupBy("cell", "letter", "turn").applyInArrow(fit, PREDICTED)
+
+
+SCHEMA = pa.schema([("experiment", pa.string()), ("letter", pa.string()), ("fold", pa.int32()), ("token_id", pa.int64()), ("n_letters", pa.int32()), ("y", pa.int32()), ("p", pa.float64()), ("correct", pa.int32())])
 
 
 def linear_probe(x: np.ndarray, y: np.ndarray, test: np.ndarray, ridge: float = 1.0) -> np.ndarray:
@@ -119,3 +131,30 @@ def linear_probe(x: np.ndarray, y: np.ndarray, test: np.ndarray, ridge: float =
     t = ~test
     w = np.linalg.solve(a[t].T @ a[t] + ridge * np.eye(a.shape[1]), a[t].T @ (2 * y[t] - 1))
     return a[test] @ w
+
+
+def ridge(sample: DataFrame, vectors: DataFrame, target: str, penalty: float = 1.0) -> DataFrame:
+    """token_id, is_test, target and the value that a ridge regression on the training rows predicts.
+
+    The normal equations are summed on the executors; the driver solves a system as wide as the vectors.
+    """
+    rows = sample.select("token_id", F.col("is_test").cast("int").alias("is_test"), F.col(target).cast("double").alias("target")).join(vectors.select(F.col("token_id").alias("v_id"), "vector"), F.col("token_id") == F.col("v_id")).select("token_id", "is_test", "target", "vector")
+
+    def sums(source):
+        total = None
+        for batch in source:
+            if batch.num_rows:
+                x = np.hstack([np.array(batch.column(1).to_pylist(), float), np.ones((batch.num_rows, 1))])
+                part = np.hstack([x.T @ x, (x.T @ batch.column(0).to_numpy())[:, None]])
+                total = part if total is None else total + part
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.shape[0]], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["n", "m"])
+
+    got = rows.where("is_test = 0").select("target", "vector").mapInArrow(sums, "n int, m binary").collect()  # a square of the vectors' width for each task
+    if not got:
+        return rows.select("token_id", "is_test", "target", F.lit(None).cast("double").alias("predicted"))
+    n = got[0]["n"]
+    m = sum(np.frombuffer(r["m"]).reshape(n, n + 1) for r in got)
+    w = np.linalg.solve(m[:, :n] + penalty * np.eye(n), m[:, n])
+    value = F.aggregate(F.zip_with("vector", F.array(*[F.lit(float(a)) for a in w[:-1]]), lambda a, b: a * b), F.lit(float(w[-1])), lambda s, x: s + x)
+    return rows.select("token_id", "is_test", "target", value.alias("predicted"))

@@ -3,11 +3,16 @@
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import LETTERS, draw, order_key
+from ..sources import checkpointed
+from .vocab import bounded
 
 
 def scramble_letters(text: F.Column, seed: int, *keys: F.Column) -> F.Column:
@@ -22,6 +27,48 @@ def scramble_letters(text: F.Column, seed: int, *keys: F.Column) -> F.Column:
     return F.array_join(F.transform(F.split(text, ""), one), "")
 
 
+def scrambled_documents(docs: DataFrame, seed: int = 42) -> DataFrame:
+    """doc_id, text with every ASCII letter replaced by a random one of its case: as scramble_letters, but all letters of a
+    batch at once, drawn by a 64-bit mixer of (seed, document, byte) instead of a digest for each letter."""
+
+    def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in source:
+            out = []
+            for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                data = np.frombuffer((text or "").encode(), np.uint8).copy()
+                low = data | 0x20
+                at = np.flatnonzero((low >= 97) & (low <= 122) & (data < 128))
+                x = at.astype(np.uint64) + np.uint64(((seed << 40) ^ ((i or 0) * 0x9E3779B97F4A7C15)) & (1 << 64) - 1)
+                x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+                x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+                data[at] = (((x ^ (x >> np.uint64(31))) >> np.uint64(11)) % np.uint64(26)).astype(np.uint8) + 97 - (low[at] - data[at])
+                out.append(data.tobytes().decode())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.string())], names=["doc_id", "text"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, text string")
+
+
+def substitute_subwords(rows: DataFrame, table: DataFrame) -> DataFrame:
+    """doc_id, pos, word, has_space: each piece of a word (rows with ``pieces``) by its substitute, the same wherever it stands,
+    and the word put together again. A piece with the space before it is another entry than one without."""
+    parts = rows.select("word", "has_space", "pieces").distinct().select("word", "has_space", F.posexplode("pieces").alias("k", "piece"))
+    met = parts.join(table, parts["piece"] == table["src"]).groupBy("word", "has_space").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("k", "dst"))), lambda x: x["dst"]), "").alias("new"))
+    return rows.join(met, ["word", "has_space"]).select("doc_id", "pos", F.ltrim("new").alias("word"), "has_space")
+
+
+def subword_substitution(rows: DataFrame, seed: int = 42) -> DataFrame:
+    """src, dst for all pieces of the rows: inside each class (space before, letters) a fixed random string for each, no two alike."""
+    pieces = rows.select(F.explode("pieces").alias("piece")).distinct()
+    out = None
+    for lead, kind in (("", ~F.col("piece").startswith(" ")), (" ", F.col("piece").startswith(" "))):
+        units = pieces.where(kind).select(F.ltrim("piece").alias("surface"))
+        table = substitution_all(units.where("length(surface) > 0"), seed + len(lead)).select(F.concat(F.lit(lead), "src").alias("src"), F.concat(F.lit(lead), "dst").alias("dst"))
+        alone = units.where("length(surface) = 0").select(F.lit(lead).alias("src"), F.lit(lead).alias("dst"))
+        table = table.unionByName(alone)
+        out = table if out is None else out.unionByName(table)
+    return out
+
+
 def substitution_short(vocab: DataFrame, seed: int = 42) -> DataFrame:
     """src, dst, n_letters for tokens of 1 to 2 letters: the k-th in one random order maps to the k-th in another, inside the full class."""
     spark = vocab.sparkSession
@@ -73,6 +120,7 @@ def substitution_dict(units: DataFrame, seed: int = 42, keep_length: bool = True
             drawn = drawn.withColumn("taken", F.lit(None).cast("int"))
         first = F.row_number().over(Window.partitionBy("dst").orderBy("src"))
         drawn = drawn.withColumn("ok", F.col("taken").isNull() & (first == 1))
+        drawn = checkpointed(drawn.select("src", "n", "dst", "ok"))  # written once: later rounds and uses read it
         good, left = drawn.where("ok").select("src", "n", "dst"), drawn.where("not ok").select("src", "n")
         out = good if out is None else out.unionByName(good)
         if attempt >= 2 and left.limit(1).count() == 0:
@@ -92,7 +140,7 @@ def resample_tokens(tokens: DataFrame, vocab: DataFrame, seed: int = 42) -> Data
     entries = vocab.select(*keys, F.col("surface").alias("new_surface"), (F.row_number().over(place) - 1).alias("k"))
     sizes = entries.groupBy(*keys).agg(F.count("*").alias("size"))
     drawn = tokens.join(F.broadcast(sizes), keys).withColumn("k", (draw(seed, F.col("doc_id"), F.col("word_pos"), F.col("sub_pos")) % F.col("size")).cast("int"))
-    return drawn.join(F.broadcast(entries), [*keys, "k"]).select("doc_id", "word_pos", "sub_pos", F.col("new_surface").alias("surface"), "has_space", "n_letters")
+    return drawn.join(bounded(entries), [*keys, "k"]).select("doc_id", "word_pos", "sub_pos", F.col("new_surface").alias("surface"), "has_space", "n_letters")
 
 
 def reassemble(words: DataFrame) -> DataFrame:

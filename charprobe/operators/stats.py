@@ -18,10 +18,16 @@ def _rows(tokens: DataFrame) -> DataFrame:
     return tokens.groupBy("doc_id", "word_pos").agg(F.transform(F.array_sort(F.collect_list(F.struct("sub_pos", "surface"))), lambda x: x["surface"]).alias("pieces"))
 
 
-def boundary_pairs(tokens: DataFrame) -> DataFrame:
-    """last, first, freq: last letter of a token and first letter of the next one in the same word. At most 26 x 26 keys."""
+def row_boundary_pairs(rows: DataFrame) -> DataFrame:
+    """last, first, freq over rows with ``pieces``: last letter of a piece and first letter of the next one in the same word.
+    Counted inside the row, so the shuffle is 26 x 26 keys."""
     near = F.zip_with(F.slice("pieces", F.lit(1), F.size("pieces") - 1), F.slice("pieces", F.lit(2), F.size("pieces")), lambda a, b: F.struct(F.right(a, F.lit(1)).alias("last"), F.left(b, F.lit(1)).alias("first")))
-    return _rows(tokens).where(F.size("pieces") > 1).select(F.explode(near).alias("p")).groupBy("p.last", "p.first").agg(F.count("*").alias("freq"))
+    return rows.where(F.size("pieces") > 1).select(F.explode(near).alias("p")).groupBy("p.last", "p.first").agg(F.count("*").alias("freq"))
+
+
+def boundary_pairs(tokens: DataFrame) -> DataFrame:
+    """The same of exploded tokens, whose words are put together first."""
+    return row_boundary_pairs(_rows(tokens))
 
 
 def fixed_boundary_pairs(words: DataFrame, width: int = 3) -> DataFrame:
@@ -55,6 +61,12 @@ def spearman(table: DataFrame, x: str, y: str) -> DataFrame:
     return ranked.agg(F.count("*").alias("pairs"), F.round(F.corr("rx", "ry"), 9).alias("spearman"))
 
 
+def pearson_of_logs(strength: DataFrame, boundary: DataFrame) -> DataFrame:
+    """Pearson's correlation of rule strength and log(1 + boundary frequency) over all letter pairs."""
+    met = strength.join(boundary, (F.col("left") == F.col("last")) & (F.col("right") == F.col("first")), "left").select("strength", F.log1p(F.coalesce("freq", F.lit(0))).alias("log_freq"))
+    return met.agg(F.count("*").alias("pairs"), F.round(F.corr("strength", "log_freq"), 9).alias("pearson"))
+
+
 def strength_vs_boundary(strength: DataFrame, boundary: DataFrame) -> DataFrame:
     """Spearman's rank correlation of rule strength and boundary frequency over all letter pairs; absent pairs count 0."""
     met = strength.join(boundary, (F.col("left") == F.col("last")) & (F.col("right") == F.col("first")), "left").select("strength", F.coalesce("freq", F.lit(0)).alias("freq"))
@@ -76,14 +88,18 @@ def boundary_mi(pairs: DataFrame) -> DataFrame:
     return terms.agg(F.sum("freq").alias("n"), F.round(F.sum("term"), 9).alias("bits"), F.round(bias, 9).alias("bias"))
 
 
-def check_segmentation(tokens: DataFrame, strength: DataFrame) -> DataFrame:
-    """Places where a spaced two-letter token stands before a bare trigram although the rules do not allow it: none should be."""
-    rows = tokens.groupBy("doc_id", "word_pos").agg(F.array_sort(F.collect_list(F.struct("sub_pos", "surface", "has_space"))).alias("p"))
-    near = rows.where(F.size("p") > 1).select(F.element_at("p", 1).alias("a"), F.element_at("p", 2).alias("b"))
-    near = near.where("a.has_space and length(a.surface) = 2 and length(b.surface) = 3").select(F.substring("a.surface", 2, 1).alias("beta"), F.substring("b.surface", 1, 1).alias("x"), F.substring("b.surface", 2, 1).alias("y"), F.substring("b.surface", 3, 1).alias("gamma"))
-    m = lambda name, a, b: F.broadcast(strength.select(F.col("left").alias(a), F.col("right").alias(b), F.col("strength").alias(name)))
+def check_segmentation(rows: DataFrame, strength: DataFrame) -> DataFrame:
+    """Places where a spaced piece of two letters stands before a bare trigram although the rules do not allow it: none should be.
+
+    rows: words with ``pieces``. The places are counted by their letters first, so 26**4 keys meet the rules at most.
+    """
+    a, b = F.element_at("pieces", 1), F.element_at("pieces", 2)
+    near = rows.where(F.size("pieces") > 1).select(a.alias("a"), b.alias("b")).where("startswith(a, ' ') and length(a) = 3 and length(b) = 3")
+    near = near.select(F.substring("a", 3, 1).alias("beta"), F.substring("b", 1, 1).alias("x"), F.substring("b", 2, 1).alias("y"), F.substring("b", 3, 1).alias("gamma")).groupBy("beta", "x", "y", "gamma").agg(F.count("*").alias("n"))
+    m = lambda name, a, b: F.broadcast(strength.select(F.col("left").alias(a), F.col("right").alias(b), F.col("strength").alias(name)))  # noqa: E731  676 rows
     met = near.join(m("before", "beta", "x"), ["beta", "x"]).join(m("inside", "x", "y"), ["x", "y"]).join(m("behind", "y", "gamma"), ["y", "gamma"])
-    return met.agg(F.count("*").alias("cases"), F.coalesce(F.sum(((F.col("before") > F.col("inside")) | (F.col("inside") < F.col("behind"))).cast("int")), F.lit(0)).alias("violations"))
+    broken = (F.col("before") > F.col("inside")) | (F.col("inside") < F.col("behind"))
+    return met.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("cases"), F.coalesce(F.sum(F.when(broken, F.col("n"))), F.lit(0)).alias("violations"))
 
 
 def pattern_position(counts: DataFrame, patterns: Sequence[str] = ("ck", "dge", "tch", "bb", "dd", "ff", "ll", "nn", "ss", "tt")) -> DataFrame:
@@ -102,6 +118,20 @@ def affix_share(counts: DataFrame, affixes: Sequence[str] = ("s", "ed", "er", "l
     return rows.groupBy("affix").agg(F.sum(F.when(hit, F.col("freq")).otherwise(0)).alias("weight"), F.round(F.sum(F.when(hit, F.col("freq")).otherwise(0)) / F.sum("freq"), 9).alias("share"))
 
 
+def length_frequency_corr(counts: DataFrame) -> DataFrame:
+    """Correlation over words of length and log frequency."""
+    per = counts.groupBy("word").agg(F.sum("freq").alias("freq"))
+    return per.agg(F.count("*").alias("types"), F.round(F.corr(F.length("word"), F.log("freq")), 9).alias("pearson"))
+
+
+def shuffled_mi(pairs: DataFrame) -> DataFrame:
+    """bits of boundary_mi had the two letters nothing to do with each other: counts of the product of the shares, rounded to whole ones."""
+    n = F.sum("freq").over(Window.partitionBy())
+    a = pairs.select("last", "freq", n.alias("n")).groupBy("last").agg(F.sum("freq").alias("a"), F.max("n").alias("n"))
+    b = pairs.groupBy("first").agg(F.sum("freq").alias("b"))
+    return boundary_mi(a.crossJoin(F.broadcast(b)).select("last", "first", F.round(F.col("a") * F.col("b") / F.col("n")).cast("long").alias("freq")).where("freq > 0"))  # 26 x 26 at most
+
+
 def length_frequency(counts: DataFrame) -> DataFrame:
     """Types, occurrences and mean occurrences of a type by word length: short words are frequent."""
     per = counts.groupBy("word").agg(F.sum("freq").alias("freq"))

@@ -16,17 +16,22 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import LETTERS, fixed_width, order_key
+from ..sources import checkpointed
+from .merging import Rules
+from .vocab import bounded
 
 SPACE = " "  # how a leading space is written as a symbol inside the trainers
 UNKNOWN = "<unk>"
+#: What a WordPiece unit inside a word starts with (a fixed value).
+INNER = "##"
 
 
 # -- words and fixed chunks --------------------------------------------------------------------------------------
 
 
 def whitespace_tokens(words: DataFrame, vocab: DataFrame) -> DataFrame:
-    """Words as tokens; those outside the vocabulary (its size is bounded by whoever built it) become <unk>."""
-    known = F.broadcast(vocab.select(F.col("surface").alias("known"), F.col("has_space").alias("known_space"), "token_id"))
+    """Words as tokens; those outside the vocabulary become <unk>."""
+    known = bounded(vocab.select(F.col("surface").alias("known"), F.col("has_space").alias("known_space"), "token_id"))
     met = words.join(known, (F.col("word") == F.col("known")) & (F.col("has_space") == F.col("known_space")), "left")
     return met.select("doc_id", "pos", F.when(F.col("token_id").isNull(), UNKNOWN).otherwise(F.col("word")).alias("surface"), "has_space", F.coalesce("token_id", F.lit(-1)).alias("token_id"))
 
@@ -105,46 +110,69 @@ def spelled_symbols(word: str, has_space: bool) -> list[str]:
     return ([SPACE] if has_space else []) + list(word)
 
 
-def _ranks(merges: DataFrame) -> dict[tuple[str, str], int]:
+def _ordered_rules(merges: DataFrame) -> list[tuple[str, str]]:
     """Rules on the driver: their number is the vocabulary's size and does not grow with the corpus."""
-    return {(r["left"], r["right"]): r["rank"] for r in merges.select("left", "right", "rank").collect()}
+    return [(r["left"], r["right"]) for r in sorted(merges.select("left", "right", "rank").collect(), key=lambda r: r["rank"])]
+
+
+def with_pieces(words: DataFrame, merges: DataFrame) -> DataFrame:
+    """words (with word and has_space) and their pieces in the row, the space before a word being part of its first piece."""
+    rules = words.sparkSession.sparkContext.broadcast(_ordered_rules(merges))
+    at, space = words.columns.index("word"), words.columns.index("has_space")
+
+    def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = Rules(rules.value)
+        for batch in source:
+            spelled = [SPACE + w if g else w for w, g in zip(batch.column(at).to_pylist(), batch.column(space).to_pylist())]
+            distinct: dict[str, int] = {}
+            number = [distinct.setdefault(w, len(distinct)) for w in spelled]
+            yield pa.RecordBatch.from_arrays([*batch.columns, held.pieces(list(distinct)).take(pa.array(number, pa.int64()))], names=[*batch.schema.names, "pieces"])
+
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in words.schema)
+    return words.mapInArrow(run, f"{fields}, pieces array<string>")
 
 
 def bpe_encode(words: DataFrame, merges: DataFrame, level: str = "occurrence") -> DataFrame:
     """doc_id, word_pos, sub_pos, surface, has_space, n_letters. ``distinct`` encodes each word once and joins back."""
-    rank = words.sparkSession.sparkContext.broadcast(_ranks(merges))
-
-    @F.pandas_udf("array<string>")
-    def pieces(word, has_space):
-        import pandas as pd
-
-        known: dict = {}
-        out = []
-        for key in zip(word, has_space):
-            if key not in known:
-                if len(known) > 500_000:
-                    known.clear()
-                known[key] = merge_word(spelled_symbols(*key), rank.value)
-            out.append(known[key])
-        return pd.Series(out)
-
     if level == "distinct":
-        each = words.select("word", "has_space").distinct().withColumn("pieces", pieces("word", "has_space"))
-        rows = words.join(each, ["word", "has_space"])
+        rows = words.join(with_pieces(words.select("word", "has_space").distinct(), merges), ["word", "has_space"])
     else:
-        rows = words.withColumn("pieces", pieces("word", "has_space"))
+        rows = with_pieces(words, merges)
+    return exploded(rows.select("doc_id", "pos", "pieces"))
+
+
+def exploded(rows: DataFrame) -> DataFrame:
+    """Tokens of rows (doc_id, pos, pieces)."""
     long = rows.select("doc_id", F.col("pos").alias("word_pos"), F.posexplode("pieces").alias("sub_pos", "piece"))
     spaced = F.col("piece").startswith(SPACE)
     return long.select("doc_id", "word_pos", "sub_pos", F.ltrim("piece").alias("surface"), spaced.alias("has_space"), F.length(F.ltrim("piece")).alias("n_letters"))
 
 
+def trace_function(rules: Sequence[tuple[str, str]]):
+    """A table function: the steps by which one word's symbols merge, (step, rank, symbols). For LATERAL joins on few words."""
+    from pyspark.sql.functions import udtf
+
+    rank = {p: k for k, p in reversed(list(enumerate(rules)))}
+
+    class MergeTrace:
+        def eval(self, word: str, has_space: bool):
+            steps: list = []
+            if word:
+                merge_word(spelled_symbols(word, has_space), rank, steps)
+            for k, (r, symbols) in enumerate(steps):
+                yield k + 1, int(r), symbols
+
+    return udtf(MergeTrace, returnType="step int, rank int, symbols array<string>")
+
+
 class WordCounts:
     """Distinct words as symbols with an index of pairs, for the trainers that run in one task.
 
     Its memory is that of the distinct words given, so the caller bounds them (min_freq or a top list).
     """
 
-    def __init__(self, counts: Iterable[tuple[Sequence[str], int]]) -> None:
+    def __init__(self, counts: Iterable[tuple[Sequence[str], int]], join=lambda a, b: a + b) -> None:
+        self.join = join
         self.words = [(list(s), n) for s, n in counts]
         self.pairs: Counter = Counter()
         self.symbols: Counter = Counter()
@@ -168,10 +196,10 @@ class WordCounts:
             out, i = [], 0
             while i < len(s):
                 if i + 1 < len(s) and s[i] == a and s[i + 1] == b:
-                    out.append(a + b)
+                    out.append(self.join(a, b))
                     self.symbols[a] -= n
                     self.symbols[b] -= n
-                    self.symbols[a + b] += n
+                    self.symbols[out[-1]] += n
                     i += 2
                 else:
                     out.append(s[i])
@@ -217,11 +245,45 @@ def train_bpe_naive(counts: Iterable[tuple[Sequence[str], int]], n_merges: int)
     return out
 
 
+def joined_piece(a: str, b: str) -> str:
+    return a + b.removeprefix(INNER)
+
+
+def piece_score(n: int, a: int, b: int) -> float:
+    """How much more likely a corpus gets by fusing a pair: its count over the product of its units' counts."""
+    return n / (a * b)
+
+
+def inner_units(word: str) -> list[str]:
+    return [word[0], *(INNER + c for c in word[1:])]
+
+
 def train_wordpiece(counts: Iterable[tuple[str, int]], size: int) -> list[str]:
-    """Grows by the pair with the greatest count over the product of its units' counts; inner units start with '##'."""
-    spelled = [([w[0]] + ["##" + c for c in w[1:]], n) for w, n in counts if w]
-    vocab = sorted({x for s, _ in spelled for x in s})
-    words = [(list(s), n) for s, n in spelled]
+    """Grows by the pair of the greatest score, ties by count and by the pair; inner units start with INNER."""
+    held = WordCounts(((inner_units(w), n) for w, n in counts if w), joined_piece)
+    vocab = sorted(held.symbols)
+    known = set(vocab)
+    while len(vocab) < size:
+        best, top = None, None
+        for p, n in held.pairs.items():
+            if n > 0:
+                key = (-piece_score(n, held.symbols[p[0]], held.symbols[p[1]]), -n, p)
+                if top is None or key < top:
+                    best, top = p, key
+        if best is None:
+            break
+        new = joined_piece(*best)
+        if new not in known:
+            known.add(new)
+            vocab.append(new)
+        held.fuse(best)
+    return vocab
+
+
+def train_wordpiece_naive(counts: Iterable[tuple[str, int]], size: int) -> list[str]:
+    """The same by recounting everything each time; for tests."""
+    words = [(inner_units(w), n) for w, n in counts if w]
+    vocab = sorted({x for s, _ in words for x in s})
     while len(vocab) < size:
         pairs, units = Counter(), Counter()
         for s, n in words:
@@ -231,20 +293,16 @@ def train_wordpiece(counts: Iterable[tuple[str, int]], size: int) -> list[str]:
                 pairs[p] += n
         if not pairs:
             break
-        best = min(pairs, key=lambda p: (-pairs[p] / (units[p[0]] * units[p[1]]), -pairs[p], p))
-        new = best[0] + best[1].removeprefix("##")
-        if new not in vocab:
-            vocab.append(new)
+        best = min(pairs, key=lambda p: (-piece_score(pairs[p], units[p[0]], units[p[1]]), -pairs[p], p))
+        if joined_piece(*best) not in vocab:
+            vocab.append(joined_piece(*best))
         fused = []
         for s, n in words:
             out, k = [], 0
             while k < len(s):
-                if k + 1 < len(s) and (s[k], s[k + 1]) == best:
-                    out.append(new)
-                    k += 2
-                else:
-                    out.append(s[k])
-                    k += 1
+                both = k + 1 < len(s) and (s[k], s[k + 1]) == best
+                out.append(joined_piece(*best) if both else s[k])
+                k += 2 if both else 1
             fused.append((out, n))
         words = fused
     return vocab
@@ -254,7 +312,7 @@ def wordpiece(word: str, vocab: set[str]) -> list[str]:
     """Longest known prefix first; a word that cannot be spelled out is <unk>."""
     out, at = [], 0
     while at < len(word):
-        lead = "##" if at else ""
+        lead = INNER if at else ""
         end = next((e for e in range(len(word), at, -1) if lead + word[at:e] in vocab), None)
         if end is None:
             return [UNKNOWN]
@@ -393,7 +451,7 @@ def pair_counts(counts: DataFrame) -> DataFrame:
     return counts.where(F.size("symbols") > 1).select(F.explode(near).alias("p"), "freq").groupBy("p.left", "p.right").agg(F.sum("freq").alias("n"))
 
 
-def fuse_symbols(counts: DataFrame, left: str, right: str) -> DataFrame:
+def fuse_symbols(counts: DataFrame, left: str, right: str, new: str | None = None) -> DataFrame:
     """(symbols, freq) with a pair fused from the left, inside the row."""
     empty = F.array().cast("array<string>")
     last = lambda a: F.element_at(a, -1)
@@ -403,7 +461,7 @@ def fuse_symbols(counts: DataFrame, left: str, right: str) -> DataFrame:
         F.struct(empty.alias("done"), F.lit(False).alias("open")),
         lambda acc, x: F.when(
             acc["open"] & (x == right),
-            F.struct(F.concat(F.slice(acc["done"], F.lit(1), F.size(acc["done"]) - 1), F.array(F.concat(last(acc["done"]), x))).alias("done"), F.lit(False).alias("open")),
+            F.struct(F.concat(F.slice(acc["done"], F.lit(1), F.size(acc["done"]) - 1), F.array(F.lit(left + right if new is None else new))).alias("done"), F.lit(False).alias("open")),
         ).otherwise(F.struct(F.concat(acc["done"], F.array(x)).alias("done"), (x == left).alias("open"))),
         lambda acc: acc["done"],
     )
@@ -420,5 +478,135 @@ def bpe_train_distributed(counts: DataFrame, n_merges: int, every: int = 10) ->
         rules.append((best["left"], best["right"], best["n"]))
         held = fuse_symbols(held, best["left"], best["right"])
         if (k + 1) % every == 0:
-            held = held.checkpoint() if held.sparkSession.sparkContext.getCheckpointDir() else held.localCheckpoint()
+            held = checkpointed(held)
     return rules
+
+
+# -- WordPiece and unigram over DataFrames -----------------------------------------------------------------------
+
+
+def plain_counts(words: DataFrame) -> DataFrame:
+    """word, n: occurrences of each distinct word, spaced or not."""
+    return words.groupBy("word").agg(F.count("*").alias("n"))
+
+
+def wordpiece_vocab(words: DataFrame, size: int, most_words: int = 200_000) -> list[str]:
+    """A WordPiece vocabulary from all distinct words: up to ``most_words`` of them on the driver, more by distributed rounds."""
+    counts = plain_counts(words)
+    held = counts.limit(most_words + 1).collect()
+    if len(held) <= most_words:
+        return train_wordpiece(sorted((r["word"], r["n"]) for r in held), size)
+    units = F.transform(F.split("word", ""), lambda x, i: F.when(i > 0, F.concat(F.lit(INNER), x)).otherwise(x))
+    table = counts.select(units.alias("symbols"), F.col("n").alias("freq"))
+    vocab = sorted(r["u"] for r in table.select(F.explode("symbols").alias("u")).distinct().collect())
+    known = set(vocab)
+    while len(vocab) < size:
+        single = table.select(F.explode("symbols").alias("u"), "freq").groupBy("u").agg(F.sum("freq").alias("total"))
+        pairs = pair_counts(table).join(single.select(F.col("u").alias("left"), F.col("total").alias("a")), "left").join(single.select(F.col("u").alias("right"), F.col("total").alias("b")), "right")
+        best = pairs.orderBy(F.desc(F.col("n") / (F.col("a").cast("double") * F.col("b"))), F.desc("n"), "left", "right").first()
+        if best is None:
+            break
+        new = joined_piece(best["left"], best["right"])
+        if new not in known:
+            known.add(new)
+            vocab.append(new)
+        table = checkpointed(fuse_symbols(table, best["left"], best["right"], new))
+    return vocab
+
+
+def encoded_words(words: DataFrame, split, kind: str = "pieces") -> DataFrame:
+    """doc_id, pos, has_space and pieces of every word; ``split`` (a picklable function of a word) runs once for each distinct word."""
+    held = words.sparkSession.sparkContext.broadcast(split)
+
+    def run(source: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in source:
+            pieces = [held.value(w) for w in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(pieces, pa.list_(pa.string()))], names=["word", kind])
+
+    return words.join(words.select("word").distinct().mapInArrow(run, f"word string, {kind} array<string>"), "word").select("doc_id", "pos", "has_space", kind)
+
+
+class WordPieceSplit:
+    def __init__(self, vocab: Iterable[str]) -> None:
+        self.vocab = set(vocab)
+
+    def __call__(self, word: str) -> list[str]:
+        return wordpiece(word, self.vocab)
+
+
+class UnigramSplit:
+    """The best segmentation, or with ``alpha`` a sampled one whose draws hang on the seed and the word."""
+
+    def __init__(self, logp: dict[str, float], alpha: float | None = None, seed: int = 42) -> None:
+        self.model, self.alpha, self.seed = Unigram(logp), alpha, seed
+
+    def __call__(self, word: str) -> list[str]:
+        if self.alpha is None:
+            return self.model.best(word)
+        import random
+
+        draw = random.Random(f"{self.seed}|{word}")
+        return self.model.sample(word, self.alpha, iter(draw.random, None))
+
+
+def wordpiece_encode(words: DataFrame, vocab: Iterable[str]) -> DataFrame:
+    return encoded_words(words, WordPieceSplit(vocab))
+
+
+def unigram_encode(words: DataFrame, logp: dict[str, float], alpha: float | None = None, seed: int = 42) -> DataFrame:
+    return encoded_words(words, UnigramSplit(logp, alpha, seed))
+
+
+def unigram_model(words: DataFrame, size: int, n_iter: int = 2, shrink: float = 0.75, longest: int = 8, seeds: int = 8) -> tuple[dict[str, float], list[float]]:
+    """Pieces with log-probabilities, and the likelihood after each pass: EM over all segmentations of all distinct words.
+
+    The expected counts are summed where the words are; the driver holds the pieces alone, ``seeds`` times ``size`` at first.
+    """
+    spark = words.sparkSession
+    counts = plain_counts(words).persist()
+    try:
+        at = F.sequence(F.lit(1), F.length("word"))
+        spans = F.flatten(F.transform(at, lambda i: F.transform(F.sequence(i, F.least(i + longest - 1, F.length("word"))), lambda j: F.substring("word", i, j - i + 1))))
+        subs = counts.where(F.length("word") > 0).select(F.explode(spans).alias("x"), "n").groupBy("x").agg(F.sum("n").alias("n"))
+        single = {r["x"]: r["n"] for r in subs.where(F.length("x") == 1).collect()}
+        more = {r["x"]: r["n"] for r in subs.where(F.length("x") > 1).orderBy(F.desc(F.col("n") * F.length("x")), "x").limit(seeds * size).collect()}
+        total = sum(single.values()) + sum(more.values())
+        logp, trail = {x: math.log(n / total) for x, n in (single | more).items()}, []
+        while logp:
+            for _ in range(n_iter):
+                shared = spark.sparkContext.broadcast(logp)
+
+                def expect(source: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+                    model, held, likelihood = Unigram(shared.value), defaultdict(float), 0.0
+                    for batch in source:
+                        for w, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                            e, ll = model.expected(w)
+                            if ll > -math.inf:
+                                likelihood += n * ll
+                                for x, v in e.items():
+                                    held[x] += n * v
+                    yield pa.RecordBatch.from_arrays([pa.array(["", *held], pa.string()), pa.array([likelihood, *held.values()], pa.float64())], names=["x", "v"])
+
+                got = {r["x"]: r["v"] for r in counts.mapInArrow(expect, "x string, v double").groupBy("x").agg(F.sum("v").alias("v")).collect()}  # as many as there are pieces
+                shared.unpersist()
+                trail.append(got.pop("", 0.0))
+                total = sum(got.values()) or 1.0
+                logp = {x: math.log(max(got.get(x, 0.0), 1e-9) / total) for x in logp if len(x) == 1 or got.get(x, 0.0) > 1e-9}
+            if len(logp) <= size:
+                break
+            loss = {x: got.get(x, 0.0) * (p - Unigram({x[a:b]: logp[x[a:b]] for a in range(len(x)) for b in range(a + 1, len(x) + 1) if x[a:b] != x and x[a:b] in logp}).forward(x)[-1]) for x, p in logp.items() if len(x) > 1}
+            gone = sorted(loss, key=lambda x: (loss[x], x))[: len(logp) - max(size, int(shrink * len(logp)))]
+            if not gone:
+                break
+            logp = {x: p for x, p in logp.items() if x not in set(gone)}
+        return logp, trail
+    finally:
+        counts.unpersist()
+
+
+def piece_stats(encoded: DataFrame) -> DataFrame:
+    """Of encoded words: words, tokens, tokens a word, share of unknown words, and distinct tokens."""
+    one = encoded.select("pieces", F.explode("pieces").alias("piece"), F.size("pieces").alias("k"))
+    per = encoded.agg(F.count("*").alias("words"), F.sum(F.size("pieces")).alias("tokens"), F.sum((F.element_at("pieces", 1) == UNKNOWN).cast("int")).alias("unknown"))
+    types = one.agg(F.count_distinct("piece").alias("types"))
+    return per.crossJoin(types).select("words", "tokens", F.round(F.col("tokens") / F.col("words"), 6).alias("tokens_per_word"), F.round(F.col("unknown") / F.col("words"), 6).alias("unknown_rate"), "types")  # one row each

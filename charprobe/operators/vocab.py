@@ -35,3 +35,12 @@ def shared_and_own(a: DataFrame, b: DataFrame) -> DataFrame:
     x, y = a.select("surface").distinct().withColumn("a", F.lit(1)), b.select("surface").distinct().withColumn("b", F.lit(1))
     both = x.join(y, "surface", "full").select(F.coalesce("a", F.lit(0)).alias("a"), F.coalesce("b", F.lit(0)).alias("b"))
     return both.agg(F.sum(F.col("a") * F.col("b")).alias("shared"), F.sum(F.col("a") * (1 - F.col("b"))).alias("only_a"), F.sum(F.col("b") * (1 - F.col("a"))).alias("only_b"))
+
+
+#: A vocabulary of more entries is not broadcast.
+BROADCAST = 2_000_000
+
+
+def bounded(vocab: DataFrame, most: int = BROADCAST) -> DataFrame:
+    """The vocabulary marked for broadcast if it has at most ``most`` entries (counted, not assumed); else as it is."""
+    return F.broadcast(vocab) if vocab.limit(most + 1).count() <= most else vocab

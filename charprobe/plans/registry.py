@@ -10,11 +10,12 @@ from pyspark.sql import functions as F
 from .. import streaming
 from ..functions import fixed_width, length_class
 from ..operators import corpus, encode, measure, probe, rewrite, stats, tokenize, vocab
-from ..sources import table
+from ..sources import spread, table
 from . import experiments
 
 SEED = 42
 WORDS_IN_VOCAB = 2000
+#: Published accuracies, and which of them are set against each other (fixed values).
 PAPER = [("bpe original", 66.7), ("bpe substituted", 53.8), ("bpe scrambled", 58.2), ("word original", 61.2), ("word substituted", 50.0), ("word scrambled", 50.0), ("staged", 62.4), ("staged resampled", 50.1), ("fixed width bare", 80.3), ("fixed width spaced", 50.1), ("bpe spaced", 75.3), ("grouped by previous", 57.3), ("grouped by next", 57.8), ("lemmatized", 58.2), ("stemmed", 57.3)]
 FACTORS = [("form and meaning, subwords", "bpe original", "bpe substituted"), ("form and meaning, words", "word original", "word substituted"), ("merge order", "staged", "staged resampled"), ("orthography", "fixed width bare", "fixed width spaced"), ("merge rules", "bpe spaced", "fixed width spaced"), ("previous letter", "word original", "grouped by previous"), ("next letter", "word original", "grouped by next"), ("inflection", "word original", "lemmatized"), ("inflection and derivation", "word original", "stemmed")]
 
@@ -44,7 +45,7 @@ def oracle_sql() -> dict[str, str]:
 
 
 def english(s: SparkSession, d: str) -> DataFrame:
-    return table(s, d, "documents").where("lang = 'en'")
+    return spread(table(s, d, "documents").where("lang = 'en'").select("doc_id", "text"), "doc_id")
 
 
 def words(s: SparkSession, d: str) -> DataFrame:
@@ -172,9 +173,13 @@ def dedup_exact(s, d):
     return corpus.exact_copies_dropped(table(s, d, "documents")).select("doc_id")
 
 
-@query(r"WITH l AS (SELECT doc_id, trim(unnest(string_split(coalesce(text, ''), chr(10)))) AS line FROM documents) SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM l WHERE line IN (SELECT trim(text) FROM benchmark))")
+LOWERED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+RUNS = rf"""runs_of AS (SELECT id, unnest([array_to_string(w[i:i + 12], chr(1)) for i in range(1, len(w) - 11)]) AS run FROM (SELECT id, regexp_extract_all({LOWERED}, '[^\x20\x09-\x0D]+') AS w FROM texts) WHERE len(w) >= 13)"""
+
+
+@query(f"WITH texts AS (SELECT 'd' || doc_id AS id, text FROM documents UNION ALL SELECT 'b' || item_id, text FROM benchmark), {RUNS}, bad AS (SELECT DISTINCT id FROM runs_of WHERE id[1] = 'd' AND run IN (SELECT run FROM runs_of WHERE id[1] = 'b')) SELECT doc_id FROM documents WHERE 'd' || doc_id NOT IN (SELECT id FROM bad)")
 def benchmark_antijoin(s, d):
-    return corpus.without_benchmark(table(s, d, "documents"), table(s, d, "benchmark")).select("doc_id")
+    return corpus.without_benchmark(spread(table(s, d, "documents").select("doc_id", "text"), "doc_id"), table(s, d, "benchmark")).select("doc_id")
 
 
 # -- the probe's examples ----------------------------------------------------------------------------------------
@@ -340,14 +345,19 @@ def accuracy_by_length(s, d):
     return measure.accuracy_by_length(stand_in(s, d))
 
 
-@query(sql(MATCHED + ", " + STAND_IN, "SELECT letter, count(*) AS n, sum(correct)::BIGINT AS correct, round(100 * sum(correct) / count(*), 6) AS accuracy FROM guess WHERE letter = 'z' GROUP BY letter"))
+@query(sql(MATCHED + ", " + STAND_IN + ", sizes AS (SELECT letter, count(*) AS n FROM guess GROUP BY letter), rarest AS (SELECT letter FROM sizes ORDER BY n, letter LIMIT 1)", "SELECT letter, count(*) AS n, sum(correct)::BIGINT AS correct, round(100 * sum(correct) / count(*), 6) AS accuracy FROM guess WHERE letter = (SELECT letter FROM rarest) GROUP BY letter"))
 def one_letter_accuracy(s, d):
-    return measure.accuracy(stand_in(s, d), ["letter"]).where("letter = 'z'").select("letter", "n", "correct", "accuracy")
+    """The report on one letter alone: that with the fewest examples."""
+    rows = stand_in(s, d)
+    rarest = rows.groupBy("letter").agg(F.count("*").alias("n")).orderBy("n", "letter").limit(1).select("letter")
+    return measure.accuracy(rows.join(F.broadcast(rarest), "letter"), ["letter"]).select("letter", "n", "correct", "accuracy")
 
 
 @query("WITH r(e, a) AS (VALUES " + ", ".join(f"('{e}', {a}::DOUBLE)" for e, a in PAPER) + "), f(factor, control, treatment) AS (VALUES " + ", ".join(str(f) for f in FACTORS) + ") SELECT factor, control, treatment, round(c.a - t.a, 6) AS points FROM f JOIN r c ON c.e = control JOIN r t ON t.e = treatment")
-def contribution(s, d):
-    return measure.contribution(s.createDataFrame(PAPER, "experiment string, accuracy double"), s.createDataFrame(FACTORS, "factor string, control string, treatment string"))
+def published_differences(s, d):
+    """The study's own differences, from its own numbers; what our runs measure is in factor_summary."""
+    r = s.createDataFrame([(e, "x", "x", "x", 1000, a) for e, a in PAPER], "experiment string, tokenizer string, corpus string, restriction string, n long, accuracy double")
+    return measure.contribution(r, s.createDataFrame([(f, "corpus", c, t) for f, c, t in FACTORS], "factor string, varies string, control string, treatment string")).select("factor", "control", "treatment", "points")
 
 
 @query("SELECT 1280::BIGINT AS sequences, 1310720::BIGINT AS tokens_per_step, 13107200000::BIGINT AS tokens, 3107200000::BIGINT AS repeated")
@@ -435,6 +445,26 @@ def affix_share(s, d):
     return stats.affix_share(corpus.word_counts(words(s, d)))
 
 
+@query(sql(CHUNKS + ", " + BOUNDARY + ", " + MERGES + ", met AS (SELECT strength, ln(1 + coalesce(freq, 0)) AS f FROM strength LEFT JOIN boundary ON l = last AND r = first)", "SELECT count(*) AS pairs, round(corr(strength, f), 9) AS pearson FROM met"))
+def strength_vs_log_boundary(s, d):
+    return stats.pearson_of_logs(stats.merge_strength(tokenize.staged_merges(s, SEED)), stats.fixed_boundary_pairs(words(s, d)))
+
+
+@query(sql(CHUNKS + ", " + BOUNDARY + ", " + MERGES + ", met AS (SELECT strength, coalesce(freq, 0) AS freq FROM strength LEFT JOIN boundary ON l = last AND r = first), b AS (SELECT *, ntile(10) OVER (ORDER BY strength DESC) AS bin FROM met)", "SELECT bin::INT AS bin, sum(freq)::BIGINT AS boundary_freq, count(*) AS pairs FROM b GROUP BY 1"))
+def strength_bins(s, d):
+    return stats.binned(stats.merge_strength(tokenize.staged_merges(s, SEED)), stats.fixed_boundary_pairs(words(s, d)))
+
+
+@query(sql(WORDS, "SELECT count(*) AS types, round(corr(length(word), ln(f)), 9) AS pearson FROM (SELECT word, sum(freq) AS f FROM counts GROUP BY word)"))
+def length_frequency_corr(s, d):
+    return stats.length_frequency_corr(corpus.word_counts(words(s, d)))
+
+
+@query(sql(CHUNKS + ", " + BOUNDARY + ", a AS (SELECT last, sum(freq) AS a FROM boundary GROUP BY last), b AS (SELECT first, sum(freq) AS b FROM boundary GROUP BY first), p AS (SELECT last, first, round(a * b / (SELECT sum(freq) FROM boundary))::BIGINT AS freq FROM a, b), q AS (SELECT * FROM p WHERE freq > 0), t AS (SELECT last, first, freq, sum(freq) OVER () AS n, sum(freq) OVER (PARTITION BY last) AS a, sum(freq) OVER (PARTITION BY first) AS b FROM q)", "SELECT sum(freq)::BIGINT AS n, round(sum(freq / n * log2(freq * n / (a * b))), 9) AS bits, round((count(DISTINCT last) - 1) * (count(DISTINCT first) - 1) / (2 * sum(freq) * ln(2)), 9) AS bias FROM t"))
+def boundary_mi_shuffled(s, d):
+    return stats.shuffled_mi(stats.fixed_boundary_pairs(words(s, d)))
+
+
 # -- interventions -----------------------------------------------------------------------------------------------
 
 
@@ -538,11 +568,6 @@ def bpe_pairs_round1(s, d):
     return tokenize.pair_counts(spelled_counts(s, d))
 
 
-def _fused_sql(k: int) -> str:
-    """One fused round: as the pair's letters differ or the scan is from the left, a fold over the symbols does it."""
-    return f""", best{k} AS MATERIALIZED (SELECT l, r FROM pairs{k} ORDER BY n DESC, l, r LIMIT 1), spelled{k + 1} AS (SELECT list_filter(string_split(array_to_string(list_reduce(list_transform(symbols, lambda x: [x]), lambda a, x: CASE WHEN a[len(a)] = (SELECT l FROM best{k}) AND x[1] = (SELECT r FROM best{k}) THEN a[1:len(a) - 1] || [a[len(a)] || x[1]] ELSE a || x END), chr(1)), chr(1)), lambda x: true) AS symbols, freq FROM spelled{k})"""
-
-
 @query()
 def bpe_pairs_round2(s, d):
     rules = tokenize.bpe_train_distributed(spelled_counts(s, d), 2)
@@ -557,28 +582,67 @@ def bpe_train(s, d):
 @query()
 def bpe_encode(s, d):
     w = words(s, d)
-    return tokenize.bpe_encode(w, tokenize.bpe_merges(w, 300), "distinct")
+    return tokenize.bpe_encode(w, tokenize.bpe_merges(w, 300))
 
 
 @query()
 def staged_encode(s, d):
-    docs = english(s, d).select("doc_id", rewrite.scramble_letters(F.lower("text"), SEED, F.col("doc_id")).alias("text"))
-    return tokenize.bpe_encode(corpus.words(docs), tokenize.staged_merges(s, SEED))
+    return tokenize.exploded(experiments.staged_rows(s, d)[0].select("doc_id", "pos", "pieces"))
+
+
+@query()
+def merge_trace(s, d):
+    """How the fifty most frequent words merge, step by step."""
+    w = words(s, d)
+    s.udtf.register("merge_trace", tokenize.trace_function(tokenize._ordered_rules(tokenize.bpe_merges(w, 300))))
+    corpus.word_counts(w).orderBy(F.desc("freq"), "word", "has_space").limit(50).createOrReplaceTempView("traced_words")
+    return s.sql("SELECT word, has_space, t.step, t.rank, array_join(t.symbols, '|') AS symbols FROM traced_words, LATERAL merge_trace(word, has_space) t")
 
 
 @query()
 def wordpiece_train(s, d):
-    pieces = tokenize.train_wordpiece([(w, n) for w, _, n in tokenize.top_words(words(s, d), 1500)], 120)
+    pieces = tokenize.wordpiece_vocab(words(s, d), 300)
     return s.createDataFrame([(k, x) for k, x in enumerate(pieces)], "token_id int, piece string")
 
 
+@query()
+def wordpiece_encode(s, d):
+    w = words(s, d)
+    return tokenize.exploded(tokenize.wordpiece_encode(w, tokenize.wordpiece_vocab(w, 300)))
+
+
 @query()
 def unigram_train(s, d):
-    counts: dict = {}
-    for w, _, n in tokenize.top_words(words(s, d), 600):
-        counts[w] = counts.get(w, 0) + n
-    model, _ = tokenize.train_unigram(sorted(counts.items()), 150, 1, 0.6, 4)
-    return s.createDataFrame(sorted((x, float(p)) for x, p in model.logp.items()), "piece string, log_probability double")
+    logp, _ = tokenize.unigram_model(words(s, d), 300, 1, 0.5)
+    return s.createDataFrame(sorted((x, float(p)) for x, p in logp.items()), "piece string, log_probability double")
+
+
+@query()
+def unigram_encode(s, d):
+    w = words(s, d)
+    return tokenize.exploded(tokenize.unigram_encode(w, tokenize.unigram_model(w, 300, 1, 0.5)[0]))
+
+
+@query()
+def unigram_sample(s, d):
+    w = words(s, d)
+    return tokenize.exploded(tokenize.unigram_encode(w, tokenize.unigram_model(w, 300, 1, 0.5)[0], 0.3, SEED))
+
+
+@query()
+def scramble_documents(s, d):
+    return rewrite.scrambled_documents(english(s, d), SEED)
+
+
+@query()
+def substitute_subwords(s, d):
+    rows = experiments.bpe_rows(words(s, d))
+    return rewrite.substitute_subwords(rows, rewrite.subword_substitution(rows, SEED))
+
+
+@query()
+def pack_blocks(s, d):
+    return encode.pack_blocks(word_sequences(s, d).repartition(8, "doc_id").sortWithinPartitions("doc_id"), 256).select(F.array_join("ids", " ").alias("ids"))
 
 
 @query(sql(WORDS + """, chars AS (SELECT word, unnest(string_split(word, '')) AS c, generate_subscripts(string_split(word, ''), 1) AS i, f FROM (SELECT word, sum(freq) AS f FROM counts GROUP BY word)),

@@ -23,6 +23,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return reader.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame, key: str) -> DataFrame:
+    """df dealt out by a key where it has fewer partitions than there are cores: a small file is one task to scan, but not to work on."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(2 * cores, key) if df.rdd.getNumPartitions() < cores else df
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """df.checkpoint() into spark.checkpoint.dir; a folder of our own is set only where none is (as in tests)."""
+    sc = df.sparkSession.sparkContext
+    if not sc.getCheckpointDir():
+        import tempfile
+
+        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="charprobe-"))
+    return df.checkpoint()
+
+
 def write_results(df: DataFrame, path: str, by: str = "experiment") -> None:
     """Results by experiment; a rerun replaces only the partitions that it has."""
     df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy(by).parquet(path)

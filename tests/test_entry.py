@@ -6,7 +6,7 @@ from charprobe.operators import corpus, stats
 from charprobe.sources import SCHEMAS, StagedVocabularySource
 
 SMALL = "/root/testdata/sf0.001"
-CHECKED = ["word_counts", "fixed_width_tokens", "matched_sample", "boundary_pairs", "scramble_letters", "staged_merges"]
+CHECKED = ["benchmark_antijoin", "one_letter_accuracy", "strength_bins", "boundary_mi_shuffled", "word_counts", "fixed_width_tokens", "matched_sample", "boundary_pairs", "scramble_letters", "staged_merges"]
 
 
 def test_queries_match_sql(spark):
