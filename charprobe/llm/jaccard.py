@@ -402,5 +402,8 @@ def representatives(docs: DataFrame, components: DataFrame, id_col: str = "doc_i
     chosen = components.where("component_key is not null").groupBy("component_key").agg(F.min(order).alias("row")).select("row.doc_id", "row.text_key")
     own = chosen.unionByName(components.where("component_key is null").select("doc_id", "text_key")).distinct()
     own = own.select(F.col("doc_id").alias("kept_id"), F.col("text_key").alias("kept_key"))
-    met = docs.join(own, F.col(id_col).cast("long").eqNullSafe(F.col("kept_id")) & (text_key(F.col(text_col)) == F.col("kept_key")))
-    return met.dropDuplicates(["kept_id", "kept_key"]).drop("kept_id", "kept_key")
+    # The rows' own columns go by place meanwhile, so that no name of theirs meets one of ours.
+    places = [f"c{k}" for k in range(len(docs.columns))]
+    held, key, text = docs.toDF(*places), places[docs.columns.index(id_col)], places[docs.columns.index(text_col)]
+    met = held.join(own, F.col(key).cast("long").eqNullSafe(F.col("kept_id")) & (text_key(F.col(text)) == F.col("kept_key")))
+    return met.dropDuplicates(["kept_id", "kept_key"]).select(*places).toDF(*docs.columns)

@@ -27,6 +27,8 @@ MOST_CELLS = 2_000_000
 ROUNDS = 1000
 TOLERANCE, BOUNDED_TOLERANCE = 1e-9, 1e-5
 NULL = "(null)"
+#: Columns that mixing adds.
+OWN = ("mix_tokens", "mix_weight", "mix_prob", "mix_kept")
 
 
 def word_count(text: F.Column) -> F.Column:
@@ -154,10 +156,12 @@ def calibrated(ratio: np.ndarray, share: np.ndarray, keep: float | None) -> np.n
 def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapping[str, Mapping[str, float]] | None = None, power: float = 0.9, keep: float | None = 0.9, seed: int = 42, id_col: str = "doc_id", rounds: int = ROUNDS) -> DataFrame:
     """docs with mix_tokens, mix_weight (raked weight over share), mix_prob and mix_kept.
 
-    targets: shares of each column's categories; a column without them gets its own shares tempered by ``power``.
+    targets: shares of each column's categories; a column without them gets its own shares tempered by ``power``. Columns
+    of docs that have these four names are replaced.
     """
-    keys = [F.coalesce(F.col(c).cast("string"), F.lit(NULL)).alias(f"mix_{k}") for k, c in enumerate(columns)]
-    names = [f"mix_{k}" for k in range(len(columns))]
+    docs = docs.drop(*[c for c in OWN if c not in columns and c != id_col])
+    keys = [F.coalesce(F.col(c).cast("string"), F.lit(NULL)).alias(f"__mix_{k}") for k, c in enumerate(columns)]
+    names = [f"__mix_{k}" for k in range(len(columns))]
     cells = docs.select(*keys, tokens.alias("mix_tokens")).groupBy(*names).agg(F.sum("mix_tokens").alias("tokens"))
     rows = cells.limit(MOST_CELLS + 1).collect()
     if len(rows) > MOST_CELLS:
@@ -179,12 +183,12 @@ def mix(docs: DataFrame, columns: Sequence[str], tokens: F.Column, targets: Mapp
     ratio = np.where(amount > 0, w / np.where(amount > 0, share, 1), 0.0)
     prob = np.where(amount > 0, largest_mix(w, share, groups) if keep is None else calibrated(ratio, share, keep), 1.0)
     spark = docs.sparkSession
-    fields = ", ".join(f"cell_{k} string" for k in range(len(columns)))
+    fields = ", ".join(f"__cell_{k} string" for k in range(len(columns)))
     table = spark.createDataFrame([(*c, float(r), float(p)) for c, r, p in zip(own, ratio, prob)], f"{fields}, mix_weight double, mix_prob double")
     keyed = docs.select("*", *keys, tokens.alias("mix_tokens"))
-    met = keyed.join(F.broadcast(table) if len(own) <= 100_000 else table, [F.col(f"mix_{k}") == F.col(f"cell_{k}") for k in range(len(columns))], "left")
+    met = keyed.join(F.broadcast(table) if len(own) <= 100_000 else table, [F.col(f"__mix_{k}") == F.col(f"__cell_{k}") for k in range(len(columns))], "left")
     draw = F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}|"), F.coalesce(F.col(id_col).cast("string"), F.lit(""))).cast("binary")), 1, 8), 16, 10).cast("double") / F.lit(4294967296.0)
-    return met.withColumn("mix_kept", draw < F.col("mix_prob")).drop(*names, *[f"cell_{k}" for k in range(len(columns))])
+    return met.withColumn("mix_kept", draw < F.col("mix_prob")).drop(*names, *[f"__cell_{k}" for k in range(len(columns))])
 
 
 def mix_documents(docs: DataFrame, power: float = 0.9, keep: float | None = 0.9, seed: int = 42) -> DataFrame:

@@ -350,3 +350,20 @@ def test_pipeline(spark):
         step = f(spark, step, SMALL)
         assert step.columns == docs.columns, name
         assert 0 < step.count() <= docs.count()
+
+
+def test_stages_keep_columns_with_clashing_names(spark, monkeypatch):
+    """Extra columns named like ours, nulls everywhere, repeated rows and empty tables, through every stage but the last."""
+    import corpus_pipeline
+
+    monkeypatch.setattr(corpus_pipeline, "_labels", lambda *_: spark.createDataFrame([], "doc_id long, quality int"))
+    say = lambda tag: " ".join(f"{tag}{k} and" for k in range(60)) + "."
+    extra = ["bad_id", "bad_key", "kept_id", "kept_key", "text_key", "form_topic", "topic", "row", "mix_kept", "mix_prob", "c0", "component_id"]
+    rows = [(1, say("a"), "en", "s"), (1, say("a"), "en", "s"), (2, None, None, None), (None, say("b"), None, "s"), (3, "", "en", None)]
+    docs = spark.createDataFrame([(*r, *range(len(extra))) for r in rows], "doc_id long, text string, lang string, source string, " + ", ".join(f"{c} long" for c in extra))
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        for table in (docs, docs.limit(0)):
+            out = stage(spark, table, "")
+            assert out.columns == docs.columns, name
+            assert {tuple(r) for r in out.collect()} <= {tuple(r) for r in docs.collect()}, name
+    assert corpus_pipeline.pack(spark, docs, "").agg(F.sum("length")).first()[0] > 0
