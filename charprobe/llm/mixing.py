@@ -44,11 +44,23 @@ def form_topic(text: F.Column) -> F.Column:
     )
 
 
-def tempered(shares: Mapping[str, float], power: float) -> dict[str, float]:
-    """Shares raised to a power and normalised: below 1 they move towards equal ones."""
-    raised = {k: v**power for k, v in shares.items() if v > 0}
-    total = sum(raised.values())
-    return {k: v / total for k, v in raised.items()}
+#: A tempered target is at most so many times the category's own share: without repeats, what is raised r times leaves 1 / r of the tokens.
+MOST_RAISED = 1.25
+
+
+def tempered(shares: Mapping[str, float], power: float, most: float = MOST_RAISED) -> dict[str, float]:
+    """Shares raised to a power and normalised, none above ``most`` times itself: a power below 1 moves them towards equal ones."""
+    held = {k: v for k, v in shares.items() if v > 0}
+    total = sum(held.values())
+    held = {k: v / total for k, v in held.items()}
+    capped: dict[str, float] = {}
+    while True:
+        rest = {k: v**power for k, v in held.items() if k not in capped}
+        scale = (1.0 - sum(capped.values())) / sum(rest.values()) if rest else 0.0
+        over = {k: most * held[k] for k, v in rest.items() if v * scale > most * held[k] * (1 + 1e-12)}
+        if not over:
+            return capped | {k: v * scale for k, v in rest.items()}
+        capped |= over
 
 
 def marginal_goals(cells: Sequence[tuple], tokens: np.ndarray, targets: Sequence[Mapping[str, float]]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:

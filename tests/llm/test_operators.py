@@ -198,6 +198,15 @@ def test_raking_meets_the_marginals(spark, odd):
     assert abs(out["share"] - 0.9) < 0.03
 
 
+def test_tempered_targets_are_shares_of_bounded_raise():
+    own = {"a": 0.9, "b": 0.0999, "c": 0.0001, "d": 0.0}
+    t = mixing.tempered(own, 0.5, 1.25)
+    assert abs(sum(t.values()) - 1) < 1e-12 and set(t) == {"a", "b", "c"}
+    assert abs(t["b"] - 1.25 * 0.0999) < 1e-9 and abs(t["c"] - 1.25 * 0.0001) < 1e-12
+    free = mixing.tempered(own, 0.9, 1e9)
+    assert abs(free["c"] / free["a"] - (0.0001 / 0.9) ** 0.9) < 1e-12
+
+
 def test_registered_mix_reaches_its_targets(spark):
     """Expected kept shares against the tempered targets, by source, language and topic."""
     from charprobe.llm import queries
