@@ -58,18 +58,22 @@ def shapes(data: np.ndarray, h: np.ndarray) -> np.ndarray:
     return np.array([SYMBOL[data].sum() / n, UPPER[data].sum() / n, DIGIT[data].sum() / n, MARK[data].sum() / n, again, follows, min(len(data) / w, 40.0) / 40.0, np.log1p(len(h)) / 12.0]) * SCALE
 
 
-def sparse(text: bytes, hasher: WordHasher) -> tuple[np.ndarray, np.ndarray]:
-    """Ascending feature numbers and their values."""
+def slots(text: bytes, hasher: WordHasher) -> tuple[list[np.ndarray], np.ndarray]:
+    """Feature numbers of a text's words, pairs and triples, repeats included, without empty kinds; and its shapes."""
     h = hasher(text.split())
     data = np.frombuffer(text, np.uint8)
     kinds = [word_slots(h).astype(np.int64), pair_hashes(h).astype(np.int64) + WORDS, trigrams(data).astype(np.int64) + WORDS + PAIRS if len(data) > 2 else np.zeros(0, np.int64)]
+    return [k for k in kinds if len(k)], shapes(data, h)
+
+
+def sparse(text: bytes, hasher: WordHasher) -> tuple[np.ndarray, np.ndarray]:
+    """Ascending feature numbers and their values."""
+    kinds, s = slots(text, hasher)
     index, value = [], []
     for k in kinds:
-        if len(k):
-            i, c = np.unique(k, return_counts=True)
-            index.append(i)
-            value.append(c * (SCALE / len(k)))
-    s = shapes(data, h)
+        i, c = np.unique(k, return_counts=True)
+        index.append(i)
+        value.append(c * (SCALE / len(k)))
     index.append(np.arange(SIZE - SHAPES, SIZE))
     value.append(s)
     return np.concatenate(index).astype(np.int32), np.concatenate(value).astype(np.float32)
@@ -108,6 +112,30 @@ class Examples:
         return np.bincount(self.index, weights=self.value * slopes[self.row], minlength=SIZE)
 
 
+class FeatureSum:
+    """The sum of texts' features, each text with a factor of its own; at most ``held`` feature numbers wait to be added."""
+
+    def __init__(self, held: int = 1 << 20) -> None:
+        self.total, self.held, self.waiting = np.zeros(SIZE), held, 0
+        self.index: list[np.ndarray] = []
+        self.factor: list[np.ndarray] = []
+
+    def add(self, kinds: list[np.ndarray], s: np.ndarray, factor: float) -> None:
+        for k in kinds:
+            self.index.append(k)
+            self.factor.append(np.full(len(k), factor * SCALE / len(k)))
+            self.waiting += len(k)
+        self.total[SIZE - SHAPES :] += factor * s
+        if self.waiting >= self.held:
+            self.settle()
+
+    def settle(self) -> np.ndarray:
+        if self.index:
+            self.total += np.bincount(np.concatenate(self.index), weights=np.concatenate(self.factor), minlength=SIZE)
+            self.index, self.factor, self.waiting = [], [], 0
+        return self.total
+
+
 def sigmoid(x: np.ndarray) -> np.ndarray:
     return 1.0 / (1.0 + np.exp(-np.clip(x, -40, 40)))
 

@@ -135,6 +135,56 @@ def test_prior_estimate():
         assert abs(pu_quality.estimate_prior(p, u) - prior) < 0.06
 
 
+def test_unlabelled_risk_of_all_rows(spark, odd, monkeypatch):
+    """Sums on the executors against dense features of every row; few rows in a task, several levels of adding."""
+    from charprobe.llm.text_features import SIZE, sparse
+
+    monkeypatch.setattr(pu_quality, "FAN", 3)
+    rng = np.random.default_rng(3)
+    words = [f"w{k}" for k in range(300)] + ["é", "##", "A!"]
+    texts = [(k, " ".join(rng.choice(words, rng.integers(0, 60)))) for k in range(200)] + [(5, None), (6, ""), (None, "x y")]
+    docs = spark.createDataFrame(texts, "doc_id long, text string").repartition(11)
+    first, at = rng.normal(0, 0.3, SIZE + 1), rng.normal(0, 0.3, SIZE + 1)
+    learnt = frozenset(range(0, 200, 2))
+    whole, scores = pu_quality.whole_risk(docs, first, at, learnt)
+    hasher, slope, losses, seen = common.WordHasher(), np.zeros(SIZE + 1), [], []
+    for i, text in texts:
+        if zlib.crc32(str("" if i is None else i).encode()) % 5 == 0:
+            continue
+        index, value = sparse((text or "").encode(), hasher)
+        x = np.zeros(SIZE + 1)
+        x[index], x[-1] = value, 1.0
+        losses.append(np.logaddexp(0, x @ at))
+        slope += x / (1 + np.exp(-(x @ at)))
+        if i not in learnt:
+            seen.append(x @ first)
+    assert np.isclose(whole.loss, np.mean(losses), rtol=1e-5)
+    assert np.allclose(whole.slope, slope / len(losses), rtol=1e-4, atol=1e-5)
+    assert scores.sum() == len(seen)
+    assert np.allclose(np.repeat(pu_quality.BINS, scores.astype(int)), np.sort(np.clip(seen, -20, 20)), atol=0.011)
+    none, scores = pu_quality.whole_risk(docs.limit(0), first, at, learnt)
+    assert none.loss == 0 and not scores.any()
+    assert pu_quality.whole_risk(odd, first, at, learnt)[1].sum() >= 0
+
+
+def test_whole_risk_corrects_the_sample():
+    """A fit on a lopsided sample, given the value and slope of all rows, comes nearer to the fit on all rows."""
+    from charprobe.llm.text_features import SIZE, Examples, sigmoid
+
+    rng = np.random.default_rng(1)
+    row = lambda good: (np.sort(rng.choice(np.arange(40) + (0 if good else 20), 12, False)).astype(np.int32), np.full(12, 0.8, np.float32))
+    p, everything = Examples([row(True) for _ in range(300)]), [row(k % 3 == 0) for k in range(3000)]
+    u, sample = Examples(everything), Examples(everything[0:60:3] + everything[1:60:12])
+    want = pu_quality.fit(p, u, 1 / 3)
+    start = pu_quality.fit(p, sample, 1 / 3)
+    m = u.margins(start[:-1]) + start[-1]
+    whole = pu_quality.Whole(start, float(np.logaddexp(0, m).mean()), np.append(u.gradient(sigmoid(m) / u.n), sigmoid(m).mean()))
+    got = pu_quality.fit(p, sample, 1 / 3, whole=whole)
+    assert start.shape == (SIZE + 1,)
+    gap = lambda w: np.abs((u.margins(w[:-1]) + w[-1]) - (u.margins(want[:-1]) + want[-1])).mean()
+    assert gap(got) < gap(start)
+
+
 def test_cuts_are_cheapest():
     rng = np.random.default_rng(0)
     for _ in range(200):
