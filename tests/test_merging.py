@@ -124,3 +124,27 @@ def test_fast_scramble_and_subword_substitution(spark):
     new = {(r["doc_id"], r["pos"]): r["word"] for r in rewrite.substitute_subwords(rows, rewrite.subword_substitution(rows)).collect()}
     for r in rows.collect():
         assert new[r["doc_id"], r["pos"]] == "".join(table[p] for p in r["pieces"]).strip()
+
+
+def test_subword_substitution_works_pieces_out_once(spark):
+    """Words that come often are cut into pieces once, not at every use of the table."""
+    from charprobe.plans import experiments
+
+    w = some_words(spark)
+    coded = experiments.coded_words(w, 12)
+    table = rewrite.subword_substitution(coded)
+    got = rewrite.substitute_subwords(w, table, coded)
+    rows = T.with_pieces(w, T.bpe_merges(w, 12))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, rewrite.substitute_subwords(rows, table).collect()))
+    assert coded.count() == w.select("word", "has_space").distinct().count()
+
+
+def test_benchmark_runs_take_time_in_proportion_to_the_text(spark):
+    """A text of 40,000 words: its words were cut out anew for every run before."""
+    import time
+
+    docs = spark.createDataFrame([(1, " ".join(f"w{k}" for k in range(40_000))), (2, "short"), (3, None)], "doc_id long, text string")
+    item = spark.createDataFrame([(7, " ".join(f"w{k}" for k in range(39_980, 40_000)))], "item_id long, text string")
+    began = time.time()
+    assert sorted(r["doc_id"] for r in corpus.without_benchmark(docs, item).collect()) == [2, 3]
+    assert time.time() - began < 40
