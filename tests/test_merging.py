@@ -148,3 +148,11 @@ def test_benchmark_runs_take_time_in_proportion_to_the_text(spark):
     began = time.time()
     assert sorted(r["doc_id"] for r in corpus.without_benchmark(docs, item).collect()) == [2, 3]
     assert time.time() - began < 40
+
+
+def test_statistics_of_distinct_words_are_those_of_all(spark):
+    w = some_words(spark)
+    vocab = T.wordpiece_vocab(w, 12)
+    counts = corpus.word_counts(w)
+    once = counts.join(T.encoded_distinct(counts, T.WordPieceSplit(vocab)), "word")
+    assert T.piece_stats(once, "freq").collect() == T.piece_stats(T.wordpiece_encode(w, vocab)).collect()
