@@ -186,10 +186,13 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = 1500, unlabelled:
         return None
     half = lambda x, r: Examples([y for j, y in enumerate(x) if j % 2 == r])
     first = fit(half(p, 0), half(u, 0), DEFAULT_PRIOR, steps=40)
-    guess = estimate_prior(half(p, 1).margins(first[:-1]), half(u, 1).margins(first[:-1]))
+    apart = half(p, 1).margins(first[:-1])
+    guess = estimate_prior(apart, half(u, 1).margins(first[:-1]))
+    learnt = frozenset([k for k, _, _ in rows if k in u_ids][::2])
     p_all, u_all = Examples(p), Examples(u)
-    whole, scores = whole_risk(docs, first, fit(p_all, u_all, guess), frozenset([k for k, _, _ in rows if k in u_ids][::2]))
-    prior = estimate_prior(half(p, 1).margins(first[:-1]) + first[-1], BINS, scores)
+    del rows, p, u  # the features lie in the examples now
+    whole, scores = whole_risk(docs, first, fit(p_all, u_all, guess), learnt)
+    prior = estimate_prior(apart + first[-1], BINS, scores)
     return fit(p_all, u_all, prior, whole=whole), prior
 
 

@@ -103,7 +103,7 @@ class Examples:
         self.starts = np.concatenate(([0], np.cumsum(lengths)))[:-1] if self.n else np.zeros(0, np.int64)
         self.index = np.concatenate([i for i, _ in rows]) if self.n else np.zeros(0, np.int32)
         self.value = np.concatenate([v for _, v in rows]).astype(np.float64) if self.n else np.zeros(0)
-        self.row = np.repeat(np.arange(self.n), lengths)
+        self.row = np.repeat(np.arange(self.n, dtype=np.int32), lengths)
 
     def margins(self, weights: np.ndarray) -> np.ndarray:
         return np.add.reduceat(weights[self.index] * self.value, self.starts) if self.n else np.zeros(0)
