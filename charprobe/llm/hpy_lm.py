@@ -86,21 +86,31 @@ def as_places(x: np.ndarray, most: int) -> bytes:
     return x.astype(np.uint16 if most <= 1 << 16 else np.uint32).tobytes()
 
 
-def places_of(data, most: int) -> np.ndarray:
-    return np.frombuffer(data, np.uint16 if most <= 1 << 16 else np.uint32).astype(np.int64)
+def places_of(data, most: int, kind: type = np.int64) -> np.ndarray:
+    return np.frombuffer(data, np.uint16 if most <= 1 << 16 else np.uint32).astype(kind)
 
 
 def pair_blobs(held: list[tuple], buckets: int, scoring: bool) -> Iterator[dict]:
     """Distinct (context, dish) pairs for each bucket. In training with their counts, and the base of each dish; in
-    scoring with the documents (numbers within the run) that have them, one entry for each time."""
-    context, dish, base, doc = (np.concatenate(x) for x in zip(*held))
-    names, first, place = np.unique(np.append(dish, START), return_index=True, return_inverse=True)
-    place = place.astype(U64)
-    before = np.concatenate((place[-1:], place[:-2]))  # a context is the dish before, or the start
-    before[context == START] = place[-1]
-    key = before << U64(32) | place[:-1]
+    scoring with the documents (numbers within the run) that have them, one entry for each time. ``held`` is emptied."""
+    opens, dish, base, doc = (np.concatenate(x) for x in zip(*held))
+    held.clear()  # what is held twice, or longer than needed, counts in each worker's memory
+    dish = np.append(dish, START)
+    order = np.argsort(dish, kind="stable")
+    dish = dish[order]
+    new = np.concatenate(([True], dish[1:] != dish[:-1]))
+    names, first = dish[new], order[new]
+    place = np.empty(len(dish), np.uint32)
+    place[order] = np.cumsum(new, dtype=np.uint32) - np.uint32(1)
+    del dish, order, new
+    key = np.empty(len(place) - 1, U64)
+    key[0], key[1:] = place[-1], place[:-2]  # a context is the dish before, or the start
+    key[opens] = place[-1]
+    key <<= U64(32)
+    key |= place[:-1]
     order = np.argsort(key, kind="stable")
     key, doc = key[order], doc[order]  # in training doc is 1 for a training row and 0 for others
+    del order, place
     start = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
     pair, size = key[start], np.diff(np.append(start, len(key)))
     ends = np.searchsorted(pair, bucket_of(names, buckets).astype(U64) << U64(32))
@@ -123,10 +133,10 @@ def pair_blobs(held: list[tuple], buckets: int, scoring: bool) -> Iterator[dict]
             yield out
 
 
-def read_pairs(r: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def read_pairs(r: dict, kind: type = np.int64) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Distinct contexts and words of a blob, and of each pair the places in these and its count."""
     contexts, words = unpacked(r["short"], r["contexts"]), unpacked(r["words_short"], r["words"])
-    return contexts, words, np.repeat(np.arange(len(contexts)), np.frombuffer(r["runs"], np.uint32)), places_of(r["places"], len(words)), from_bytes(r["counts"], r["large"])
+    return contexts, words, np.repeat(np.arange(len(contexts), dtype=kind), np.frombuffer(r["runs"], np.uint32)), places_of(r["places"], len(words), kind), from_bytes(r["counts"], r["large"])
 
 
 def training_pairs(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
@@ -135,7 +145,7 @@ def training_pairs(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[t
     for batch in slices(source):
         s = Spelled(batch.column(1))
         train = np.repeat(~np.array(batch.column(2).to_pylist(), bool), s.n_tokens).astype(np.uint8) if len(s.n_tokens) else np.zeros(0, np.uint8)
-        held.append((s.context, s.dish, s.base, train))
+        held.append((s.context == START, s.dish, s.base, train))
         amount += len(s.dish)
         if amount >= HELD:
             for blob in pair_blobs(held, buckets, False):
@@ -166,7 +176,8 @@ def gathered(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
         contexts, words = np.unique(np.concatenate([h[0] for h in held])), np.unique(np.concatenate([h[1] for h in held]))
         base = np.zeros(len(words), np.float32)
         keys, counts = [], []
-        for u, w, cu, cw, n, b in held:
+        while held:
+            u, w, cu, cw, n, b = held.pop()
             at = np.searchsorted(words, w)
             base[at] = b
             keys.append(np.searchsorted(contexts, u)[cu] << 32 | at[cw])
@@ -174,6 +185,7 @@ def gathered(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
         keys, counts = np.concatenate(keys), np.concatenate(counts).astype(np.int64)
         order = np.argsort(keys, kind="stable")
         keys, counts = keys[order], counts[order]
+        del order
         start = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
         keys, counts = keys[start], np.add.reduceat(counts, start)
         seen = counts > 0  # pairs of documents that are held out only told their words
@@ -193,7 +205,7 @@ def gathered(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tuple]:
             if r["bucket"] != bucket:
                 yield from told()
                 bucket, held = r["bucket"], []
-            held.append((*read_pairs(r), np.frombuffer(r["extra"], np.float32)))
+            held.append((*read_pairs(r, np.int32), np.frombuffer(r["extra"], np.float32).copy()))  # not a view, which would hold the batch
     yield from told()
 
 
@@ -248,17 +260,18 @@ class Room:
     """The restaurants of one bucket, and their Gibbs steps; ``p`` holds the parameters of both levels and the parent's totals."""
 
     def __init__(self, state: dict, p: dict) -> None:
-        self.contexts, self.words, self.u, self.w, c = read_pairs(state)
-        self.c, self.p = c.astype(np.int64), p
+        self.contexts, self.words, self.u, self.w, self.c = read_pairs(state, np.int32)
+        self.p = p
         self.base = np.exp(np.frombuffer(state["extra"], np.float32).astype(np.float64))
         self.customers = np.bincount(self.u, weights=self.c, minlength=len(self.contexts))
-        self.tables = np.bincount(self.u, minlength=len(self.contexts)).astype(np.float64)
-        self.t = np.ones(len(self.c), np.int64)
+        self.dishes = np.bincount(self.u, minlength=len(self.contexts)).astype(np.float64)
+        self.tables = self.dishes
+        self.t = np.ones(len(self.c), np.int32)
         self.mass, self.n, self.many = [], [], None
 
     def hear(self, r: dict) -> None:
-        self.mass.append(np.frombuffer(r["runs"], np.float64))
-        self.n.append(np.frombuffer(r["counts"], np.int64))
+        self.mass.append(np.frombuffer(r["runs"], np.float64).copy())  # not views, which would hold the batch
+        self.n.append(np.frombuffer(r["counts"], np.int64).copy())
 
     def parent(self) -> np.ndarray:
         """P(w) of all words of the bucket."""
@@ -269,15 +282,23 @@ class Room:
     def sweeps(self, steps: int, keep: int, rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray]:
         """Over the last ``keep`` of the steps, the mean of what a pair's own customers and what its parent weigh."""
         d, a = self.p["d"], self.p["a"]
-        log_parent, table = np.log(self.parent())[self.w], stirling_table(d)
-        own, rest = np.zeros(len(self.c)), np.zeros(len(self.contexts))
+        table, rest = stirling_table(d), np.zeros(len(self.contexts))
         some = np.flatnonzero(self.c > 1)  # a lone customer has a table of its own
+        u, c, t = self.u[some], self.c[some].astype(np.int64), self.t[some].astype(np.int64)
+        log_parent, mean = np.log(self.parent())[self.w[some]], np.zeros(len(some))
         for k in range(steps):
-            self.t[some] = sweep(self.u[some], self.c[some], self.t[some], self.tables, log_parent[some], d, a, table, rng)
-            self.tables = np.bincount(self.u, weights=self.t, minlength=len(self.contexts))
+            t = sweep(u, c, t, self.tables, log_parent, d, a, table, rng)
+            self.tables = self.dishes + np.bincount(u, weights=t - 1, minlength=len(self.contexts))
             if k >= steps - keep:
-                own += (self.c - d * self.t) / (a + self.customers)[self.u] / keep
+                mean += t / keep
                 rest += (a + d * self.tables) / (a + self.customers) / keep
+        self.t[some] = t
+        del u, c, log_parent
+        own = np.ones(len(self.c))
+        own[some] = mean
+        own *= -d
+        own += self.c
+        own /= (a + self.customers)[self.u]
         return own, rest
 
 
@@ -320,7 +341,7 @@ def asked_scores(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tup
     for batch in slices(source):
         s = Spelled(batch.column(1))
         before = sum(len(d[0]) for d in docs)
-        held.append((s.context, s.dish, s.base, np.repeat(np.arange(before, before + batch.num_rows, dtype=np.uint32), s.n_tokens)))
+        held.append((s.context == START, s.dish, s.base, np.repeat(np.arange(before, before + batch.num_rows, dtype=np.uint32), s.n_tokens)))
         ids = np.array([NO_ID if x is None else x for x in batch.column(0).to_pylist()], np.int64)
         docs.append((ids, np.array(batch.column(2).to_pylist(), np.uint8), s.n_tokens.astype(np.int64)))
         amount += len(s.dish)
@@ -345,7 +366,10 @@ def partial_scores(source: Iterator[pa.RecordBatch], p: dict, steps: int, keep:
             else:
                 if own is None:
                     own, rest = room.sweeps(steps, keep, np.random.default_rng([seed, 2, bucket]))
-                    parent, n, key = room.parent(), np.concatenate(room.n) if room.n else np.zeros(len(room.words), np.int64), room.u << 32 | room.w
+                    parent, n, key = room.parent(), np.concatenate(room.n) if room.n else np.zeros(len(room.words), np.int64), room.u.astype(np.int64)
+                    key <<= 32
+                    key |= room.w
+                    room.u = room.w = room.c = room.t = room.mass = room.n = None  # the answers need them no more
                 contexts, words, cu, cw, times = read_pairs(r)
                 u = np.minimum(np.searchsorted(room.contexts, contexts), len(room.contexts) - 1)  # every context and word asked for is told
                 w = np.searchsorted(room.words, words)

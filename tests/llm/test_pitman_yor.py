@@ -151,3 +151,25 @@ def test_parameters_are_drawn_near_the_truth():
         rows += pitman_yor.histogram(np.array(tables), np.ones(len(tables)), np.array([400]), np.array([len(tables)]))
     drawn = [pitman_yor.draw_parameters(rows, rng) for _ in range(5)]
     assert abs(np.mean([x for x, _ in drawn]) - d) < 0.1 and all(3 <= y <= 30 for _, y in drawn)
+
+
+def test_pairs_are_listed_in_little_memory():
+    """A task's pairs are dealt within 110 bytes each besides the given columns, which are let go (two workers share an executor)."""
+    import tracemalloc
+
+    n = 400_000
+    rng = np.random.default_rng(5)
+    dish = rng.integers(3, (1 << 64) - 1, n // 4, dtype=np.uint64)[rng.integers(0, n // 4, n)]
+    opens = np.arange(n) % 100 == 0
+    tracemalloc.start()
+    try:
+        held = [(opens.copy(), dish.copy(), np.zeros(n, np.float32), np.ones(n, np.uint8))]
+        blobs = 0
+        for b in hpy_lm.pair_blobs(held, 8, False):
+            blobs += 1
+            _, words, _, _, counts = hpy_lm.read_pairs(b)
+            assert np.isin(words, dish).all() and len(counts)
+        most = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert blobs == 8 and not held and most < 110 * n
