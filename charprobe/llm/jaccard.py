@@ -88,6 +88,7 @@ def index_blobs(sets: list[np.ndarray], ids: list[int], buckets: int) -> Iterato
     number = np.repeat(np.arange(len(sets), dtype=np.uint16), [len(s) for s in sets])
     order = np.argsort(tokens, kind="stable")
     tokens, number = tokens[order], number[order]
+    del order
     size = np.array([len(s) for s in sets], np.uint32)
     ident = np.array(ids, np.int64)
     first = np.flatnonzero(np.concatenate(([True], tokens[1:] != tokens[:-1])))
@@ -151,7 +152,8 @@ def share_lists(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tupl
     for batch in source:
         for b, *rest in zip(*(batch.column(c).to_pylist() for c in LISTED.names)):
             held.setdefault(b, []).append(rest)
-    for b, blobs in held.items():
+    while held:
+        b, blobs = held.popitem()
         if b < 0:  # hot n-grams on their way to their sets
             t = np.concatenate([np.frombuffer(x[1], U64) for x in blobs])
             i = np.concatenate([np.frombuffer(x[3], np.int64) for x in blobs])
@@ -168,8 +170,10 @@ def share_lists(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tupl
             owner.append(ident[k])
             size.append(weight[k])
         t, i, z = np.concatenate(tokens), np.concatenate(owner), np.concatenate(size)
+        del blobs, tokens, owner, size  # what is held twice counts in each worker's memory
         order = np.lexsort((i, t))
         t, i, z = t[order], i[order], z[order]
+        del order
         new = np.concatenate(([True], (t[1:] != t[:-1]) | (i[1:] != i[:-1])))  # the same set may come from several tasks
         t, i, z = t[new], i[new], z[new]
         first = np.flatnonzero(np.concatenate(([True], t[1:] != t[:-1])))
@@ -177,7 +181,10 @@ def share_lists(source: Iterator[pa.RecordBatch], buckets: int) -> Iterator[tupl
         marked = np.add.reduceat((z == 0).astype(np.int64), first) > 0
         count = np.where(marked, HOTTEST, np.minimum(run, COMMON)).astype(np.uint8)
         keep = np.repeat(marked | (run > 1), run) & (z > 0)
-        yield from dealt(t[keep], i[keep], z[keep], np.repeat(count, run)[keep], buckets)
+        count = np.repeat(count, run)[keep]
+        t, i, z = t[keep], i[keep], z[keep]
+        del new, first, run, marked, keep
+        yield from dealt(t, i, z, count, buckets)
 
 
 def dealt(t: np.ndarray, i: np.ndarray, z: np.ndarray, count: np.ndarray, buckets: int) -> Iterator[tuple]:
@@ -205,7 +212,8 @@ def involved(source: Iterator[pa.RecordBatch], percent: int) -> Iterator[tuple]:
     for batch in source:
         for b, *rest in zip(*(batch.column(c).to_pylist() for c in SHARED.names)):
             held.setdefault(b, []).append(rest)
-    for blobs in held.values():
+    while held:
+        blobs = held.popitem()[1]
         ids, sizes, tokens, counts = [], [], [], []
         for i, z, lengths, t, c in blobs:
             n = np.frombuffer(lengths, np.uint32)
@@ -214,8 +222,10 @@ def involved(source: Iterator[pa.RecordBatch], percent: int) -> Iterator[tuple]:
             tokens.append(np.frombuffer(t, U64))
             counts.append(np.frombuffer(c, np.uint8))
         i, z, t, c = np.concatenate(ids), np.concatenate(sizes), np.concatenate(tokens), np.concatenate(counts)
+        del blobs, ids, sizes, tokens, counts
         order = np.lexsort((t, c, i))
-        i, z, t, c = i[order], z[order], t[order], c[order]
+        i, z, t = i[order], z[order], t[order]
+        del order, c
         # A hot n-gram comes from every task that has the set.
         new = np.concatenate(([True], (t[1:] != t[:-1]) | (i[1:] != i[:-1])))
         i, z, t = i[new], z[new], t[new]
@@ -383,8 +393,9 @@ def jaccard_components(docs: DataFrame, n: int = 3, percent: int = 90, id_col: s
 
     ids = staged(rows.mapInArrow(sized, "doc_id long, n_shingles long, id long, text_key long"), "sets")
     listed = rows.select("text").mapInArrow(lambda s: batches(build_index(s, n, buckets), LISTED, size=64), LISTED_SQL)
-    shared = listed.repartition(buckets, "bucket").mapInArrow(lambda s: batches(share_lists(s, buckets), SHARED, size=64), SHARED_SQL)
-    sets = staged(shared.repartition(buckets, "bucket").mapInArrow(lambda s: batches(involved(s, percent), INVOLVED, size=256), INVOLVED_SQL), "involved")
+    # One bucket to a task: a hash of the buckets would put several into some tasks. Hot n-grams go by their sets' bucket.
+    shared = listed.repartitionById(buckets, F.when(F.col("bucket") < 0, -1 - F.col("bucket")).otherwise(F.col("bucket")).cast("int")).mapInArrow(lambda s: batches(share_lists(s, buckets), SHARED, size=64), SHARED_SQL)
+    sets = staged(shared.repartitionById(buckets, F.col("bucket")).mapInArrow(lambda s: batches(involved(s, percent), INVOLVED, size=256), INVOLVED_SQL), "involved")
     linked = connected_components(link_sets(sets, percent))
     least = ids.where("id is not null").groupBy("id").agg(F.min("doc_id").alias("least"))
     joined = least.join(linked, least["id"] == linked["node"], "left")
