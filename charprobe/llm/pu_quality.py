@@ -22,8 +22,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHasher, as_input, batches, crc_remainder, text_key, texts_of
-from .text_features import SCALE, SHAPES, SIZE, Adam, Examples, FeatureSum, feature_rows, margin, sigmoid, slots
+from .common import WordHasher, as_input, batches, crc_remainder, released, text_key, texts_of
+from .text_features import SCALE, SHAPES, SIZE, Adam, Examples, FeatureSum, collected, margin, sigmoid, slots
 
 FOLDS = 5
 DEFAULT_PRIOR = 0.5
@@ -160,10 +160,7 @@ def whole_risk(docs: DataFrame, first: np.ndarray, at: np.ndarray, learnt: froze
 
 def sample_features(docs: DataFrame, ids: DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
     """Features of the documents whose ids are in ``ids`` (bounded by the caller), in the order of the ids."""
-    schema = pa.schema([("doc_id", pa.int64()), ("numbers", pa.binary()), ("shares", pa.binary())])
-    rows = as_input(docs).join(F.broadcast(ids), F.col("doc_id") == F.col("key")).select("doc_id", "text")
-    got = rows.mapInArrow(lambda b: batches(feature_rows(b), schema), "doc_id long, numbers binary, shares binary").collect()
-    found = {r["doc_id"]: (np.frombuffer(r["numbers"], np.int32), np.frombuffer(r["shares"], np.float32)) for r in got}
+    found = collected(as_input(docs).join(F.broadcast(ids), F.col("doc_id") == F.col("key")).select("doc_id", "text"))
     return [(k, *found[k]) for k in sorted(found)]
 
 
@@ -191,9 +188,13 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = 1500, unlabelled:
     learnt = frozenset([k for k, _, _ in rows if k in u_ids][::2])
     p_all, u_all = Examples(p), Examples(u)
     del rows, p, u  # the features lie in the examples now
+    released()
     whole, scores = whole_risk(docs, first, fit(p_all, u_all, guess), learnt)
     prior = estimate_prior(apart + first[-1], BINS, scores)
-    return fit(p_all, u_all, prior, whole=whole), prior
+    weights = fit(p_all, u_all, prior, whole=whole)
+    del p_all, u_all
+    released()  # the driver outlives the fit
+    return weights, prior
 
 
 def score_quality(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, positives: int = 1500, unlabelled: int = 3000, keyed: bool = False) -> DataFrame:

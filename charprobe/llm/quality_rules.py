@@ -17,8 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHasher, as_input, batches, text_key, texts_of, window_hashes
-from .text_features import SIZE, SPACE, START, SYMBOL, Adam, Examples, feature_rows, margin, sigmoid
+from .common import WordHasher, as_input, batches, released, text_key, texts_of, window_hashes
+from .text_features import SIZE, SPACE, START, SYMBOL, Adam, Examples, collected, margin, sigmoid
 
 SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("word_chars", pa.int64()), ("n_symbols", pa.int64()), ("n_dup_lines", pa.int64()), ("n_repeat_words", pa.int64()), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("probability", pa.float64())])
 SQL_SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, probability double"
@@ -90,29 +90,30 @@ class Model:
         return float(sigmoid(np.array(self.a * (margin + self.intercept) + self.b)))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, sample: int) -> list[tuple[int, bytes, bytes, int]]:
-    """(id, numbers, values, label) of at most ``sample`` labelled documents; bounded by that and by SIZE features each."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, sample: int) -> list[tuple[np.ndarray, np.ndarray, int]]:
+    """(numbers, values, label) of at most ``sample`` labelled documents by id; bounded by that and by SIZE features each."""
     chosen = (
         labels.select(F.col("doc_id").cast("long").alias("key"), F.col("quality").cast("int").alias("label")).where("key is not null and label in (0, 1)")
         .groupBy("key").agg(F.max("label").alias("label")).orderBy(F.xxhash64("key"), "key").limit(sample)
     )
-    rows = as_input(docs).join(F.broadcast(chosen), F.col("doc_id") == F.col("key"))
-    schema = pa.schema([("doc_id", pa.int64()), ("numbers", pa.binary()), ("shares", pa.binary())])
-    got = rows.select("doc_id", "text").mapInArrow(lambda b: batches(feature_rows(b), schema), "doc_id long, numbers binary, shares binary")
+    found = collected(as_input(docs).join(F.broadcast(chosen), F.col("doc_id") == F.col("key")).select("doc_id", "text"))
     by_id = {r["key"]: r["label"] for r in chosen.collect()}
-    found = {r["doc_id"]: (r["doc_id"], bytes(r["numbers"]), bytes(r["shares"]), by_id[r["doc_id"]]) for r in got.collect()}
-    return [found[k] for k in sorted(found)]
+    return [(*found[k], by_id[k]) for k in sorted(found)]
 
 
 def train(docs: DataFrame, labels: DataFrame, sample: int = 3000) -> Model | None:
     rows = labelled_sample(docs, labels, sample)
-    y = np.array([r[3] for r in rows])
+    y = np.array([r[2] for r in rows])
     if len(set(y.tolist())) < 2:
         return None
     third = np.arange(len(rows)) % 3 == 2
-    make = lambda pick: Examples([(np.frombuffer(rows[i][1], np.int32), np.frombuffer(rows[i][2], np.float32)) for i in np.flatnonzero(pick)])
-    w = fit_logistic(make(~third), y[~third])
-    a, b = calibrate(make(third).margins(w[:-1]) + w[-1], y[third]) if len(set(y[third].tolist())) == 2 else (1.0, 0.0)
+    learnt, apart = (Examples([rows[i][:2] for i in np.flatnonzero(pick)]) for pick in (~third, third))
+    del rows  # the features lie in the examples now
+    released()
+    w = fit_logistic(learnt, y[~third])
+    a, b = calibrate(apart.margins(w[:-1]) + w[-1], y[third]) if len(set(y[third].tolist())) == 2 else (1.0, 0.0)
+    del learnt, apart
+    released()  # the driver outlives the fit
     return Model(w[:-1], float(w[-1]), a, b)
 
 

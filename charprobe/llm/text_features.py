@@ -11,8 +11,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
 
-from .common import MULTIPLIERS, WordHasher
+from .common import MULTIPLIERS, WordHasher, batches, texts_of
 
 U64 = np.uint64
 WORD_BITS, PAIR_BITS, CHAR_BITS = 16, 16, 15
@@ -95,21 +97,32 @@ def margin(text: bytes, weights: np.ndarray, hasher: WordHasher, words: list[byt
 
 
 class Examples:
-    """Rows of sparse features, held as one run of numbers, values and row starts."""
+    """Rows of sparse features, held as one run of numbers, values (single precision) and row starts; sums go over ``LUMP`` rows at a time."""
+
+    LUMP = 256
 
     def __init__(self, rows: list[tuple[np.ndarray, np.ndarray]]) -> None:
         self.n = len(rows)
-        lengths = np.array([len(i) for i, _ in rows], np.int64)
-        self.starts = np.concatenate(([0], np.cumsum(lengths)))[:-1] if self.n else np.zeros(0, np.int64)
+        self.starts = np.concatenate(([0], np.cumsum([len(i) for i, _ in rows], dtype=np.int64))).astype(np.int64)
         self.index = np.concatenate([i for i, _ in rows]) if self.n else np.zeros(0, np.int32)
-        self.value = np.concatenate([v for _, v in rows]).astype(np.float64) if self.n else np.zeros(0)
-        self.row = np.repeat(np.arange(self.n, dtype=np.int32), lengths)
+        self.value = np.concatenate([v for _, v in rows]) if self.n else np.zeros(0, np.float32)
+
+    def _lumps(self) -> Iterator[tuple[int, int, slice]]:
+        for lo in range(0, self.n, self.LUMP):
+            hi = min(lo + self.LUMP, self.n)
+            yield lo, hi, slice(self.starts[lo], self.starts[hi])
 
     def margins(self, weights: np.ndarray) -> np.ndarray:
-        return np.add.reduceat(weights[self.index] * self.value, self.starts) if self.n else np.zeros(0)
+        out = np.zeros(self.n)
+        for lo, hi, at in self._lumps():
+            out[lo:hi] = np.add.reduceat(weights[self.index[at]] * self.value[at].astype(np.float64), self.starts[lo:hi] - at.start)
+        return out
 
     def gradient(self, slopes: np.ndarray) -> np.ndarray:
-        return np.bincount(self.index, weights=self.value * slopes[self.row], minlength=SIZE)
+        total = np.zeros(SIZE)
+        for lo, hi, at in self._lumps():
+            np.add.at(total, self.index[at], self.value[at].astype(np.float64) * np.repeat(slopes[lo:hi], np.diff(self.starts[lo : hi + 1])))
+        return total
 
 
 class FeatureSum:
@@ -151,10 +164,16 @@ class Adam:
         return self.rate * (self.m / (1 - 0.9**self.t)) / (np.sqrt(self.v / (1 - 0.999**self.t)) + 1e-8)
 
 
+def collected(rows: DataFrame) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    """Features of the documents of ``rows`` (id, text; bounded by the caller) by id, as views of the Arrow buffers they came in."""
+    schema = pa.schema([("doc_id", pa.int64()), ("numbers", pa.binary()), ("shares", pa.binary())])
+    got = rows.mapInArrow(lambda b: batches(feature_rows(b), schema), "doc_id long, numbers binary, shares binary").toArrow()
+    views = zip(got.column("doc_id").to_pylist(), got.column("numbers"), got.column("shares"))
+    return {i: (np.frombuffer(n.as_buffer(), np.int32), np.frombuffer(v.as_buffer(), np.float32)) for i, n, v in views}
+
+
 def feature_rows(source: Iterator, first: int = 0) -> Iterator[tuple]:
     """(id, numbers, values) of each (id, text) in Arrow batches."""
-    from .common import texts_of
-
     hasher = WordHasher()
     for batch in source:
         for i, text in zip(batch.column(0).to_pylist(), texts_of(batch)):
