@@ -42,6 +42,19 @@ def test_lists_hold_the_tokens_of_rows(docs):
     assert tokens(pieces.substituted(rows, rules, table)) == spelled(rewrite.substitute_subwords(coded, table), "pos")
 
 
+def test_words_of_random_texts():
+    import re
+
+    import pyarrow as pa
+
+    rng = np.random.default_rng(2)
+    texts = ["".join(rng.choice(list("aBz  \t\n\r\x0b1.é漢"), n)) for n in rng.integers(0, 30, 400)]
+    want = [[" " * (m[0] in " \t\n\r") + m.strip().lower() for m in re.findall("[ \t\n\r]?[A-Za-z]+", t)] for t in texts]
+    for part in (slice(0, 400), slice(7, 311), slice(5, 5)):
+        starts, flat = pieces.words_in(pa.array(texts, pa.string())[part])
+        assert pa.ListArray.from_arrays(pa.array(starts, pa.int32()), flat).to_pylist() == want[part]
+
+
 def test_words_by_others(spark, docs):
     words, rows = corpus.words(docs), pieces.of_documents(docs)
     table = spark.createDataFrame([("cats", "cat"), ("flies", "fly")], "word string, other string")
