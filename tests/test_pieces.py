@@ -78,3 +78,20 @@ def test_vectors_of_a_small_vocabulary_take_few_jobs(spark):
     assert jobs <= 18
     want = {r["token_id"]: r["vector"] for r in encode.distributional(seqs, 2, 8, "forward", square=0).collect()}
     assert set(got) == set(want) and all(np.allclose(got[k], want[k], atol=1e-9) for k in got)
+
+
+def test_resampled_pieces_stay_in_their_class(spark):
+    texts = [" ".join("abcdefgh"[(i * k + j) % 8] * (1 + (k + j) % 3) for j in range(40)) for k, i in enumerate(range(60))]
+    rows = pieces.of_documents(spark.createDataFrame([*enumerate(texts), (90, None), (91, "")], "doc_id long, text string").repartition(3)).persist()
+    kind = lambda p: (p[:1] == " ", len(p))
+    before, after, other = tokens(rows), tokens(pieces.resampled(rows, pieces.counted(rows), 1)), tokens(pieces.resampled(rows, pieces.counted(rows), 2))
+    assert [(d, k, kind(p)) for d, k, p in before] == [(d, k, kind(p)) for d, k, p in after]
+    assert after != before and after != other
+    assert after == tokens(pieces.resampled(rows.repartition(7), pieces.counted(rows), 1))
+    for c in {kind(p) for *_, p in before if p[:1] == " "}:  # every entry of a class about as often, however often it stood before
+        n = {}
+        for *_, p in after:
+            if kind(p) == c:
+                n[p] = n.get(p, 0) + 1
+        assert set(n) == {p for *_, p in before if kind(p) == c} and max(n.values()) < 2 * sum(n.values()) / len(n)
+    rows.unpersist()
